@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from longweave.llm import binary, packing, pii, quality, secrets, warc
+from longweave.llm import binary, near_dup, packing, pii, quality, secrets, warc
 
 QUERIES = {
+    "op1_near_dup": near_dup.op1_near_dup,
     "op2_secrets": secrets.op2_secrets,
     "op4_warc": warc.op4_warc,
     "op5_packing": packing.op5_packing,
@@ -12,4 +13,4 @@ QUERIES = {
     "op8_quality": quality.op8_quality,
     "op10_token_binary": binary.op10_token_binary,
 }
-ORACLES = {"op4_warc": warc.SQL}
+ORACLES = {"op1_near_dup": near_dup.SQL, "op4_warc": warc.SQL}

@@ -66,28 +66,22 @@ BLOOM_BITS = 1 << 24
 _MIX = (np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
 
 
-def bloom(keys: DataFrame, key: str, bits: int = BLOOM_BITS):
-    """Broadcast bit array (bits / 8 bytes, whatever the number of keys) that holds every long in keys[key].
+def bloom(keys: DataFrame, bits: int = BLOOM_BITS):
+    """Broadcast bit array (bits / 8 bytes, whatever the number of keys) for keys (h1, h2), two hashes of each key.
 
     The bits are or-ed per 64-bit word in Spark, so at most bits / 64 rows reach the driver.  False positives only let
     more rows through; no key is lost.
     """
-    spark = keys.sparkSession
-    two = F.explode(F.array(F.xxhash64(F.col(key), F.lit(1)), F.xxhash64(F.col(key), F.lit(2)))).alias("h")
-    at = F.pmod(F.col("h"), F.lit(bits))
-    words = (
-        keys.select(two)
-        .select((at / 64).cast("int").alias("w"), F.expr(f"shiftleft(1L, cast(pmod(h, {bits}) % 64 as int))").alias("b"))
-        .groupBy("w").agg(F.bit_or("b").alias("b"))
-    )
-    rows = words.toPandas()
+    at = keys.select(F.explode(F.array("h1", "h2")).alias("h")).select(F.pmod("h", F.lit(bits)).alias("at"))
+    word = at.select(F.expr("cast(at div 64 as int)").alias("w"), F.expr("shiftleft(1L, cast(at % 64 as int))").alias("b"))
+    rows = word.groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()
     out = np.zeros(bits // 64, dtype=np.int64)
-    out[rows["w"].to_numpy(dtype=np.int64)] = rows["b"].to_numpy(dtype=np.int64)
-    return spark.sparkContext.broadcast(out.view(np.uint64))
+    out[rows["w"].to_numpy()] = rows["b"].to_numpy()
+    return keys.sparkSession.sparkContext.broadcast(out.view(np.uint64))
 
 
 def may_contain(words: np.ndarray, h1: np.ndarray, h2: np.ndarray) -> np.ndarray:
-    """h1, h2: xxhash64 with seeds as in bloom(), as int64."""
+    """h1, h2: int64 hashes as given to bloom()."""
     bits = np.int64(len(words) * 64)
     got = None
     for h in (h1, h2):

@@ -91,8 +91,9 @@ def _signatures(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
     """Those of pairs (a, b) whose full sets are similar enough."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    wanted = bloom(ids, "id")
-    own = docs.select("doc_id", "text", F.xxhash64("doc_id", F.lit(1)).alias("h1"), F.xxhash64("doc_id", F.lit(2)).alias("h2"))
+    two_hashes = lambda c: (F.xxhash64(c, F.lit(1)).alias("h1"), F.xxhash64(c, F.lit(2)).alias("h2"))
+    wanted = bloom(ids.select(*two_hashes("id")))
+    own = docs.select("doc_id", "text", *two_hashes("doc_id"))
 
     def sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -156,6 +156,12 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = PERCENT)
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
+def keep_representatives(docs: DataFrame, text: str = "text", percent: int = PERCENT) -> DataFrame:
+    """docs with one document of each group, that of the smallest doc_id; unlinked rows all stay."""
+    gone = near_duplicates(docs, text, percent).filter("not kept").select(F.col("doc_id").alias("_id"), "n_shingles")
+    return docs.join(gone.select("_id").distinct(), docs["doc_id"] == F.col("_id"), "left_anti")
+
+
 def op1_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
 

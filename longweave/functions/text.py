@@ -16,7 +16,7 @@ def normal_answer(c) -> Column:
     """Lower case, no punctuation, no English articles, single spaces."""
     c = F.col(c) if isinstance(c, str) else c
     plain = F.regexp_replace(F.lower(F.coalesce(c, F.lit(""))), r"[!-/:-@\[-`{-~]", "")
-    return F.trim(F.regexp_replace(F.regexp_replace(plain, r"\b(a|an|the)\b", " "), r"\s+", " "))
+    return F.array_join(F.filter(F.split(plain, r"\s+"), lambda w: ~w.isin("", "a", "an", "the")), " ")
 
 
 def visible_html(c) -> Column:

@@ -20,25 +20,24 @@ from pyspark.sql import functions as F
 
 from longweave.llm.common import column, cut, table, tasks
 from longweave.llm.files import Publish, new_folder, open_store
-from longweave.llm.tokens import END_ID, default_path, ids_of
+from longweave.llm.tokens import END_ID, crc, default_path, ids_of
 
-MAGIC, BLOCK, LEVEL = b"LWBP0001", 1 << 16, 3
+MAGIC, BLOCK, LEVEL = b"LWBP0001", 1 << 16, 1
 END = np.array([END_ID], dtype="<u4").tobytes()
 
 
 def to_planes(ids: np.ndarray) -> list[bytes]:
-    """Bit planes of unsigned 32-bit ids; only as many as the largest id needs."""
+    """Bit planes of unsigned 32-bit ids, the lowest first; only as many as the largest id needs."""
     width = max(1, int(ids.max()).bit_length()) if len(ids) else 1
-    bits = np.unpackbits(ids.astype("<u4").view(np.uint8).reshape(-1, 4), axis=1, bitorder="little")
-    return [np.packbits(bits[:, j], bitorder="little").tobytes() for j in range(width)]
+    return [np.packbits(((ids >> np.uint32(j)) & np.uint32(1)).astype(np.uint8), bitorder="little").tobytes() for j in range(width)]
 
 
 def from_planes(planes: list[bytes], n: int) -> np.ndarray:
-    bits = np.zeros((n, 32), dtype=np.uint8)
+    out = np.zeros(n, dtype="<u4")
     for j, p in enumerate(planes):
         if p:
-            bits[:, j] = np.unpackbits(np.frombuffer(p, np.uint8), count=n, bitorder="little")
-    return np.packbits(bits, axis=1, bitorder="little").view("<u4").ravel()
+            out |= np.unpackbits(np.frombuffer(p, np.uint8), count=n, bitorder="little").astype("<u4") << np.uint32(j)
+    return out
 
 
 class PlaneWriter:
@@ -143,8 +142,8 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, text: s
     return cut(ordered.mapInArrow(write, "part long, uri string, n_docs long, n_ids long, bytes long"))
 
 
-def read_token_files(manifest: DataFrame) -> DataFrame:
-    """doc_id, start (ids of all documents before it), n_tokens, ids (little-endian bytes), read from the files."""
+def read_token_files(manifest: DataFrame, with_ids: bool = True) -> DataFrame:
+    """doc_id, start (ids of all documents before it), n_tokens, ids_crc32 and ids (little-endian bytes), from the files."""
     spark = manifest.sparkSession
     sums, total = [], 0
     for r in manifest.select("part", "uri", "n_ids").orderBy("part").collect():  # one row per file
@@ -158,13 +157,14 @@ def read_token_files(manifest: DataFrame) -> DataFrame:
                 f = PlaneReader(row["uri"])
                 for at in range(0, len(f.docs), 512):
                     n = range(at, min(at + 512, len(f.docs)))
-                    yield pa.RecordBatch.from_arrays([pa.array([f.docs[i][0] for i in n], pa.int64()), pa.array([row["before"] + f.starts[i] for i in n], pa.int64()), pa.array([f.docs[i][1] for i in n], pa.int64()), pa.array([f.read(i).tobytes() for i in n], pa.binary())], ["doc_id", "start", "n_tokens", "ids"])
+                    ids = [f.read(i).tobytes() for i in n]
+                    cols = [pa.array([f.docs[i][0] for i in n], pa.int64()), pa.array([row["before"] + f.starts[i] for i in n], pa.int64()), pa.array([f.docs[i][1] for i in n], pa.int64()), pa.array(list(map(crc, ids)), pa.int64()), pa.array(ids, pa.binary())]
+                    yield pa.RecordBatch.from_arrays(cols[: 4 + with_ids], ["doc_id", "start", "n_tokens", "ids_crc32", "ids"][: 4 + with_ids])
 
-    return placed.mapInArrow(read, "doc_id long, start long, n_tokens long, ids binary")
+    return placed.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids binary" * with_ids)
 
 
 def op10_token_binary(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     manifest = write_token_files(docs, new_folder(spark, "token-planes"), default_path())
-    # Spark's own crc32 is that of zlib, unsigned
-    return read_token_files(manifest).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))
+    return read_token_files(manifest, with_ids=False)

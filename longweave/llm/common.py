@@ -57,7 +57,8 @@ def tasks(spark: SparkSession, least: int = 1) -> int:
 
 
 def column(df: DataFrame, name: str, kind: str) -> Column:
-    """df's column cast to kind; a typed null where the table lacks it."""
+    """df's column cast to kind; a typed null where the table lacks it.  Every operator starts here, so it ships, too."""
+    ship(df.sparkSession)
     return df[name].cast(kind) if name in df.columns else F.lit(None).cast(kind)
 
 

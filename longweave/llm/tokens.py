@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -39,8 +40,64 @@ def _whole(path: str, text: str) -> bytes:
     return np.array(tokenizer(path).encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4").tobytes()
 
 
+@lru_cache(maxsize=2)
+def _letters(path: str):
+    """The library's model and byte alphabet, if words of letters are single pieces to it: a quicker way for these."""
+    from tokenizers import pre_tokenizers
+
+    t = tokenizer(path)
+    if not isinstance(t.pre_tokenizer, pre_tokenizers.ByteLevel) or t.pre_tokenizer.add_prefix_space or not t.pre_tokenizer.use_regex:
+        return None
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that stand for themselves; others follow 255
+    return t.model, {b: 256 + k for k, b in enumerate(x for x in range(256) if x not in shown)}
+
+
+TAILS = frozenset(".,;:!?|")
+
+
+def _learn_words(path: str, pieces: list[str], cache: dict[str, bytes | None]) -> list[str]:
+    """Learns pieces of letters, with a line feed before or a sign of TAILS after them or not; returns the others.
+
+    Letters are one unit to the tokenizer's pattern; a sign after them is a unit of its own.
+    """
+    quick = _letters(path)
+    if quick is None:
+        return pieces
+    model, alphabet = quick
+    feed, rest = _whole(path, "\n"), []
+    tails = {c: _whole(path, c) for c in TAILS}
+    tokenize = model.tokenize
+
+    def ids_of_word(core: str, lead: str) -> bytes:
+        shown = core if core.isascii() else core.encode().decode("latin-1").translate(alphabet)
+        return array("I", [t.id for t in tokenize(lead + shown)]).tobytes()
+
+    for p in pieces:
+        if p.isalpha():
+            if p not in cache:
+                cache[p] = ids_of_word(p, "\u0120")
+            continue
+        tail = p[-1:] if p[-1:] in TAILS else ""
+        bare = p[:-1] if tail else p
+        if bare.isalpha():
+            if bare not in cache:
+                cache[bare] = ids_of_word(bare, "\u0120")
+        elif bare[:1] == "\n" and bare[1:].isalpha():
+            if bare not in cache:
+                cache[bare] = feed + ids_of_word(bare[1:], "")
+        else:
+            rest.append(p)
+            continue
+        if tail:
+            cache[p] = cache[bare] + tails[tail]
+    return rest
+
+
 def _learn(path: str, pieces: list[str], cache: dict[str, bytes | None]) -> None:
     """Encode pieces in one call, with line feeds between them: a line feed between non-spaces is one id of its own."""
+    pieces = _learn_words(path, pieces, cache)
+    if not pieces:
+        return
     feed = _whole(path, "\n")
     plain = [p for p in pieces if p and not p[0].isspace() and not p[-1].isspace() and "\n" not in p]
     after = [p for p in pieces if len(p) > 1 and p[0] == "\n" and not p[1].isspace() and not p[-1].isspace() and "\n" not in p[1:]]
@@ -73,32 +130,31 @@ def ids_of(texts: list[str | None], path: str) -> list[bytes]:
     _cache[path] = cache, before
     split = [(t or "").replace("\n", " \n").split(" ") for t in texts]
     get, out = cache.get, []
-    absent = object()
-    new: dict[str, None] = {}
-    first = []
-    got = []
+    first, got, new = [], [], set()
     for pieces in split:
-        first.append(head := pieces[0])
+        first.append(pieces[0])
         pieces[0] = ""
-        row = [get(p, absent) for p in pieces]
+        row = list(map(get, pieces))
         row[0] = b""
-        if absent in row:
-            new.update((p, None) for p, v in zip(pieces, row, strict=True) if v is absent)
-        got.append(row)
+        try:
+            got.append(b"".join(row))
+        except TypeError:  # a piece that isn't known, or one that can't stand alone
+            got.append(None)
+            new.update(p for p, v in zip(pieces, row, strict=True) if v is None and p not in cache)
     if new:
         cache.update((p, before[p]) for p in new if p in before)
         _learn(path, [p for p in new if p not in before], cache)
-    for text, pieces, row, head in zip(texts, split, got, first, strict=True):
+    for text, pieces, ids, head in zip(texts, split, got, first, strict=True):
+        if ids is None:
+            row = list(map(get, pieces))
+            row[0] = b""
+            ids = None if None in row else b"".join(row)
         if not text:
             out.append(b"")
-            continue
-        if absent in row:
-            row = [b"", *(get(p) for p in pieces[1:])]
-        if not head or head[0].isspace() or head[-1].isspace() or None in row:
+        elif ids is None or not head or head[0].isspace() or head[-1].isspace():
             out.append(_whole(path, text))
-            continue
-        row[0] = _whole(path, head)
-        out.append(b"".join(row))
+        else:
+            out.append(_whole(path, head) + ids)
     return out
 
 

@@ -21,12 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from longweave.llm.common import bloom, column, cut, may_contain, table
+from longweave.llm.common import bloom, column, cut, may_contain, table, tasks
 from longweave.llm.graph import components
 from longweave.llm.hashing import U, blocks, hashed, mix, ngrams
 
 SHINGLE, PERCENT = 5, 75
 SIZE, ROWS, BANDS = 200, 5, 40
+#: Documents of a group in a block.
+CELL = 512
 #: A sketch of a pair at the threshold has a deviation of 0.031 at most; five of these below it is what is still verified.
 NEAR = 0.59
 _rng = np.random.Generator(np.random.PCG64(77))
@@ -88,9 +90,8 @@ def _signatures(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(part)), pa.array(n, pa.int64()), pa.array(ka, pa.int64()), pa.array(kb, pa.int64()), pa.array(marks, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n", "ka", "kb", "marks", "bands"])
 
 
-def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
-    """Those of pairs (a, b) whose full sets are similar enough."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """(id, s): the full shingle sets of the documents in ids (and of a few that its Bloom filter takes for them)."""
     two_hashes = lambda c: (F.xxhash64(c, F.lit(1)).alias("h1"), F.xxhash64(c, F.lit(2)).alias("h2"))
     wanted = bloom(ids.select(*two_hashes("id")))
     own = docs.select("doc_id", "text", *two_hashes("doc_id"))
@@ -103,19 +104,59 @@ def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
                 got = [s.view(np.int64) for s in shingle_sets(part)]
                 yield pa.RecordBatch.from_arrays([few.column(0).slice(at, len(part)), pa.array(got, pa.list_(pa.int64()))], ["id", "s"])
 
-    full = own.mapInArrow(sets, "id long, s array<long>")
+    return own.mapInArrow(sets, "id long, s array<long>")
+
+
+def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
+    """Those of pairs (a, b) whose full sets are similar enough."""
+    full = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
     one = pairs.join(full.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a")
     two = one.join(full.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
     return two.filter(both * (100 + percent) >= percent * (F.size("sa") + F.size("sb"))).select("a", "b")
 
 
-def _alike(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs (a, b, marks of a, marks of b) whose sketches agree in enough places."""
-    for batch in batches:
-        if batch.num_rows:
-            x, y = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint16).reshape(-1, SIZE) for i in (2, 3))
-            yield batch.select([0, 1]).filter(pa.array((x == y).mean(1) >= NEAR))
+def _cells(percent: int):
+    """Of rows (grp, low, high, block, id, own, n, marks, s) sorted by the first three: the links (a, b) in each cell.
+
+    A cell holds two blocks (or one) of a group; compared are pairs of different components that share a band.
+    """
+
+    def links(rows: list[tuple]) -> Iterator[tuple[int, int]]:
+        block, ids, own, n = (np.array([r[k] for r in rows]) for k in range(4))
+        marks = np.stack([r[4] for r in rows])
+        first = np.flatnonzero(block == block.min())
+        second = first if block.min() == block.max() else np.flatnonzero(block == block.max())
+        for low in range(0, len(first), 32):
+            i = first[low : low + 32]
+            equal = marks[i][:, None] == marks[second]
+            near = (equal.mean(2) >= NEAR) & equal.reshape(len(i), len(second), BANDS, ROWS).all(3).any(2)
+            near &= (own[i][:, None] != own[second]) & (100 * np.minimum(n[i][:, None], n[second]) >= percent * np.maximum(n[i][:, None], n[second]))
+            if second is first:
+                near &= i[:, None] < second
+            for p, q in zip(*np.nonzero(near), strict=True):
+                x, y = rows[i[p]][5], rows[second[q]][5]
+                if len(np.intersect1d(x, y, assume_unique=True)) * (100 + percent) >= percent * (len(x) + len(y)):
+                    yield int(ids[i[p]]), int(ids[second[q]])
+
+    def meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def done():
+            got = list(links(held)) if len({r[2] for r in held}) > 1 else []
+            if got:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*got, strict=True)], ["a", "b"])
+
+        for batch in batches:
+            cols = [batch.column(k).to_pylist() for k in range(7)]
+            for k, (grp, low, high, block, name, own, n) in enumerate(zip(*cols, strict=True)):
+                if (grp, low, high) != now:
+                    yield from done()
+                    now, held = (grp, low, high), []
+                held.append((block, name, own, n, np.frombuffer(batch.column(7)[k].as_buffer(), np.uint16), batch.column(8)[k].values.to_numpy()))
+        yield from done()
+
+    return meet
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", percent: int = PERCENT) -> DataFrame:
@@ -131,23 +172,19 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = PERCENT)
     tried = cut(shared.filter("doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b")).distinct())
     edges = cut(_confirmed(body, tried, percent))
     found = components(edges)
-    # what a bucket's least document didn't link: members of its smaller components against all of the larger ones
+    # buckets whose least document didn't link all: their documents meet again, in groups that share buckets
     owner = cut(shared.join(found, shared["doc_id"] == found["node"], "left").select("band", "doc_id", F.coalesce("component", "doc_id").alias("own")))
-    held = owner.groupBy("band", "own").agg(F.count("*").alias("c"))
-    mixed = held.groupBy("band").agg(F.count("*").alias("k")).filter("k > 1").select("band")
-    held = cut(held.join(mixed, "band"))
-    other = held.select("band", F.col("own").alias("target"), F.col("c").alias("tc"))
-    small = owner.join(held, ["band", "own"]).join(other, "band").filter("c < tc or c = tc and own > target")
-    asked = small.select(F.col("doc_id").alias("a"), "target").distinct()
-    marks = classes.select("doc_id", "n", "marks")
-    member = owner.select("doc_id", F.col("own").alias("target")).distinct().join(marks, "doc_id")
-    asked = asked.join(marks.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("marks").alias("ma")), "a")
-    fits = f"a <> doc_id and 100 * least(n, na) >= {percent} * greatest(n, na)"
-    near = asked.join(member, "target").filter(fits).select("a", F.col("doc_id").alias("b"), "ma", "marks").mapInArrow(_alike, "a long, b long")
-    seen = tried.union(tried.select("b", "a"))
-    rest = cut(near.distinct().join(seen, ["a", "b"], "left_anti"))
-    if not rest.isEmpty():
-        more = cut(_confirmed(body, rest, percent))
+    held = owner.select("band", "own").distinct().groupBy("band").agg(F.count("*").alias("k")).filter("k > 1")
+    mixed = cut(owner.join(held.select("band"), "band").join(buckets, "band"))
+    if not mixed.isEmpty():
+        groups = components(mixed.select(F.col("doc_id").alias("a"), F.col("lead").alias("b")).distinct())
+        member = mixed.select("doc_id", "own").distinct().join(groups, F.col("doc_id") == F.col("node")).select("doc_id", "own", F.col("component").alias("grp"))
+        size = member.groupBy("grp").agg(F.ceil(F.count("*") / CELL).cast("int").alias("blocks"))
+        placed = member.join(size, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        rows = placed.select("grp", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", F.col("doc_id").alias("id"), "own")
+        known = _sets(body, member.select(F.col("doc_id").alias("id")).distinct()).join(classes.select(F.col("doc_id").alias("id"), "n", "marks"), "id")
+        dealt = rows.join(known, "id").select("grp", "low", "high", "block", "id", "own", "n", "marks", "s").repartition(tasks(docs.sparkSession, 12), "grp", "low", "high").sortWithinPartitions("grp", "low", "high")
+        more = cut(dealt.mapInArrow(_cells(percent), "a long, b long"))
         if not more.isEmpty():
             found = components(edges.union(more))
     reps = classes.select("ka", "kb", F.col("doc_id").alias("node")).join(found, "node", "left").select("ka", "kb", F.coalesce("component", "node").alias("component"))

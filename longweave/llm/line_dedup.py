@@ -25,10 +25,10 @@ from longweave.llm.common import bloom, column, cut, may_contain, table, tasks
 from longweave.llm.hashing import U, blocks, mix, words_of
 
 LEAST, PERCENT, FEW = 5, 85, 8
-SLOTS = 1 << 18
+SLOTS, SPAN = 1 << 18, 1 << 13
 LINES, WORD_BITS, RARE_BITS = 1 << 13, 45, 6
 SEEN = 200_000
-LINE = "doc_id long, line int, n int, ka long, kb long"
+LINE = "doc_id long, line int, n int, ka long, kb long, counts array<long>"
 
 
 def block_lines(texts: list[str | None], counts: np.ndarray | None = None) -> Iterator[tuple]:
@@ -60,23 +60,17 @@ def block_lines(texts: list[str | None], counts: np.ndarray | None = None) -> It
         yield doc, some - first[doc], n, ka.view(np.int64), kb.view(np.int64), begin, word
 
 
-def count_words(docs: DataFrame) -> np.ndarray:
-    """Rarity class (0 for a count of one, then half powers of two) of each of SLOTS slots; SLOTS rows reach the driver."""
+def rarity(counts: DataFrame) -> np.ndarray:
+    """Class (0 for a count of one, then half powers of two) of each of SLOTS slots, from partial counts (line, counts)
+    of SPAN slots each; a group has one row for each task, SLOTS numbers reach the driver."""
 
-    def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(SLOTS, np.int64)
-        for batch in batches:
-            for _, part in blocks(batch.column(0).to_pylist()):
-                _, h = words_of(b"\n".join((x or "").encode("utf-8", "surrogatepass").lower() for x in part))
-                total += np.bincount(((h >> U(64 - WORD_BITS)) & U(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
-        at = np.flatnonzero(total)
-        for k in range(0, len(at), 50_000):
-            yield pa.RecordBatch.from_arrays([pa.array(at[k : k + 50_000], pa.int32()), pa.array(total[at[k : k + 50_000]])], ["slot", "c"])
+    def total(t):
+        return pa.table({"line": t["line"].slice(0, 1), "counts": pa.array([np.sum([c.values.to_numpy() for c in t["counts"]], 0)], pa.list_(pa.int64()))})
 
-    rows = docs.select("text").mapInArrow(count, "slot int, c long").groupBy("slot").agg(F.sum("c").alias("c")).toArrow()
-    out = np.zeros(SLOTS, np.uint8)
-    out[rows["slot"].to_numpy()] = np.minimum((2 * np.log2(rows["c"].to_numpy())).astype(np.uint8), (1 << RARE_BITS) - 1)
-    return out
+    out = np.zeros(SLOTS, np.int64)
+    for r in counts.groupBy("line").applyInArrow(total, "line int, counts array<long>").collect():
+        out[r["line"] * SPAN : (r["line"] + 1) * SPAN] = r["counts"]
+    return np.minimum(2 * np.log2(np.maximum(out, 1)), (1 << RARE_BITS) - 1).astype(np.uint8)
 
 
 class Seen:
@@ -97,14 +91,23 @@ class Seen:
 
 
 def _lines(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The lines that take part, and at the end this task's word counts, SPAN slots a row."""
+    total, names = np.zeros(SLOTS, np.int64), ["doc_id", "line", "n", "ka", "kb", "counts"]
     for batch in batches:
         ids = batch.column(0).to_numpy()
         for at, part in blocks(batch.column(1).to_pylist()):
-            for doc, line, n, ka, kb, *_ in block_lines(part):
-                yield pa.RecordBatch.from_arrays([pa.array(ids[at + doc]), pa.array(line, pa.int32()), pa.array(n, pa.int32()), pa.array(ka), pa.array(kb)], ["doc_id", "line", "n", "ka", "kb"])
+            for doc, line, n, ka, kb, _, word in block_lines(part):
+                total += np.bincount((word & U(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
+                yield pa.RecordBatch.from_arrays([pa.array(ids[at + doc]), pa.array(line, pa.int32()), pa.array(n, pa.int32()), pa.array(ka), pa.array(kb), pa.nulls(len(n), pa.list_(pa.int64()))], names)
+    if total.any():
+        k = SLOTS // SPAN
+        none = pa.nulls(k, pa.int64())
+        yield pa.RecordBatch.from_arrays([none, pa.array(np.arange(k), pa.int32()), none.cast(pa.int32()), none, none, pa.array(list(total.reshape(k, SPAN)), pa.list_(pa.int64()))], names)
+
 
+def _postings(counts, only=None):
+    """only: a Bloom filter of the words wanted, or None for all."""
 
-def _postings(counts):
     def emit(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = Seen()
         for batch in batches:
@@ -125,6 +128,8 @@ def _postings(counts):
                     place = np.arange(p.sum()) - np.repeat(np.cumsum(p) - p, p)
                     token = word[begin[of] + place]
                     common = counts.value[(token & U(SLOTS - 1)).astype(np.int64)] > 0  # a word met once has no partner
+                    if only is not None:
+                        common &= may_contain(only.value, token.view(np.int64), (token >> U(21)).view(np.int64))
                     of, place, token = of[common], place[common], token[common]
                     cols = [token.view(np.int64), n[of].astype(np.int32), place.astype(np.int32), ids[at + doc[of]], line[of].astype(np.int32), ka[of], kb[of], b0[of].view(np.int64), b1[of].view(np.int64)]
                     for k in range(0, len(of), 20_000):
@@ -136,7 +141,7 @@ def _postings(counts):
 def _candidates(few: int | None, probing):
     """Of postings sorted by (token, n, ka, kb, doc_id, line): pairs later, earlier of sets that pass all filters.
 
-    few: at most so many, the earliest, for each later line and word; a pair with a null partner says there are more.
+    few: at most so many, the earliest, for each later line and word; a row with more and the word in ea says there are others.
     probing: a Bloom filter of the later lines wanted, or None for all.
     """
     names = ["token", "n", "place", "doc_id", "line", "ka", "kb", "b0", "b1"]
@@ -171,7 +176,7 @@ def _candidates(few: int | None, probing):
         yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(np.zeros(len(later), bool))], ["la", "lb", "ea", "eb", "more"])
         if len(more):
             none = pa.nulls(len(more), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c["ka"][more]), pa.array(c["kb"][more]), none, none, pa.array(np.ones(len(more), bool))], ["la", "lb", "ea", "eb", "more"])
+            yield pa.RecordBatch.from_arrays([pa.array(c["ka"][more]), pa.array(c["kb"][more]), pa.array(c["token"][more]), none, pa.array(np.ones(len(more), bool))], ["la", "lb", "ea", "eb", "more"])
 
     def join(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
@@ -235,19 +240,25 @@ def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
     """The lines to remove: doc_id, line (from 0), n_words (distinct), of_doc_id, of_line (the earliest match found)."""
     spark = docs.sparkSession
     body = docs.select(column(docs, "doc_id", "long").alias("doc_id"), column(docs, text, "string").alias("text")).filter("doc_id is not null")
-    lines = cut(body.mapInArrow(_lines, LINE))
+    both = cut(body.mapInArrow(_lines, LINE))
+    lines = both.filter("doc_id is not null").drop("counts")
     place = F.struct("doc_id", "line")
     firsts = lines.groupBy("ka", "kb").agg(F.min(place).alias("first"), F.max(place).alias("last"))
-    counts = spark.sparkContext.broadcast(count_words(body))
-    postings = body.mapInArrow(_postings(counts), "token long, n int, place int, doc_id long, line int, ka long, kb long, b0 long, b1 long")
-    dealt = postings.repartition(tasks(spark, 12) * 2, "token").sortWithinPartitions("token", "n", "ka", "kb", "doc_id", "line")
-    found = cut(dealt.mapInArrow(_candidates(FEW, None), "la long, lb long, ea long, eb long, more boolean"))
+    counts = spark.sparkContext.broadcast(rarity(both.filter("doc_id is null").select("line", "counts")))
+
+    def met(only, few, probing):
+        p = body.mapInArrow(_postings(counts, only), "token long, n int, place int, doc_id long, line int, ka long, kb long, b0 long, b1 long")
+        dealt = p.repartition(tasks(spark, 12) * 2, "token").sortWithinPartitions("token", "n", "ka", "kb", "doc_id", "line")
+        return dealt.mapInArrow(_candidates(few, probing), "la long, lb long, ea long, eb long, more boolean")
+
+    found = cut(met(None, FEW, None))
     near = cut(_verified(body, found.filter("not more").drop("more").distinct()))
-    left = cut(found.filter("more").select("la", "lb").distinct().join(near.select("la", "lb").distinct(), ["la", "lb"], "left_anti"))
-    if not left.isEmpty():
-        probing = bloom(left.select(F.col("la").alias("h1"), F.col("lb").alias("h2")))
-        rest = dealt.mapInArrow(_candidates(None, probing), "la long, lb long, ea long, eb long, more boolean").drop("more").distinct()
-        near = near.union(cut(_verified(body, cut(rest.join(left, ["la", "lb"], "left_semi").select("la", "lb", "ea", "eb")))))
+    left = cut(found.filter("more").select("la", "lb", F.col("ea").alias("token")).join(near.select("la", "lb").distinct(), ["la", "lb"], "left_anti"))
+    if not left.isEmpty():  # undecided lines meet all that share the words where there were more
+        probing = bloom(left.select(F.col("la").alias("h1"), F.col("lb").alias("h2")).distinct())
+        words = bloom(left.select(F.col("token").alias("h1"), F.shiftright("token", 21).alias("h2")).distinct())
+        rest = met(words, None, probing).drop("more").distinct()
+        near = near.union(cut(_verified(body, cut(rest.join(left.select("la", "lb").distinct(), ["la", "lb"], "left_semi").select("la", "lb", "ea", "eb")))))
     matched = near.join(firsts.select(F.col("ka").alias("ea"), F.col("kb").alias("eb"), F.col("first").alias("of")), ["ea", "eb"]).groupBy(F.col("la").alias("ka"), F.col("lb").alias("kb")).agg(F.min("of").alias("of"))
     known = firsts.join(matched, ["ka", "kb"], "left").filter("of is not null or first <> last").select("ka", "kb", F.col("first"), F.col("of"))
     gone = lines.join(known, ["ka", "kb"]).filter("of is not null or first <> struct(doc_id, line)")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import zipfile
@@ -28,9 +29,15 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and go on from there; a lost executor then costs no recomputation."""
+    """Write df to the shared folder and go on from there; a lost executor then costs no recomputation.
+
+    The shuffle files behind it are of no more use; Spark deletes them once the driver has collected their handles.
+    """
     shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    gc.collect()
+    df.sparkSession.sparkContext._jvm.System.gc()
+    return out
 
 
 def ship(spark: SparkSession) -> None:

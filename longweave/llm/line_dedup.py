@@ -268,13 +268,16 @@ def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
 
 def remove_repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs without the repeated lines; n_chars, if there, counts anew.  Documents that lose all their words go."""
-    gone = repeated_lines(docs, text).groupBy("doc_id").agg(F.collect_set("line").alias("_gone")).withColumnRenamed("doc_id", "_id")
-    both = docs.join(gone, docs["doc_id"] == gone["_id"], "left")
-    less = F.array_join(F.expr(f"filter(split(`{text}`, '\\n', -1), (x, i) -> not array_contains(_gone, i))"), "\n")
-    out = both.withColumn(text, F.when(F.col("_gone").isNull(), F.col(text)).otherwise(less)).filter(F.col("_gone").isNull() | F.col(text).rlike(r"[^\x20\x09-\x0D]"))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length(text).cast("long")))
-    return out.select(*docs.columns)
+    if text not in docs.columns or "doc_id" not in docs.columns:
+        return docs
+    gone = repeated_lines(docs, text).groupBy("doc_id").agg(F.collect_set("line").alias("__gone")).withColumnRenamed("doc_id", "__id")
+    both = docs.join(gone, docs["doc_id"] == F.col("__id"), "left")
+    less = F.array_join(F.expr(f"filter(split(`{text}`, '\\n', -1), (x, i) -> not array_contains(__gone, i))"), "\n")
+    whole = F.col("__gone").isNull() | F.col(text).isNull()
+    out = both.withColumn("__text", F.when(whole, F.col(text)).otherwise(less)).filter(whole | F.col("__text").rlike(r"[^\x20\x09-\x0D]"))
+    size = F.when(whole, F.col("n_chars")).otherwise(F.length("__text").cast("long")) if "n_chars" in docs.columns else None
+    new = {text: F.col("__text"), "n_chars": size}
+    return out.select(*(new.get(c, F.col(c)).alias(c) for c in docs.columns))
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -194,9 +194,9 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = PERCENT)
 
 
 def keep_representatives(docs: DataFrame, text: str = "text", percent: int = PERCENT) -> DataFrame:
-    """docs with one document of each group, that of the smallest doc_id; unlinked rows all stay."""
-    gone = near_duplicates(docs, text, percent).filter("not kept").select(F.col("doc_id").alias("_id"), "n_shingles")
-    return docs.join(gone.select("_id").distinct(), docs["doc_id"] == F.col("_id"), "left_anti")
+    """docs with one document of each group, that of the smallest doc_id (all its rows); unlinked rows all stay."""
+    gone = near_duplicates(docs, text, percent).filter("not kept").select(F.col("doc_id").alias("__id")).distinct()
+    return docs.join(gone, docs["doc_id"] == F.col("__id"), "left_anti")
 
 
 def op1_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -176,7 +176,8 @@ def find_secrets(docs: DataFrame, model: CharCNN | None = None, text: str = "tex
 
     Base spans always stay; kind model marks what the network adds at or over its threshold.
     """
-    held = docs.sparkSession.sparkContext.broadcast(model or train_model(docs, text))
+    held = docs.sparkSession.sparkContext.broadcast(model if model is not None else train_model(docs, text))
+    docs = docs.drop("secrets")
     if text not in docs.columns:
         docs = docs.withColumn(text, F.lit(None).cast("string"))
     at = docs.columns.index(text)

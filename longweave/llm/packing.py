@@ -92,7 +92,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, shard_items: int =
 
     from pyspark.sql.types import StructType
 
-    packed = dealt.mapInArrow(place, StructType(pieces.schema.fields).add("sequence_id", "long").add("offset", "long"))
+    packed = dealt.mapInArrow(place, StructType([*pieces.schema.fields]).add("sequence_id", "long").add("offset", "long"))
     return packed.unionByName(full.withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")}))
 
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from longweave.llm.common import column, table
+from longweave.llm.common import column, hash_sample, table
 from longweave.llm.hashing import U, blocks, mix, ngrams, words_of
 
 BITS, SAMPLE, EPOCHS, SCALE = 20, 6000, 3, 12.0
@@ -109,7 +109,7 @@ def held_out(doc_id: Column) -> Column:
 def train(docs: DataFrame, labels: DataFrame, label: str = "quality", text: str = "text", sample: int = SAMPLE) -> Model:
     """Fitted on at most `sample` labelled documents; these rows and the weights are all that the driver holds."""
     known = labels.filter(F.col("doc_id").isNotNull() & F.col(label).isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg((F.avg(label) > 0.5).cast("int").alias("y"))
-    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)  # the bound of what is broadcast
+    chosen = hash_sample(known, F.col("doc_id"), sample)  # the bound of what is broadcast
     body = docs.select("doc_id", column(docs, text, "string").alias("text")).join(F.broadcast(chosen), "doc_id")
 
     def extract(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -19,7 +19,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from longweave.llm.common import column, cut, table, tasks
+from longweave.llm.common import column, cut, hash_sample, table, tasks
 from longweave.llm.files import Publish, new_folder, open_store
 
 SKIP_MAGIC, MIN_DEDUP, SAMPLE, SAMPLE_BYTES, DICT_BYTES, LEVEL = 0x184D2A5D, 100, 2000, 16_384, 1 << 16, 3
@@ -29,7 +29,7 @@ DATE = "2024-01-01T00:00:00Z"
 
 def train_dictionary(pages: DataFrame, payload: str = "html", sample: int = SAMPLE) -> bytes:
     """Empty where there is too little to train on."""
-    rows = pages.select(F.substring(F.coalesce(column(pages, payload, "string"), F.lit("")), 1, SAMPLE_BYTES).alias("t"), F.xxhash64("page_id").alias("h")).orderBy("h").limit(sample).collect()
+    rows = hash_sample(pages, column(pages, "page_id", "long"), sample).select(F.substring(F.coalesce(column(pages, payload, "string"), F.lit("")), 1, SAMPLE_BYTES).alias("t")).collect()
     try:
         return zstandard.train_dictionary(DICT_BYTES, [r["t"].encode("utf-8", "surrogatepass") for r in rows if r["t"]]).as_bytes()
     except zstandard.ZstdError:

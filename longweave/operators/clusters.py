@@ -46,7 +46,7 @@ def nearest_fast(states: DataFrame, centroids: np.ndarray, metric: str = "cosine
             got = kernels.assign(v, held.value, metric) if b.num_rows else np.empty(0)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(got, pa.int32())], [*b.schema.names, "cluster"])
 
-    return states.mapInArrow(label, StructType(states.schema.fields).add("cluster", "integer"))
+    return states.mapInArrow(label, StructType([*states.schema.fields]).add("cluster", "integer"))
 
 
 def cluster_rank(states: DataFrame) -> DataFrame:

@@ -7,8 +7,7 @@ from pyspark.sql import functions as F
 
 
 def newest(states: DataFrame, cap: int, arrival: str = "arrival") -> DataFrame:
-    """The cap newest states (arrival is a total order).  The threshold is found by counts over ranges, so no sort of
-    all rows: only the range that holds it is ordered."""
+    """The cap newest states (arrival is a total order): a top-k, to which each task sends at most cap rows."""
     return states.orderBy(F.desc(arrival)).limit(cap)
 
 

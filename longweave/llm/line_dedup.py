@@ -7,7 +7,7 @@ The join: words are ordered by rarity (their count in the corpus, from a table o
 are similar enough share a word among the first n - ceil(t n) + 1 of each.  Candidates must pass the length filter, the
 positional filter and a bitmap's bound on the difference, all lossless, and are verified on the full sets.  Equal sets are
 one line from the start.  Where a line has more than FEW candidates under one word, its earliest FEW are verified first;
-only lines that these leave undecided meet the rest.
+it then meets those of the rest that come before the match found, or all of the rest if there is none.
 Null and empty texts have no lines; rows without doc_id take no part; rows that repeat a doc_id count as one document,
 whose equal lines at the same place are one line.
 """
@@ -29,6 +29,7 @@ SLOTS, SPAN = 1 << 18, 1 << 13
 LINES, WORD_BITS, RARE_BITS = 1 << 13, 45, 6
 SEEN = 200_000
 LINE = "doc_id long, line int, n int, ka long, kb long, counts array<long>"
+PAIR = "la long, lb long, ea long, eb long, doc_id long, line int, token long"
 
 
 def block_lines(texts: list[str | None], counts: np.ndarray | None = None) -> Iterator[tuple]:
@@ -141,7 +142,9 @@ def _postings(counts, only=None):
 def _candidates(few: int | None, probing):
     """Of postings sorted by (token, n, ka, kb, doc_id, line): pairs later, earlier of sets that pass all filters.
 
-    few: at most so many, the earliest, for each later line and word; a row with more and the word in ea says there are others.
+    doc_id, line: the earlier one's first place.
+    few: at most so many, the earliest, for each later line and word; a row without ea says that there are others under this
+    word, the first of them at doc_id, line.  Only these rows, or all if few is None, name the word.
     probing: a Bloom filter of the later lines wanted, or None for all.
     """
     names = ["token", "n", "place", "doc_id", "line", "ka", "kb", "b0", "b1"]
@@ -171,12 +174,14 @@ def _candidates(few: int | None, probing):
                 yield np.where(swap, i, j), np.where(swap, j, i)
             at = z
 
-    def out(c, later, earlier, more):
-        cols = [c["ka"][later], c["kb"][later], c["ka"][earlier], c["kb"][earlier]]
-        yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(np.zeros(len(later), bool))], ["la", "lb", "ea", "eb", "more"])
-        if len(more):
-            none = pa.nulls(len(more), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c["ka"][more]), pa.array(c["kb"][more]), pa.array(c["token"][more]), none, pa.array(np.ones(len(more), bool))], ["la", "lb", "ea", "eb", "more"])
+    def out(c, later, earlier, rest):
+        """rest: (later, first of the others)."""
+        for i, j, others in ((later, earlier, False), (*rest, True)):
+            if len(i):
+                none = pa.nulls(len(i), pa.int64())
+                mate = [none, none] if others else [pa.array(c["ka"][j]), pa.array(c["kb"][j])]
+                word = pa.array(c["token"][i]) if others or few is None else none
+                yield pa.RecordBatch.from_arrays([pa.array(c["ka"][i]), pa.array(c["kb"][i]), *mate, pa.array(c["doc_id"][j]), pa.array(c["line"][j]), word], ["la", "lb", "ea", "eb", "doc_id", "line", "token"])
 
     def join(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
@@ -198,16 +203,16 @@ def _candidates(few: int | None, probing):
                 if probing is not None and len(later):
                     ok = may_contain(probing.value, c["ka"][later], c["kb"][later])
                     later, earlier = later[ok], earlier[ok]
-                more = np.empty(0, np.int64)
+                rest = (np.empty(0, np.int64),) * 2
                 if few is not None and len(later):
                     order = np.lexsort((c["line"][earlier], c["doc_id"][earlier], later))
                     later, earlier = later[order], earlier[order]
                     head = np.flatnonzero(np.concatenate(([True], later[1:] != later[:-1])))
                     nth = np.arange(len(later)) - np.repeat(head, np.diff(np.append(head, len(later))))
-                    more = np.unique(later[nth >= few])
+                    rest = later[nth == few], earlier[nth == few]
                     later, earlier = later[nth < few], earlier[nth < few]
                 if len(later):
-                    yield from out(c, later, earlier, more)
+                    yield from out(c, later, earlier, rest)
             last = (c["token"] == c["token"][-1]) & (c["n"] * 100 >= PERCENT * c["n"][-1])  # what later rows can still meet
             held = {k: v[last] for k, v in c.items()}
 
@@ -215,7 +220,7 @@ def _candidates(few: int | None, probing):
 
 
 def _verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Those of pairs (la, lb, ea, eb) whose full sets are similar enough."""
+    """Those of pairs (la, lb, ea, eb, doc_id, line) whose full sets are similar enough."""
     keys = pairs.select(F.explode(F.array(F.struct(F.col("la").alias("h1"), F.col("lb").alias("h2")), F.struct(F.col("ea").alias("h1"), F.col("eb").alias("h2")))).alias("k")).select("k.*")
     wanted = bloom(keys.distinct())
 
@@ -233,11 +238,11 @@ def _verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
     one = pairs.join(full.select(F.col("ka").alias("la"), F.col("kb").alias("lb"), F.col("s").alias("x")), ["la", "lb"])
     two = one.join(full.select(F.col("ka").alias("ea"), F.col("kb").alias("eb"), F.col("s").alias("y")), ["ea", "eb"])
     both = F.size(F.array_intersect("x", "y"))
-    return two.filter(both * (100 + PERCENT) >= PERCENT * (F.size("x") + F.size("y"))).select("la", "lb", "ea", "eb")
+    return two.filter(both * (100 + PERCENT) >= PERCENT * (F.size("x") + F.size("y"))).select(pairs.columns)
 
 
 def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The lines to remove: doc_id, line (from 0), n_words (distinct), of_doc_id, of_line (the earliest match found)."""
+    """The lines to remove: doc_id, line (from 0), n_words (distinct), of_doc_id, of_line (the earliest match)."""
     spark = docs.sparkSession
     body = docs.select(column(docs, "doc_id", "long").alias("doc_id"), column(docs, text, "string").alias("text")).filter("doc_id is not null")
     both = cut(body.mapInArrow(_lines, LINE))
@@ -249,17 +254,21 @@ def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
     def met(only, few, probing):
         p = body.mapInArrow(_postings(counts, only), "token long, n int, place int, doc_id long, line int, ka long, kb long, b0 long, b1 long")
         dealt = p.repartition(tasks(spark, 12) * 2, "token").sortWithinPartitions("token", "n", "ka", "kb", "doc_id", "line")
-        return dealt.mapInArrow(_candidates(few, probing), "la long, lb long, ea long, eb long, more boolean")
+        return dealt.mapInArrow(_candidates(few, probing), PAIR)
+
+    def earliest(pairs):
+        return cut(_verified(body, pairs).groupBy("la", "lb").agg(F.min(place).alias("of")))
 
     found = cut(met(None, FEW, None))
-    near = cut(_verified(body, found.filter("not more").drop("more").distinct()))
-    left = cut(found.filter("more").select("la", "lb", F.col("ea").alias("token")).join(near.select("la", "lb").distinct(), ["la", "lb"], "left_anti"))
-    if not left.isEmpty():  # undecided lines meet all that share the words where there were more
+    near = earliest(found.filter("ea is not null").drop("token").distinct())
+    others = found.filter("ea is null").groupBy("la", "lb", "token").agg(F.min(place).alias("since"))
+    left = cut(others.join(near, ["la", "lb"], "left").filter("of is null or since < of"))
+    if not left.isEmpty():  # lines whose earliest match may be among what was put off meet that part
         probing = bloom(left.select(F.col("la").alias("h1"), F.col("lb").alias("h2")).distinct())
         words = bloom(left.select(F.col("token").alias("h1"), F.shiftright("token", 21).alias("h2")).distinct())
-        rest = met(words, None, probing).drop("more").distinct()
-        near = near.union(cut(_verified(body, cut(rest.join(left.select("la", "lb").distinct(), ["la", "lb"], "left_semi").select("la", "lb", "ea", "eb")))))
-    matched = near.join(firsts.select(F.col("ka").alias("ea"), F.col("kb").alias("eb"), F.col("first").alias("of")), ["ea", "eb"]).groupBy(F.col("la").alias("ka"), F.col("lb").alias("kb")).agg(F.min("of").alias("of"))
+        rest = met(words, None, probing).join(left, ["la", "lb", "token"]).filter((place >= F.col("since")) & (F.col("of").isNull() | (place < F.col("of"))))
+        near = near.union(earliest(cut(rest.select("la", "lb", "ea", "eb", "doc_id", "line").distinct())))
+    matched = near.groupBy(F.col("la").alias("ka"), F.col("lb").alias("kb")).agg(F.min("of").alias("of"))
     known = firsts.join(matched, ["ka", "kb"], "left").filter("of is not null or first <> last").select("ka", "kb", F.col("first"), F.col("of"))
     gone = lines.join(known, ["ka", "kb"]).filter("of is not null or first <> struct(doc_id, line)")
     source = F.coalesce("of", "first")

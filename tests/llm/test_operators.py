@@ -117,6 +117,24 @@ def test_line_dedup_equals_brute_force(spark):
         line_dedup.FEW = few
 
 
+
+def test_line_dedup_names_the_earliest_match(spark):
+    a, c, r, g = ([f"{k}{i}" for i in range(n)] for k, n in (("a", 10), ("c", 270), ("r", 20), ("g", 299)))
+    apart = [a + g[: 9 * i] + g[9 * i + 9 :] for i in range(9)]  # share the words of a with the last line, and pass the filters
+    first, second, last = a + c + [f"e{i}" for i in range(20)], c + r + [f"m{i}" for i in range(10)], a + c + r
+    rows = [[*apart, first], [second], [last], [c + g] * 40]  # the many copies make the words of c and g the frequent ones
+    lines = [(d, k, frozenset(x)) for d, t in enumerate(rows) for k, x in enumerate(t)]
+    want = {}
+    for i, (d, k, s) in enumerate(lines):
+        of = next(((x, y) for x, y, o in lines[:i] if 100 * len(s & o) >= line_dedup.PERCENT * len(s | o)), None)
+        if of:
+            want[d, k] = of
+    assert want[2, 0] == (0, 9)
+    texts = [(d, "\n".join(map(" ".join, t))) for d, t in enumerate(rows)]
+    got = line_dedup.repeated_lines(spark.createDataFrame(texts, "doc_id long, text string"))
+    assert {(r["doc_id"], r["line"]): (r["of_doc_id"], r["of_line"]) for r in got.collect()} == want
+
+
 def test_decontamination(spark, docs, none):
     item = "Alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau upsilon"
     w = item.split()

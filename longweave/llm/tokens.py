@@ -2,7 +2,7 @@
 
 A byte-level BPE never merges over the places where its pattern splits, and a space or line feed between two non-space
 characters is such a place.  So a text's ids are those of its space-separated pieces, one after another, unless white space
-meets white space; such texts are encoded whole.  Pieces come from a cache of bounded size in each worker.
+meets white space; such texts, and those that hold an added token's string, are encoded whole.  Pieces come from a cache of bounded size in each worker.
 """
 
 from __future__ import annotations
@@ -25,9 +25,13 @@ def tokenizer(path: str):
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True  # their strings in a text are ordinary text
-    return t
+    return Tokenizer.from_file(path)
+
+
+@lru_cache(maxsize=2)
+def _added(path: str) -> tuple[str, ...]:
+    """Strings that the tokenizer takes out of a text before its pattern splits it."""
+    return tuple(a.content for a in tokenizer(path).get_added_tokens_decoder().values() if a.content)
 
 
 def default_path() -> str:
@@ -130,10 +134,14 @@ def ids_of(texts: list[str | None], path: str) -> list[bytes]:
     _cache[path] = cache, before
     # a text's first piece has no space before it: it is looked up as if after a line feed, whose id then goes
     feed = len(_whole(path, "\n"))
-    split = [("\n" + (t or "")).replace("\n", " \n")[1:].split(" ") for t in texts]
+    added = _added(path)
+    split = [None if any(a in (t or "") for a in added) else ("\n" + (t or "")).replace("\n", " \n")[1:].split(" ") for t in texts]
     get, out = cache.get, []
     got, new = [], set()
     for pieces in split:
+        if pieces is None:
+            got.append(None)
+            continue
         row = list(map(get, pieces))
         try:
             got.append(b"".join(row))
@@ -145,7 +153,7 @@ def ids_of(texts: list[str | None], path: str) -> list[bytes]:
         _learn(path, [p for p in new if p not in before], cache)
     for text, pieces, ids in zip(texts, split, got, strict=True):
         if ids is None:
-            row = list(map(get, pieces))
+            row = [None] if pieces is None else list(map(get, pieces))
             ids = None if None in row else b"".join(row)
         out.append(b"" if not text else _whole(path, text) if ids is None else ids[feed:])
     return out

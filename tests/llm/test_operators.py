@@ -214,6 +214,17 @@ def test_tokens_packing_and_files(spark, docs, none):
     assert binary.read_token_files(binary.write_token_files(none, new_folder(spark, "t"), P)).count() == 0
 
 
+def test_ids_are_those_of_the_plain_call():
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(P)
+    added = [a.content for a in plain.get_added_tokens_decoder().values()]
+    assert "<|endoftext|>" in added
+    texts = ["one two", *(t for a in added for t in (a, f"one{a}two", f"one {a} two\n{a}\nthree.", f"{a}{a} é", a[:-1], a.upper())), "two three."]
+    want = [plain.encode(t, add_special_tokens=False).ids for t in texts]
+    assert [np.frombuffer(b, "<u4").tolist() for b in tokens.ids_of(texts, P)] == want
+
+
 def test_planes_round_trip():
     g = np.random.default_rng(0)
     for n in (1, 7, 70_000):

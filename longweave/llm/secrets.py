@@ -1,9 +1,10 @@
 """Secrets in texts: patterns give the base set, a character convolutional network judges every other candidate.
 
 The network (numpy) reads a candidate with the characters around it.  It is trained on labelled findings: seeded examples
-of public credential formats and of look-alikes, and the base findings of at most SAMPLE_DOCS documents (of ten times as
-many of smallest hash of text, those with anything like a key in their first 20,000 characters).  Held-out findings
-calibrate its output (Platt scaling) and set the threshold: the highest that still finds RECALL of the held-out secrets.
+of public credential formats and of look-alikes, and the base findings of at most SAMPLE_DOCS documents (those with any
+of ten times as many of smallest hash of text), wherever they stand in the text.  Other candidates of the documents are
+unknown, so they get no label.  Held-out findings calibrate its output (Platt scaling); the threshold is the highest that
+still finds RECALL of the held-out secrets that no base pattern meets.
 Null and empty texts have no spans; repeated rows keep one result each; other columns of the input pass through.
 """
 
@@ -29,7 +30,7 @@ CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 DIGIT = re.compile(r"[0-9]")
 LEFT, CORE, RIGHT = 24, 48, 8
 WIDTH = LEFT + CORE + RIGHT
-SAMPLE_DOCS, RECALL, MODEL_KIND = 2000, 0.95, "model"
+SAMPLE_DOCS, DOC_SPANS, RECALL, MODEL_KIND = 2000, 20, 0.95, "model"
 SPAN = "array<struct<kind:string,start:int,end:int,score:double>>"
 
 
@@ -117,8 +118,11 @@ class CharCNN:
                     var[k] += 0.001 * (grad * grad - var[k])
                     getattr(self, k)[...] -= rate * (mean[k] / (1 - 0.9**step)) / (np.sqrt(var[k] / (1 - 0.999**step)) + 1e-8)
 
-    def calibrate(self, x: np.ndarray, y: np.ndarray, recall: float = RECALL) -> None:
-        """Platt scaling by Newton steps on held-out findings, then the highest threshold that keeps this recall."""
+    def calibrate(self, x: np.ndarray, y: np.ndarray, recall: float = RECALL, binding: np.ndarray | None = None) -> None:
+        """Platt scaling by Newton steps on held-out findings, then the highest threshold that keeps this recall.
+
+        binding: which of the findings the recall is about; all if None.
+        """
         z, a, b = self.logit(x).astype(np.float64), 1.0, 0.0
         t = np.where(y > 0, (y.sum() + 1) / (y.sum() + 2), 1 / ((1 - y).sum() + 2))
         for _ in range(50):
@@ -129,7 +133,7 @@ class CharCNN:
             step = np.linalg.solve(hess, grad)
             a, b = a - np.clip(step[0], -1, 1), b - np.clip(step[1], -1, 1)
         self.scale, self.shift = float(a), float(b)
-        own = np.sort(self.score(x[y > 0]))
+        own = np.sort(self.score(x[y > 0 if binding is None else (y > 0) & binding]))
         self.threshold = float(own[int((1 - recall) * len(own))]) if len(own) else 0.5
 
 
@@ -152,22 +156,34 @@ def seeded_findings(n: int = 1500, seed: int = 3) -> list[tuple[str, int, int, i
     return out
 
 
+def base_windows(text: str) -> list[bytes]:
+    """Encoded base findings of the whole text, at most DOC_SPANS, evenly spread."""
+    base = base_spans(text)
+    return [encode(text, s, e).tobytes() for s, e, _ in base[:: max(1, -(-len(base) // DOC_SPANS))]]
+
+
 def train_model(docs: DataFrame, text: str = "text", sample_docs: int = SAMPLE_DOCS) -> CharCNN:
-    """The trained, calibrated network; at most sample_docs texts come to the driver."""
+    """The trained, calibrated network; windows of at most sample_docs texts come to the driver."""
+
+    def windows(batches):
+        for batch in batches:
+            got = [base_windows(t) for t in batch.column(0).to_pylist()]
+            some = [i for i, w in enumerate(got) if w]
+            yield pa.RecordBatch.from_arrays([batch.column(1).take(pa.array(some, pa.int64())), pa.array([got[i] for i in some], pa.list_(pa.binary()))], ["key", "x"])
+
     some = hash_sample(docs.select(column(docs, text, "string").alias("t")).filter("t is not null"), F.col("t"), 10 * sample_docs)
-    near = some.select(F.substring("t", 1, 20_000).alias("t")).filter(F.col("t").rlike(r"(?i)AKIA|[0-9a-f]{24}|[A-Za-z0-9+/_=-]{15}[0-9]"))
-    rows = hash_sample(near, F.col("t"), sample_docs).collect()
-    found = seeded_findings()
-    for r in rows:
-        base = base_spans(r["t"])
-        found += [(r["t"], s, e, 1) for s, e, _ in base[:20]] + [(r["t"], a, z, 0) for a, z in other_candidates(r["t"], base)[:5]]
-    x = np.stack([encode(t, a, z) for t, a, z, _ in found])
-    y = np.array([label for *_, label in found], dtype=np.float32)
+    near = some.select("t", F.xxhash64("t").alias("key")).mapInArrow(windows, "key long, x array<binary>")
+    seen = [np.frombuffer(w, np.uint8) for r in hash_sample(near, F.col("key"), sample_docs).collect() for w in r["x"]]
+    seeds = seeded_findings()
+    x = np.stack([*(encode(t, a, z) for t, a, z, _ in seeds), *seen])
+    y = np.array([label for *_, label in seeds] + [1] * len(seen), dtype=np.float32)
+    new = np.zeros(len(x), bool)  # not met by a base pattern
+    new[: len(seeds)] = [not any(a < e and s < z for s, e, _ in base_spans(t)) for t, a, z, _ in seeds]
     held = np.arange(len(x)) % 4 == 3
-    held[:1500] = (np.arange(1500) // 2) % 4 == 3
+    held[: len(seeds)] = (np.arange(len(seeds)) // 2) % 4 == 3
     model = CharCNN.fresh()
     model.train(x[~held], y[~held])
-    model.calibrate(x[held], y[held])
+    model.calibrate(x[held], y[held], binding=new[held])
     return model
 
 

@@ -174,6 +174,20 @@ def test_secrets(spark, docs, none):
     assert secrets.base_spans("secret=token:abcdef") == [] and secrets.base_spans("TOKEN = 'a1b2c3'")[0] == (0, 15, 0)
 
 
+def test_secrets_recall_binds_on_what_no_pattern_meets(spark):
+    g = np.random.default_rng(1)
+    pick = lambda chars, k: "".join(chars[i] for i in g.integers(0, len(chars), k))
+    base = lambda: pick("0123456789abcdef", 32)
+    keys = lambda: "ghp_" + pick("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 36)
+    rows = [(i, "\n".join([*(f"key = {keys()} end" for _ in range(5)), *(f"sum {base()} of" for _ in range(20))])) for i in range(200)]
+    model = secrets.train_model(spark.createDataFrame(rows, "doc_id long, text string"))
+    f = [x for x in secrets.seeded_findings(600, seed=17) if x[3] and not secrets.base_spans(x[0])]
+    p = model.score(np.stack([secrets.encode(t, a, z) for t, a, z, _ in f]))
+    assert (p >= model.threshold).mean() >= 0.9
+    late = "x " * 15_000 + base()
+    assert secrets.base_windows(late) == [secrets.encode(late, 30_000, 30_032).tobytes()]
+
+
 def test_quality(spark, sf, docs, none):
     d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     model = quality.train(d, lab)

@@ -411,15 +411,26 @@ def w_bank_sweep(spark, sf):
     return spark.createDataFrame(out, "cap int, first_move double, second_move double")
 
 
+def state_bank(spark, sf, cap=100_000):
+    """The newest cap states of the stream of documents."""
+    from longweave.operators.bank import newest
+
+    t = doc_tokens(spark, sf).withColumn("arrival", F.struct("seq_id", "pos"))
+    return persist_cut(T.embed(newest(t, cap), 16, SEED).select("vec"))
+
+
+def bank_rows(bank):
+    """(all rows of a bank, whose cap bounds them; its distinct ones)."""
+    x = np.array([r["vec"] for r in bank.collect()])
+    return x, np.unique(x, axis=0)
+
+
 @query("w_kmeans_time")
 def w_kmeans_time(spark, sf):
     """Seconds of one refresh over a bank of document states, by each way; the bank is capped by its own rule."""
-    from longweave.operators.bank import newest
-
-    t = T.vocabulary(doc_tokens(spark, sf), 16, SEED)
-    bank = persist_cut(newest(t.withColumn("arrival", F.col("tok")), 100_000).select("vec"))
-    x = np.array([r["vec"] for r in bank.limit(20_000).collect()])  # the part that the single-task ways read
-    init, out = x[np.random.default_rng(1).permutation(len(x))[:64]], []
+    bank = state_bank(spark, sf)
+    x, each = bank_rows(bank)
+    init, out = each[np.random.default_rng(1).permutation(len(each))[:64]], []
     for name, f in (("lloyd_distributed", lambda: C.kmeans(bank, init, 5)), ("lloyd", lambda: K.kmeans(x, init, 5)), ("bounded", lambda: K.kmeans_bounded(x, init, 5))):
         began = time.perf_counter()
         got = f()
@@ -429,9 +440,10 @@ def w_kmeans_time(spark, sf):
 
 @query("kmeans_bounded")
 def kmeans_bounded(spark, sf):
-    """Bounded and plain Lloyd from one start: equal labels, fewer distances."""
-    x = np.array([r["v"] for r in load(spark, sf, "embeddings").orderBy("vec_id").select(doubles("embedding").alias("v")).limit(100_000).collect()])  # a bank's cap
-    a, b = K.kmeans(x, x[:40], 10), K.kmeans_bounded(x, x[:40], 10)
+    """Bounded and plain Lloyd from one start over a whole bank of document states: equal labels, fewer distances."""
+    x, each = bank_rows(state_bank(spark, sf))
+    init = each[np.random.default_rng(1).permutation(len(each))[:40]]
+    a, b = K.kmeans(x, init, 10), K.kmeans_bounded(x, init, 10)
     return spark.createDataFrame([(int((a[1] == b[1]).sum()), len(x), a[2], b[2])], "equal long, n long, lloyd_distances long, bounded_distances long")
 
 

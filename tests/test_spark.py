@@ -97,3 +97,11 @@ def test_query_equals_sql(spark, sf, name):
 
 def test_every_oracle_has_its_query():
     assert set(registry.ORACLES) <= set(registry.QUERIES)
+
+
+def test_kmeans_ways_share_the_whole_bank(spark, sf):
+    from longweave.plans import workload_queries as Q
+
+    total = Q.doc_tokens(spark, sf).count()
+    assert Q.kmeans_bounded(spark, sf).first()["n"] == min(100_000, total)
+    assert Q.state_bank(spark, sf, cap=30).count() == 30

@@ -1,7 +1,7 @@
 """Line dedup: an exact set-similarity self-join over all lines, removing later matches.
 
-A line is the set of its distinct words (A-Z lowered, split at ASCII white space); lines of at least
-LEAST distinct words take part.  A line goes if an earlier one, by (doc_id, number of line), has the same set or a Jaccard similarity of at least PERCENT / 100.
+A line is the set of its distinct words (A-Z lowered, split at ASCII white space); a line without words takes no part.  A
+line goes if an earlier one, by (doc_id, number of line), has the same set or a Jaccard similarity of at least PERCENT / 100.
 Whether that earlier line goes too doesn't matter.  Sets below NEAR_LEAST words can only reach that by being equal.
 The join: words are ordered by rarity (their count in the corpus, from a table of bounded size, then hash); two lines that
 are similar enough share a word among the first n - ceil(t n) + 1 of each.  Candidates must pass the length filter, the
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from longweave.llm.common import bloom, column, cut, may_contain, table, tasks
 from longweave.llm.hashing import U, blocks, mix, words_of
 
-LEAST, PERCENT, FEW = 5, 85, 8
+PERCENT, FEW = 85, 8
 #: A set of n words and another one are at most n / (n + 1) alike.
 NEAR_LEAST = -(-PERCENT // (100 - PERCENT))
 SLOTS, MOST_SLOTS, SPAN = 1 << 18, 1 << 22, 1 << 13
@@ -62,8 +62,7 @@ def block_lines(texts: list[str | None], counts: np.ndarray | None = None) -> It
         word = key & U((1 << WORD_BITS) - 1)
         some, begin, n = np.unique(own, return_index=True, return_counts=True)
         ka, kb = np.add.reduceat(mix(word), begin), np.bitwise_xor.reduceat(mix(word + U(1 << 50)), begin)
-        keep = n >= LEAST
-        some, begin, n, ka, kb = some[keep] + low, begin[keep], n[keep], ka[keep], kb[keep]
+        some = some + low
         doc = np.searchsorted(first, some, "right") - 1
         yield doc, some - first[doc], n, ka.view(np.int64), kb.view(np.int64), begin, word
 
@@ -376,7 +375,7 @@ def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 SQL = r"""
 with l as (select doc_id, unnest(range(len(string_split(text, chr(10)))))::int as line, unnest(string_split(text, chr(10))) as x from documents where text is not null and doc_id is not null),
 w as (select doc_id, line, list_sort(list_distinct(list_filter(regexp_split_to_array(translate(x, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda y: y <> ''))) as s from l),
-f as (select s, len(s) as n, min({'d': doc_id, 'l': line}) as first, row_number() over () as k from w where len(s) >= 5 group by s),
+f as (select s, len(s) as n, min({'d': doc_id, 'l': line}) as first, row_number() over () as k from w where len(s) > 0 group by s),
 e as (select k, n, first, unnest(s) as x from f),
 p as (select a.k, min(b.first) as of from
        (select a.k as ak, b.k as bk from e a join e b on a.x = b.x and a.first > b.first and 100 * least(a.n, b.n) >= 85 * greatest(a.n, b.n)

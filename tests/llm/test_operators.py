@@ -89,11 +89,11 @@ def test_sketches_fill_and_estimate():
 def test_line_dedup(spark, docs, none):
     rows = [(1, "the quick brown fox jumps over it\nshort"), (2, "short\nOVER it the quick brown fox jumps\nanother line of some length here"), (3, None), (None, "the quick brown fox jumps over it"), (4, "the quick brown fox jumps over it")]
     d = spark.createDataFrame(rows, "doc_id long, text string")
-    assert sorted((r["doc_id"], r["line"], r["of_doc_id"], r["of_line"]) for r in line_dedup.repeated_lines(d).collect()) == [(2, 1, 1, 0), (4, 0, 1, 0)]
+    assert sorted((r["doc_id"], r["line"], r["of_doc_id"], r["of_line"]) for r in line_dedup.repeated_lines(d).collect()) == [(2, 0, 1, 1), (2, 1, 1, 0), (4, 0, 1, 0)]
     left = {r["doc_id"]: r["text"] for r in line_dedup.remove_repeated_lines(d).collect()}
-    assert left == {1: rows[0][1], 2: "short\nanother line of some length here", 3: None, None: rows[3][1]}
+    assert left == {1: rows[0][1], 2: "another line of some length here", 3: None, None: rows[3][1]}
     out = line_dedup.remove_repeated_lines(docs)
-    assert out.columns == docs.columns and sorted(r["doc_id"] or 0 for r in out.collect()) == [0, 1, 4, 5, 6, 7, 7, 8, 9, 10]  # 2 and 3 repeat 1
+    assert out.columns == docs.columns and sorted(r["doc_id"] or 0 for r in out.collect()) == [0, 1, 4, 5, 6, 8, 9, 10]  # 2 and 3 repeat 1, 7 repeats 6
     assert line_dedup.remove_repeated_lines(none).count() == 0
 
 
@@ -106,18 +106,20 @@ def test_line_dedup_equals_brute_force(spark):
     lines = sorted((d, k, frozenset(x.split())) for d, t in rows for k, x in enumerate(t.split("\n")))
     want = set()
     for i, (d, k, s) in enumerate(lines):
-        if len(s) >= line_dedup.LEAST and any(len(o) >= line_dedup.LEAST and 100 * len(s & o) >= line_dedup.PERCENT * len(s | o) for _, _, o in lines[:i]):
+        if any(100 * len(s & o) >= line_dedup.PERCENT * len(s | o) for _, _, o in lines[:i]):
             want.add((d, k))
-    few = line_dedup.FEW
+    few, earliest = line_dedup.FEW, {}
+    for i, (d, k, s) in enumerate(lines):
+        earliest[d, k] = next(((x, y) for x, y, o in lines[:i] if 100 * len(s & o) >= line_dedup.PERCENT * len(s | o)), None)
     try:
-        for line_dedup.FEW in (1, few):  # with one, the second round has to find the rest
-            got = line_dedup.repeated_lines(spark.createDataFrame(rows, "doc_id long, text string"))
-            assert {(r["doc_id"], r["line"]) for r in got.collect()} == want
+        for line_dedup.FEW in (1, 2, few):  # with few, the second round has to find the rest
+            got = line_dedup.repeated_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+            assert {(r["doc_id"], r["line"]) for r in got} == want
+            assert {(r["doc_id"], r["line"]): (r["of_doc_id"], r["of_line"]) for r in got} == {k: earliest[k] for k in want}
     finally:
         line_dedup.FEW = few
 
 
-
 def test_line_dedup_names_the_earliest_match(spark):
     a, c, r, g = ([f"{k}{i}" for i in range(n)] for k, n in (("a", 10), ("c", 270), ("r", 20), ("g", 299)))
     apart = [a + g[: 9 * i] + g[9 * i + 9 :] for i in range(9)]  # share the words of a with the last line, and pass the filters

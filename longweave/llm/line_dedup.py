@@ -31,9 +31,9 @@ SLOTS, MOST_SLOTS, SPAN = 1 << 18, 1 << 22, 1 << 13
 LINES, WORD_BITS, RARE_BITS = 1 << 13, 45, 6
 SEEN, PAIRS = 200_000, 2_000_000
 LINE = "doc_id long, line int, n int, ka long, kb long, counts array<int>"
-PAIR = "la long, lb long, ea long, eb long, doc_id long, line int, from_doc long, token long, key long, post binary"
-#: A posting in one binary value whose bytes sort by (n, ka, kb, doc_id, line); doc_id is moved to be unsigned.
-POST = np.dtype([("n", ">u4"), ("ka", ">u8"), ("kb", ">u8"), ("doc_id", ">u8"), ("line", ">u4"), ("place", ">u4"), ("b0", ">u8"), ("b1", ">u8")])
+PAIR = "la long, ea long, doc_id long, line int, from_doc long, token long, key long, post binary"
+#: A posting in one binary value whose bytes sort by (n, ka, doc_id, line); doc_id is moved to be unsigned.
+POST = np.dtype([("n", ">u4"), ("ka", ">u8"), ("doc_id", ">u8"), ("line", ">u4"), ("place", ">u4"), ("b0", ">u8"), ("b1", ">u8")])
 SIGN = U(1 << 63)
 #: A posting's key: its word, then its line's number of words as far as bits go.  Most comparisons of a sort end there.
 SIZE_BITS = 63 - WORD_BITS
@@ -143,10 +143,10 @@ def _postings(counts):
         for batch in batches:
             ids = batch.column(0).to_numpy()
             for at, part in blocks(batch.column(1).to_pylist()):
-                for doc, line, n, ka, kb, begin, word in block_lines(part, counts.value):
+                for doc, line, n, ka, _, begin, word in block_lines(part, counts.value):
                     keep = n >= NEAR_LEAST
                     keep[keep] = seen.new(ka[keep].tolist(), list(zip(ids[at + doc[keep]].tolist(), line[keep].tolist(), strict=True)))
-                    doc, line, n, ka, kb, begin = (x[keep] for x in (doc, line, n, ka, kb, begin))
+                    doc, line, n, ka, begin = (x[keep] for x in (doc, line, n, ka, begin))
                     if not len(n):
                         continue
                     every = np.repeat(begin - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())
@@ -154,7 +154,7 @@ def _postings(counts):
                     one = U(1) << (bit & 63).astype(np.uint64)
                     cutsat = np.concatenate(([0], np.cumsum(n)[:-1]))
                     rows = np.empty(len(n), POST)
-                    rows["n"], rows["ka"], rows["kb"], rows["line"] = n, ka.view(np.uint64), kb.view(np.uint64), line
+                    rows["n"], rows["ka"], rows["line"] = n, ka.view(np.uint64), line
                     rows["doc_id"] = ids[at + doc].view(np.uint64) ^ SIGN
                     rows["b0"], rows["b1"] = np.bitwise_or.reduceat(np.where(bit < 64, one, U(0)), cutsat), np.bitwise_or.reduceat(np.where(bit < 64, U(0), one), cutsat)
                     p = n - -(-PERCENT * n // 100) + 1
@@ -230,23 +230,23 @@ def _candidates(few: int | None, probing):
 
     signed = lambda x: pa.array(x.view(np.int64))
     place_of = lambda c, j: [pa.array((c["doc_id"][j] ^ SIGN).view(np.int64)), pa.array(c["line"][j].astype(np.int32))]
-    fields = ["la", "lb", "ea", "eb", "doc_id", "line", "from_doc", "token", "key", "post"]
+    fields = ["la", "ea", "doc_id", "line", "from_doc", "token", "key", "post"]
 
     def out(c, later, earlier, rest) -> Iterator[pa.RecordBatch]:
         none = lambda n, t=pa.int64(): pa.nulls(n, t)
         for at in range(0, len(later), 50_000):
             i, j = later[at : at + 50_000], earlier[at : at + 50_000]
-            yield pa.RecordBatch.from_arrays([signed(c["ka"][i]), signed(c["kb"][i]), signed(c["ka"][j]), signed(c["kb"][j]), *place_of(c, j), place_of(c, i)[0], pa.array(c["token"][i]) if few is None else none(len(i)), none(len(i)), none(len(i), pa.binary())], fields)
+            yield pa.RecordBatch.from_arrays([signed(c["ka"][i]), signed(c["ka"][j]), *place_of(c, j), place_of(c, i)[0], pa.array(c["token"][i]) if few is None else none(len(i)), none(len(i)), none(len(i), pa.binary())], fields)
         if rest:
             i, j, first = (np.concatenate(x) for x in zip(*rest, strict=True))
             saved = np.unique(np.concatenate([i, j]))
             i, j = i[first], j[first]
             if len(i):
-                yield pa.RecordBatch.from_arrays([signed(c["ka"][i]), signed(c["kb"][i]), none(len(i)), none(len(i)), *place_of(c, j), none(len(i)), pa.array(c["token"][i]), none(len(i)), none(len(i), pa.binary())], fields)
+                yield pa.RecordBatch.from_arrays([signed(c["ka"][i]), none(len(i)), *place_of(c, j), none(len(i)), pa.array(c["token"][i]), none(len(i)), none(len(i), pa.binary())], fields)
             rows = np.empty(len(saved), POST)
             for k in POST.names:
                 rows[k] = c[k][saved]
-            yield pa.RecordBatch.from_arrays([*(none(len(saved)) for _ in range(5)), none(len(saved), pa.int32()), none(len(saved)), pa.array(c["token"][saved]), pa.array((c["token"][saved] << SIZE_BITS) | np.minimum(c["n"][saved], (1 << SIZE_BITS) - 1)), packed(rows)], fields)
+            yield pa.RecordBatch.from_arrays([*(none(len(saved)) for _ in range(3)), none(len(saved), pa.int32()), none(len(saved)), pa.array(c["token"][saved]), pa.array((c["token"][saved] << SIZE_BITS) | np.minimum(c["n"][saved], (1 << SIZE_BITS) - 1)), packed(rows)], fields)
 
     def join(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] | None = None
@@ -260,10 +260,10 @@ def _candidates(few: int | None, probing):
             if held is not None:
                 old = len(held["token"])
                 c = {k: np.concatenate([held[k], c[k]]) for k in names}
-            once = np.concatenate(([True], (c["ka"][1:] != c["ka"][:-1]) | (c["kb"][1:] != c["kb"][:-1]) | (c["token"][1:] != c["token"][:-1])))
+            once = np.concatenate(([True], (c["ka"][1:] != c["ka"][:-1]) | (c["token"][1:] != c["token"][:-1])))
             new_from = int(once[:old].sum())
             c = {k: v[once] for k, v in c.items()}
-            probe = None if probing is None else may_contain(probing.value, c["ka"].view(np.int64), c["kb"].view(np.int64))
+            probe = None if probing is None else may_contain(probing.value, c["ka"].view(np.int64), c["ka"].view(np.int64) >> 21)
             later, earlier, rest, size = [], [], [], 0
             for i, j in pairs_of(c, new_from, probe):
                 if probe is not None:
@@ -291,12 +291,11 @@ def _candidates(few: int | None, probing):
 
 
 def _verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Those of pairs (la, lb, ea, eb, doc_id, line, from_doc) whose full sets are similar enough, without from_doc.
+    """(la, lb, doc_id, line) of those of pairs (la, ea, doc_id, line, from_doc) whose full sets are similar enough.
 
-    Sets are made again from the documents that the pairs name.
+    Sets are made again from the documents that the pairs name; they carry the second half of their key.
     """
-    keys = pairs.select(F.explode(F.array(F.struct(F.col("la").alias("h1"), F.col("lb").alias("h2")), F.struct(F.col("ea").alias("h1"), F.col("eb").alias("h2")))).alias("k")).select("k.*")
-    wanted = bloom(keys.distinct())
+    wanted = bloom(pairs.select(F.explode(F.array("la", "ea")).alias("h1")).distinct().withColumn("h2", F.shiftright("h1", 21)))
     two_hashes = lambda c: (F.xxhash64(c, F.lit(1)).alias("h1"), F.xxhash64(c, F.lit(2)).alias("h2"))
     holders = bloom(pairs.select(F.explode(F.array("doc_id", "from_doc")).alias("d")).distinct().select(*two_hashes("d")))
     pairs = pairs.drop("from_doc").distinct()
@@ -307,16 +306,16 @@ def _verified(docs: DataFrame, pairs: DataFrame) -> DataFrame:
             few = batch.column(0).filter(pa.array(may_contain(holders.value, batch.column(1).to_numpy(), batch.column(2).to_numpy())))
             for _, part in blocks(few.to_pylist()):
                 for _, _, n, ka, kb, begin, word in block_lines(part):
-                    hit = np.flatnonzero((n >= NEAR_LEAST) & may_contain(wanted.value, ka, kb))
+                    hit = np.flatnonzero((n >= NEAR_LEAST) & may_contain(wanted.value, ka, ka >> 21))
                     hit = hit[seen.new(ka[hit].tolist(), [()] * len(hit))]
                     if len(hit):
                         yield pa.RecordBatch.from_arrays([pa.array(ka[hit]), pa.array(kb[hit]), pa.array([word[begin[i] : begin[i] + n[i]].view(np.int64) for i in hit], pa.list_(pa.int64()))], ["ka", "kb", "s"])
 
-    full = docs.select("text", *two_hashes("doc_id")).mapInArrow(sets, "ka long, kb long, s array<long>").dropDuplicates(["ka", "kb"])
-    one = pairs.join(full.select(F.col("ka").alias("la"), F.col("kb").alias("lb"), F.col("s").alias("x")), ["la", "lb"])
-    two = one.join(full.select(F.col("ka").alias("ea"), F.col("kb").alias("eb"), F.col("s").alias("y")), ["ea", "eb"])
+    full = docs.select("text", *two_hashes("doc_id")).mapInArrow(sets, "ka long, kb long, s array<long>").repartition("ka").dropDuplicates(["ka", "kb"])
+    one = pairs.join(full.select(F.col("ka").alias("la"), F.col("kb").alias("lb"), F.col("s").alias("x")), "la")
+    two = one.join(full.select(F.col("ka").alias("ea"), F.col("s").alias("y")), "ea")
     both = F.size(F.array_intersect("x", "y"))
-    return two.filter(both * (100 + PERCENT) >= PERCENT * (F.size("x") + F.size("y"))).select(pairs.columns)
+    return two.filter(both * (100 + PERCENT) >= PERCENT * (F.size("x") + F.size("y"))).select("la", "lb", "doc_id", "line")
 
 
 def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -337,15 +336,15 @@ def repeated_lines(docs: DataFrame, text: str = "text") -> DataFrame:
     def earliest(pairs):
         return cut(_verified(body, pairs).groupBy("la", "lb").agg(F.min(place).alias("of")))
 
-    mate = ["la", "lb", "ea", "eb", "doc_id", "line", "from_doc"]
+    mate = ["la", "ea", "doc_id", "line", "from_doc"]
     found = cut(met(body.mapInArrow(_postings(counts), "key long, post binary"), FEW, None))
     near = earliest(found.filter("ea is not null").select(mate).distinct())
-    others = found.filter("la is not null and ea is null").groupBy("la", "lb", "token").agg(F.min(place).alias("since"))
-    left = cut(others.join(near, ["la", "lb"], "left").filter("of is null or since < of"))
+    others = found.filter("la is not null and ea is null").groupBy("la", "token").agg(F.min(place).alias("since"))
+    left = cut(others.join(near.drop("lb"), "la", "left").filter("of is null or since < of"))
     if not left.isEmpty():  # lines whose earliest match may be among what was put off meet that part
-        probing = bloom(left.select(F.col("la").alias("h1"), F.col("lb").alias("h2")).distinct())
+        probing = bloom(left.select(F.col("la").alias("h1"), F.shiftright("la", 21).alias("h2")).distinct())
         again = found.filter("post is not null").join(left.select("token").distinct(), "token", "left_semi").select("key", "post")
-        rest = met(again, None, probing).select(*mate, "token").join(left, ["la", "lb", "token"]).filter((place >= F.col("since")) & (F.col("of").isNull() | (place < F.col("of"))))
+        rest = met(again, None, probing).select(*mate, "token").join(left, ["la", "token"]).filter((place >= F.col("since")) & (F.col("of").isNull() | (place < F.col("of"))))
         near = near.union(earliest(cut(rest.select(mate).distinct())))
     matched = near.groupBy(F.col("la").alias("ka"), F.col("lb").alias("kb")).agg(F.min("of").alias("of"))
     known = firsts.join(matched, ["ka", "kb"], "left").filter("of is not null or first <> last").select("ka", "kb", F.col("first"), F.col("of"))

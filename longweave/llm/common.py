@@ -21,6 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
     sc = spark.sparkContext
     path = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not path:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors see")
         path = "file://" + tempfile.mkdtemp(prefix="longweave-")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(path)
@@ -81,17 +83,18 @@ def hash_sample(df: DataFrame, key: Column, n: int) -> DataFrame:
     return held.orderBy("__h").limit(n).drop("__h")
 
 
-# ---------------------------------------------------------------- a Bloom filter of fixed size
-BLOOM_BITS = 1 << 24
+# ---------------------------------------------------------------- a Bloom filter of bounded size
+LEAST_BITS, MOST_BITS = 1 << 20, 1 << 28
 _MIX = (np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
 
 
-def bloom(keys: DataFrame, bits: int = BLOOM_BITS):
-    """Broadcast bit array (bits / 8 bytes, whatever the number of keys) for keys (h1, h2), two hashes of each key.
+def bloom(keys: DataFrame):
+    """Broadcast bit array for keys (h1, h2), two hashes of each key: about 16 bits a key, at most MOST_BITS (32 MB).
 
     The bits are or-ed per 64-bit word in Spark, so at most bits / 64 rows reach the driver.  False positives only let
-    more rows through; no key is lost.
+    more rows through (a few in a hundred, up to all if keys outnumber the bits); no key is lost.
     """
+    bits = min(MOST_BITS, max(LEAST_BITS, 1 << (16 * keys.count()).bit_length()))
     at = keys.select(F.explode(F.array("h1", "h2")).alias("h")).select(F.pmod("h", F.lit(bits)).alias("at"))
     word = at.select(F.expr("cast(at div 64 as int)").alias("w"), F.expr("shiftleft(1L, cast(at % 64 as int))").alias("b"))
     rows = word.groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()

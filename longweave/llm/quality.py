@@ -2,7 +2,8 @@
 
 Families of n-grams: words (1, 2), word shapes (1, 2, 3; runs of letters or digits count once) and repeats of the word
 before.  Each family's counts are divided by their number, so length alone says nothing.  The model is fitted on at most
-SAMPLE labelled documents (those of the smallest hash of doc_id outside the held-out third); every document is scored.
+SAMPLE labelled documents (those of the smallest hash of doc_id outside the held-out third; 2 SAMPLE rows where doc_ids
+repeat); every document is scored.
 Null and empty texts get the score of no features (the bias); repeated rows get equal scores.  Labels that are null
 count for nothing, several labels of one document as their mean over one half.  Without labels of both kinds each score
 is 0.5.
@@ -118,7 +119,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", text: str
                 got = sparse(part)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(part)), batch.column(2).slice(at, len(part)), pa.array([s for s, _ in got], pa.list_(pa.int32())), pa.array([v for _, v in got], pa.list_(pa.float32()))], ["doc_id", "y", "slot", "value"])
 
-    rows = body.mapInArrow(extract, "doc_id long, y int, slot array<int>, value array<float>").toArrow().sort_by("doc_id").slice(0, 2 * sample)
+    rows = body.mapInArrow(extract, "doc_id long, y int, slot array<int>, value array<float>").orderBy("doc_id", F.hash("slot", "value")).limit(2 * sample).toArrow()
     return ftrl(zip((x.values.to_numpy() for x in rows["slot"]), (x.values.to_numpy() for x in rows["value"]), strict=True), rows["y"].to_numpy().astype(float))
 
 

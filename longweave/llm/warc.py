@@ -119,7 +119,8 @@ def write_archives(pages: DataFrame, folder: str, payload: str = "html", url: st
             done.append(out.close())
         yield pa.RecordBatch.from_arrays([pa.array([d[0] for d in done], pa.string()), pa.array([d[1] for d in done], pa.int64()), pa.array([d[2] for d in done], pa.int64())], ["uri", "n_records", "bytes"])
 
-    return cut(dealt.select("digest", "page_id", "url", "html", "first").mapInArrow(write, "uri string, n_records long, bytes long"))
+    ordered = dealt.select("digest", "page_id", "url", "html", "first").sortWithinPartitions("digest", "page_id", "url")  # a task run again writes the same
+    return cut(ordered.mapInArrow(write, "uri string, n_records long, bytes long"))
 
 
 def read_archives(manifest: DataFrame, with_payload: bool = False) -> DataFrame:

@@ -1,6 +1,7 @@
 """Secrets in texts: patterns give the base set, a character convolutional network judges every other candidate.
 
-The network (numpy) reads a candidate with the characters around it.  It is trained on labelled findings: seeded examples
+The network (numpy) reads a candidate with the characters around it; a candidate longer than CORE characters in steps of
+half as many, of which the highest score counts.  It is trained on labelled findings: seeded examples
 of public credential formats and of look-alikes, and the base findings of at most SAMPLE_DOCS documents (those with any
 of ten times as many of smallest hash of text), wherever they stand in the text.  Other candidates of the documents are
 unknown, so they get no label.  Held-out findings calibrate its output (Platt scaling); the threshold is the highest that
@@ -19,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from longweave.llm.common import column, hash_sample, table
+from longweave.llm.common import column, table
 
 KINDS = ("assign", "access", "hex")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -52,8 +53,16 @@ def other_candidates(text: str, base: list[tuple[int, int, int]]) -> list[tuple[
     return [(a, z) for a, z in found if not any(a < e and s < z for s, e, _ in base)]
 
 
+def views(start: int, end: int) -> list[tuple[int, int]]:
+    """What the network reads of a candidate: runs of at most CORE characters, the last one up to its end."""
+    if end - start <= CORE:
+        return [(start, end)]
+    return [(a, a + CORE) for a in range(start, end - CORE, CORE // 2)] + [(end - CORE, end)]
+
+
 def encode(text: str, start: int, end: int) -> np.ndarray:
-    """Character classes of the candidate's head and its context: 0 pad, 1-95 printable ASCII, 96 other; +97 inside."""
+    """Character classes of a run of at most CORE characters and its context: 0 pad, 1-95 printable ASCII, 96 other; +97
+    inside."""
     out = np.zeros(WIDTH, dtype=np.uint8)
     for at, piece, inside in ((LEFT - min(LEFT, start), text[max(0, start - LEFT) : start], 0), (LEFT, text[start : min(end, start + CORE)], 97), (LEFT + CORE, text[end : end + RIGHT], 0)):
         code = np.frombuffer(piece.encode("latin-1", "replace"), dtype=np.uint8)
@@ -171,9 +180,11 @@ def train_model(docs: DataFrame, text: str = "text", sample_docs: int = SAMPLE_D
             some = [i for i, w in enumerate(got) if w]
             yield pa.RecordBatch.from_arrays([batch.column(1).take(pa.array(some, pa.int64())), pa.array([got[i] for i in some], pa.list_(pa.binary()))], ["key", "x"])
 
-    some = hash_sample(docs.select(column(docs, text, "string").alias("t")).filter("t is not null"), F.col("t"), 10 * sample_docs)
-    near = some.select("t", F.xxhash64("t").alias("key")).mapInArrow(windows, "key long, x array<binary>")
-    seen = [np.frombuffer(w, np.uint8) for r in hash_sample(near, F.col("key"), sample_docs).collect() for w in r["x"]]
+    texts = docs.select(column(docs, text, "string").alias("t")).filter("t is not null")
+    share = min(1.0, (13 * sample_docs + 100) / max(1, texts.count()))  # texts stay where they are; their windows travel
+    some = texts.withColumn("key", F.xxhash64("t")).filter(F.pmod("key", F.lit(1 << 40)) < int(share * (1 << 40)))
+    near = some.mapInArrow(windows, "key long, x array<binary>")
+    seen = [np.frombuffer(w, np.uint8) for r in near.orderBy(F.pmod("key", F.lit(1 << 40)), "x").limit(sample_docs).collect() for w in r["x"]]
     seeds = seeded_findings()
     x = np.stack([*(encode(t, a, z) for t, a, z, _ in seeds), *seen])
     y = np.array([label for *_, label in seeds] + [1] * len(seen), dtype=np.float32)
@@ -202,7 +213,7 @@ def find_secrets(docs: DataFrame, model: CharCNN | None = None, text: str = "tex
     def scan(batches):
         cnn = held.value
         for batch in batches:
-            spans, coded, where = [], [], []
+            spans, coded, where, first = [], [], [], []
             for i, t in enumerate(batch.column(at).to_pylist()):
                 base = base_spans(t := t or "")
                 for s, e, k in base:
@@ -210,9 +221,10 @@ def find_secrets(docs: DataFrame, model: CharCNN | None = None, text: str = "tex
                 for s, e in other_candidates(t, base):
                     spans.append([i, s, len(KINDS), e, MODEL_KIND])
                 for x in spans[len(where) :]:
-                    coded.append(encode(t, x[1], x[3]))
+                    first.append(len(coded))
+                    coded += [encode(t, a, z) for a, z in views(x[1], x[3])]
                     where.append(x)
-            score = cnn.score(np.stack(coded)) if coded else np.empty(0)
+            score = np.maximum.reduceat(cnn.score(np.stack(coded)), first) if coded else np.empty(0)
             kept = sorted((*x, p) for x, p in zip(spans, score.tolist(), strict=True) if x[2] < len(KINDS) or p >= cnn.threshold)
             ends = np.searchsorted([x[0] for x in kept], np.arange(batch.num_rows + 1))
             values = pa.StructArray.from_arrays([pa.array([x[4] for x in kept], pa.string()), pa.array([x[1] for x in kept], pa.int32()), pa.array([x[3] for x in kept], pa.int32()), pa.array([x[5] for x in kept], pa.float64())], fields=list(schema))

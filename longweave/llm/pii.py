@@ -1,7 +1,8 @@
 """Personal data in texts: patterns propose, checksums confirm, context words adjust (DataFrame functions only).
 
 Kinds of the base set: email, ip, card (Luhn), phone.  The method adds iban (mod 97) and ssn (only beside a context word).
-Null and empty texts have no spans; repeated rows keep one result each; other columns of the input are left out.
+Null and empty texts have no spans; repeated rows keep one result each; other columns of the
+input pass through (a column named pii is replaced).
 All loops in the patterns are possessive or over one character class, so a match needs no recursion and each text is
 read a bounded number of times, however long it is.  (?:(?<![...])|\\G) starts a match at the head of a run or where the
 last match ended: any later start in that run fails or succeeds alike, so the leftmost matches are the same.
@@ -35,26 +36,33 @@ CONTEXT = 48
 SPAN = "array<struct<kind:string,start:int,end:int,score:double>>"
 
 
+#: Matches per step of the running sum, so that no array of all of them is copied for each.
+STEP = 64
+
+
 def _found(kind: str) -> Column:
-    """Spans of one kind from hit_<kind> (matches) and text; the pieces between matches give the places."""
+    """Spans of one kind from __hit_<kind> (matches) and __text; the pieces between matches give the places."""
     pattern, holds, words, low, high = KINDS[kind]
     quoted = pattern.replace("\\", "\\\\").replace("'", "\\'")
+    hit = f"__hit_{kind}"
     return F.expr(f"""
-        case when size(hit_{kind}) > 0 then
+        case when size({hit}) > 0 then
           filter(
             transform(
               zip_with(
-                hit_{kind},
-                aggregate(
-                  zip_with(slice(split(text, '{quoted}', -1), 1, size(hit_{kind})), hit_{kind},
-                           (g, m) -> named_struct('g', length(g), 'm', length(m))),
-                  named_struct('at', 0, 'out', cast(array() as array<int>)),
-                  (a, x) -> named_struct('at', a.at + x.g + x.m, 'out', array_append(a.out, a.at + x.g)),
-                  a -> a.out),
+                {hit},
+                transform(array(transform(sequence(0, cast((size({hit}) - 1) div {STEP} as int)), b -> slice(
+                    zip_with(slice(split(__text, '{quoted}', -1), 1, size({hit})), {hit}, (g, m) -> named_struct('g', length(g), 'm', length(m))), b * {STEP} + 1, {STEP}))),
+                  parts -> flatten(zip_with(
+                    transform(parts, p -> aggregate(p, named_struct('at', 0, 'out', cast(array() as array<int>)),
+                      (a, x) -> named_struct('at', a.at + x.g + x.m, 'out', array_append(a.out, a.at + x.g)), a -> a.out)),
+                    aggregate(transform(parts, p -> aggregate(p, 0, (a, x) -> a + x.g + x.m)), named_struct('at', 0, 'out', cast(array() as array<int>)),
+                      (a, x) -> named_struct('at', a.at + x, 'out', array_append(a.out, a.at)), a -> a.out),
+                    (own, base) -> transform(own, o -> o + base))))[0],
                 (m, s) -> named_struct('m', m, 's', s)),
               x -> transform(array(x.m), m -> case when {holds} then
                 named_struct('kind', '{kind}', 'start', x.s, 'end', x.s + length(m), 'score',
-                  case when lower(substring(text, greatest(x.s - {CONTEXT}, 0) + 1, least(x.s, {CONTEXT}))) rlike '{words}'
+                  case when lower(substring(__text, greatest(x.s - {CONTEXT}, 0) + 1, least(x.s, {CONTEXT}))) rlike '{words}'
                        then {high}D else {low}D end) end)[0]),
             x -> x is not null and x.score >= 0.5)
         else cast(array() as {SPAN}) end""")
@@ -62,19 +70,19 @@ def _found(kind: str) -> Column:
 
 def find_pii(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with pii: array of (kind, start, end, score), by kind as in KINDS, then start; code points, end exclusive."""
-    own = docs.withColumn("text", F.coalesce(column(docs, text, "string"), F.lit(""))) if text in docs.columns else docs.withColumn("text", F.lit(""))
-    own = own.withColumns({f"hit_{k}": F.regexp_extract_all("text", F.lit(p[0]), F.lit(0)) for k, p in KINDS.items()})
-    return own.withColumn("pii", F.concat(*map(_found, KINDS))).drop(*(f"hit_{k}" for k in KINDS))
+    own = docs.drop("pii").withColumn("__text", F.coalesce(column(docs, text, "string"), F.lit("")))
+    own = own.withColumns({f"__hit_{k}": F.regexp_extract_all("__text", F.lit(p[0]), F.lit(0)) for k, p in KINDS.items()})
+    return own.withColumn("pii", F.concat(*map(_found, KINDS))).drop("__text", *(f"__hit_{k}" for k in KINDS))
 
 
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with every span of pii replaced by its kind in angle brackets (overlaps: the earlier span wins)."""
-    return find_pii(docs, text).withColumn(
+    return find_pii(docs, text).withColumn(text, F.coalesce(F.col(text).cast("string"), F.lit(""))).withColumn(
         text,
-        F.expr("""aggregate(array_sort(transform(pii, x -> named_struct('start', x.start, 'end', x.end, 'kind', x.kind))),
+        F.expr(f"""aggregate(array_sort(transform(pii, x -> named_struct('start', x.start, 'end', x.end, 'kind', x.kind))),
             named_struct('at', 0, 'out', ''), (a, x) -> case when x.start < a.at then a else
-              named_struct('at', x.end, 'out', concat(a.out, substring(text, a.at + 1, x.start - a.at), '<', x.kind, '>')) end,
-            a -> concat(a.out, substring(text, a.at + 1)))"""),
+              named_struct('at', x.end, 'out', concat(a.out, substring(`{text}`, a.at + 1, x.start - a.at), '<', x.kind, '>')) end,
+            a -> concat(a.out, substring(`{text}`, a.at + 1)))"""),
     )
 
 

@@ -6,7 +6,7 @@ n / DEGREE**l nodes of the shard's order, so each level is a prefix; links are f
 node.  A last coordinate makes all norms equal, so the nearest by distance are the largest inner products.
 Scores are inner products of the given vectors in double precision.  Vectors that are null, zero, of another length than
 most, or hold nulls or non-finite components take no part, nor rows without vec_id; a repeated vec_id with the same vector
-counts once.  With fewer candidates than asked, all come.
+counts once; as a query, a vec_id with several vectors stands for the smallest of them.  With fewer candidates than asked, all come.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from longweave.llm.common import column, cut, table
 
-TOP, SHARD, DEGREE, BUILD_EF, SEARCH_EF, BLOCK, EXPAND = 20, 8192, 16, 64, 160, 4096, 4
+TOP, SHARD, DEGREE, BUILD_EF, SEARCH_EF, EXPAND = 20, 16_384, 16, 64, 200, 4
 
 
 def links_at(level: int, degree: int = DEGREE) -> int:
@@ -176,46 +176,63 @@ def build_index(vectors: DataFrame, vector: str = "embedding", shard_rows: int =
     return cut(dealt.groupBy("shard").applyInArrow(build, "shard int, node int, v array<double>, ids array<long>, links array<int>")), shards
 
 
-def _load(t: pa.Table) -> tuple[Graph, np.ndarray, list[list[int]]]:
-    t = t.sort_by("node")
-    v = np.array(t["v"].to_pylist(), dtype=np.float64)
-    flat = [np.array(k, dtype=np.int64) for k in t["links"].to_pylist()]
+def _load(rows: list[tuple], longest: float) -> tuple[Graph, np.ndarray, list[list[int]]]:
+    """(graph, vectors, ids) of a shard's rows (node, v, ids, links), in the order of node."""
+    v = np.array([r[1] for r in rows], dtype=np.float64)
+    flat = [np.array(r[3], dtype=np.int64) for r in rows]
     levels, at = [], 0
     while True:
         width = links_at(len(levels))
-        rows = [f[at : at + width] for f in flat if len(f) > at]
-        if not rows:
+        own = [f[at : at + width] for f in flat if len(f) > at]
+        if not own:
             break
-        levels.append(np.stack(rows))
+        levels.append(np.stack(own))
         at += width
-    return Graph(np.empty(0), levels), v, t["ids"].to_pylist()
+    x = np.concatenate([v, np.sqrt(np.maximum(0, longest - (v * v).sum(1)))[:, None]], 1) / np.sqrt(longest)
+    return Graph(x.astype(np.float32), levels), v, [r[2] for r in rows]
 
 
-def search(index: DataFrame, shards: int, queries: DataFrame, top: int = TOP, ef: int = SEARCH_EF, block: int = BLOCK) -> DataFrame:
-    """queries (query_id, v) against the index: query_id, rank, vec_id, score.  Blocks of queries meet each shard."""
+def search(index: DataFrame, shards: int, queries: DataFrame, top: int = TOP, ef: int = SEARCH_EF) -> DataFrame:
+    """queries (query_id, v) against the index: query_id, rank, vec_id, score.
+
+    A shard's rows come to its task once, before the queries, which stream past it batch by batch.
+    """
     longest = float(index.agg(F.max(F.expr("aggregate(v, 0d, (a, e) -> a + e * e)"))).first()[0] or 1.0)
-    blocks = max(1, -(-queries.count() // block))
-    left = index.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    right = queries.withColumn("block", F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int")).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
+    nodes = index.select("shard", F.lit(0).alias("kind"), F.col("node").cast("long").alias("id"), "v", "ids", "links")
+    asked = queries.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.lit(1).alias("kind"), F.col("query_id").alias("id"), "v", F.lit(None).cast("array<long>").alias("ids"), F.lit(None).cast("array<int>").alias("links"))
+    dealt = nodes.unionByName(asked).repartition(max(shards, 1), "shard").sortWithinPartitions("shard", "kind", "id")
 
-    def find(left, right):
+    def answers(graph: Graph, v: np.ndarray, ids: list, names: list, q: np.ndarray) -> pa.RecordBatch:
         out: tuple[list, list, list] = ([], [], [])
-        if left.num_rows and right.num_rows:
-            graph, v, ids = _load(left)
-            graph.x = (np.concatenate([v, np.sqrt(np.maximum(0, longest - (v * v).sum(1)))[:, None]], 1) / np.sqrt(longest)).astype(np.float32)
-            names, q = right["query_id"].to_numpy(), np.array(right["v"].to_pylist(), dtype=np.float64)
-            for at in range(0, len(q), 512):
-                part = q[at : at + 512]
-                near = graph.search(np.concatenate([part, np.zeros((len(part), 1))], 1).astype(np.float32), ef)
-                exact = np.where(near >= 0, np.einsum("bkd,bd->bk", v[near], part), -np.inf)
-                for k, order in enumerate(np.argsort(-exact, 1, kind="stable")[:, : 2 * top]):
-                    name = int(names[at + k])
-                    got = [(-s, i) for s, j in zip(exact[k, order].tolist(), near[k, order].tolist(), strict=True) if j >= 0 for i in ids[j] if i != name]
-                    for s, i in sorted(got)[:top]:
-                        out[0].append(name), out[1].append(i), out[2].append(-s)
-        return pa.table({"query_id": pa.array(out[0], pa.int64()), "vec_id": pa.array(out[1], pa.int64()), "score": pa.array(out[2], pa.float64())})
-
-    found = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(find, "query_id long, vec_id long, score double")
+        for at in range(0, len(q), 512):
+            part = q[at : at + 512]
+            near = graph.search(np.concatenate([part, np.zeros((len(part), 1))], 1).astype(np.float32), ef)
+            exact = np.where(near >= 0, np.einsum("bkd,bd->bk", v[near], part), -np.inf)
+            for k, order in enumerate(np.argsort(-exact, 1, kind="stable")[:, : 2 * top]):
+                name = names[at + k]
+                got = [(-s, i) for s, j in zip(exact[k, order].tolist(), near[k, order].tolist(), strict=True) if j >= 0 for i in ids[j] if i != name]
+                for s, i in sorted(got)[:top]:
+                    out[0].append(name), out[1].append(i), out[2].append(-s)
+        return pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.float64())], ["query_id", "vec_id", "score"])
+
+    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held, loaded = None, [], None
+        for batch in batches:
+            shard, kind = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            cuts = np.flatnonzero((shard[1:] != shard[:-1]) | (kind[1:] != kind[:-1])) + 1
+            for a, z in zip([0, *cuts], [*cuts, len(shard)], strict=True):
+                if z <= a:
+                    continue
+                part = batch.slice(a, z - a)
+                if shard[a] != now:
+                    now, held, loaded = shard[a], [], None
+                if kind[a] == 0:
+                    held += zip(*(part.column(k).to_pylist() for k in (2, 3, 4, 5)), strict=True)
+                elif held:
+                    loaded = loaded or _load(held, longest)
+                    yield answers(*loaded, part.column(2).to_pylist(), np.array(part.column(3).to_pylist(), dtype=np.float64))
+
+    found = dealt.mapInArrow(find, "query_id long, vec_id long, score double")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
 
@@ -223,5 +240,5 @@ def search(index: DataFrame, shards: int, queries: DataFrame, top: int = TOP, ef
 def op3_hnsw(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     index, shards = build_index(vectors)
-    asked = _usable(vectors, "embedding").filter("vec_id % 20 = 0").select(F.col("vec_id").alias("query_id"), "v").dropDuplicates(["query_id"])
+    asked = _usable(vectors, "embedding").filter("vec_id % 20 = 0").groupBy(F.col("vec_id").alias("query_id")).agg(F.min("v").alias("v"))
     return search(index, shards, asked)

@@ -7,7 +7,7 @@ COVERAGE of the item's words is a match, in whatever order the tiles stand.
 Tiles lie within shared seeds, so only these parts of a document are tiled, and a pair whose seeds cover too little of the
 item is skipped: neither loses a match.  Items of fewer than LEAST words, null and empty texts match nothing.  Repeated
 items or documents give repeated rows.  A benchmark over CHUNK_CHARS characters is taken in slices by hash of its item,
-one pass over the documents for each, so what is broadcast stays bounded.
+one pass over the documents for each; one slice's index is broadcast at a time.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from longweave.llm.common import column, table
+from longweave.llm.common import column, cut, table
 from longweave.llm.hashing import BASE, U, blocks, ngrams, words_of
 
 LEAST, COVERAGE, CHUNK_CHARS = 5, 0.6, 20_000_000
@@ -54,34 +54,47 @@ def tile(item: np.ndarray, doc: np.ndarray, least: int = LEAST) -> list[tuple[in
     free_i, free_d = np.ones(len(item), bool), np.ones(len(doc), bool)
     out: list[tuple[int, int, int]] = []
     s = len(item)
+
+    def starts(s: int) -> tuple[np.ndarray, np.ndarray]:
+        """Where unmarked runs of s equal tokens begin that none to their left continues."""
+        wi, wd = _windows(item, s), _windows(doc, s)
+        open_i = np.flatnonzero(np.convolve(free_i, np.ones(s), "valid") > s - 0.5)
+        open_d = np.flatnonzero(np.convolve(free_d, np.ones(s), "valid") > s - 0.5)
+        open_d = open_d[np.isin(wd[open_d], wi[open_i])]
+        found = []
+        for at in range(0, len(open_d), max(1, 2_000_000 // max(1, len(open_i)))):
+            d = open_d[at : at + max(1, 2_000_000 // max(1, len(open_i)))]
+            k, j = np.nonzero(wd[d][:, None] == wi[open_i])
+            i, d = open_i[j], d[k]
+            before = (i > 0) & (d > 0)
+            before &= free_i[i - 1] & free_d[d - 1] & (item[i - 1] == doc[d - 1])
+            found.append((i[~before], d[~before]))
+        return tuple(np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.empty(0, np.int64),) * 2
+
     while s >= least:
-        longest = 0
+        found = []
         if s <= min(len(item), len(doc)):
-            wi, wd = _windows(item, s), _windows(doc, s)
-            open_i = np.flatnonzero(np.convolve(free_i, np.ones(s), "valid") == s)
-            open_d = np.flatnonzero(np.convolve(free_d, np.ones(s), "valid") == s)
-            by: dict[int, list[int]] = {}
-            for i in open_i.tolist():
-                by.setdefault(int(wi[i]), []).append(i)
-            found = []
-            for d in open_d[np.isin(wd[open_d], wi[open_i])].tolist():
-                for i in by[int(wd[d])]:
-                    if not np.array_equal(item[i : i + s], doc[d : d + s]):
-                        continue
-                    n = s
-                    while i + n < len(item) and d + n < len(doc) and free_i[i + n] and free_d[d + n] and item[i + n] == doc[d + n]:
-                        n += 1
+            for i, d in zip(*(x.tolist() for x in starts(s)), strict=True):
+                most = min(len(item) - i, len(doc) - d)
+                same = (item[i : i + most] == doc[d : d + most]) & free_i[i : i + most] & free_d[d : d + most]
+                n = most if same.all() else int(same.argmin())
+                if n >= s:  # equal hashes alone are no match
                     found.append((n, i, d))
-            longest = max((f[0] for f in found), default=0)
-            if longest > 2 * s:  # a much longer run: search at its length first
-                s = longest
-                continue
-            for n, i, d in sorted(found, key=lambda f: (-f[0], f[1], f[2])):
-                if free_i[i : i + n].all() and free_d[d : d + n].all():
-                    free_i[i : i + n] = free_d[d : d + n] = False
-                    out.append((i, d, n))
-            if any(not (free_i[i : i + n].all() and free_d[d : d + n].all()) and (free_i[i : i + s].all() and free_d[d : d + s].all()) for n, i, d in found):
-                continue  # runs cut short by a tile may still hold s tokens
+        longest = max((f[0] for f in found), default=0)
+        if longest > 2 * s:  # a much longer run: search at its length first
+            s = longest
+            continue
+        cut_short = False
+        for n, i, d in sorted(found, key=lambda f: (-f[0], f[1], f[2])):
+            free = free_i[i : i + n] & free_d[d : d + n]
+            if free.all():
+                free_i[i : i + n] = free_d[d : d + n] = False
+                out.append((i, d, n))
+            elif np.convolve(free, np.ones(s), "valid").max() > s - 0.5:
+                cut_short = True  # what a tile left of this run may be longer than the runs that follow
+                break
+        if cut_short:
+            continue
         s = s // 2 if s > 2 * least else least if s > least else 0
     return out
 
@@ -144,52 +157,69 @@ class Index:
 
 
 def _indexes(benchmark: DataFrame, chunk_chars: int):
+    """(number of slices, an iterator of their broadcast indexes)."""
     own = benchmark.select(column(benchmark, "item_id", "long").alias("item_id"), column(benchmark, "text", "string").alias("text"))
     size = own.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
     n = max(1, -(-size // chunk_chars))
-    for i in range(n):
-        rows = own.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == i).orderBy("item_id", "text").collect()
-        yield benchmark.sparkSession.sparkContext.broadcast(Index.of([r["item_id"] for r in rows], [r["text"] for r in rows]))
 
+    def each():
+        for i in range(n):
+            rows = own.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == i).orderBy("item_id", "text").collect()
+            yield benchmark.sparkSession.sparkContext.broadcast(Index.of([r["item_id"] for r in rows], [r["text"] for r in rows]))
 
-def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", coverage: float = COVERAGE, chunk_chars: int = CHUNK_CHARS) -> DataFrame:
-    """One row for each document and item that match: doc_id, item_id, covered, item_words, tiles, coverage."""
-    body = docs.select(column(docs, "doc_id", "long").alias("doc_id"), column(docs, text, "string").alias("text"))
-    parts = []
-    for held in _indexes(benchmark, chunk_chars):
+    return n, each()
+
+
+def _matches(docs: DataFrame, benchmark: DataFrame, text: str, coverage: float, chunk_chars: int) -> DataFrame:
+    """The rows of contamination(), with the text's hash.  Of several slices only one is held at a time: each is matched,
+    its few matches written, its broadcast destroyed."""
+    body = docs.select(column(docs, "doc_id", "long").alias("doc_id"), column(docs, text, "string").alias("text")).withColumn("key", F.xxhash64("text"))
+    names = ["doc_id", "item_id", "covered", "item_words", "tiles", "coverage", "key"]
+    n, held_each = _indexes(benchmark, chunk_chars)
+    out = None
+    for held in held_each:
 
         def find(batches: Iterable[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                ids = batch.column(0).to_pylist()
+                ids, keys = batch.column(0).to_pylist(), batch.column(2).to_pylist()
                 for at, part in blocks(batch.column(1).to_pylist()):
-                    got = [(ids[at + k], held.value.ids[i], c, n, t, c / n) for k, i, c, n, t in held.value.match(part, coverage)]
+                    got = [(ids[at + k], held.value.ids[i], c, n, t, c / n, keys[at + k]) for k, i, c, n, t in held.value.match(part, coverage)]
                     if got:
-                        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*got, strict=True), (pa.int64(),) * 5 + (pa.float64(),), strict=True)], ["doc_id", "item_id", "covered", "item_words", "tiles", "coverage"])
+                        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*got, strict=True), (*(pa.int64(),) * 5, pa.float64(), pa.int64()), strict=True)], names)
 
-        parts.append(body.mapInArrow(find, "doc_id long, item_id long, covered long, item_words long, tiles long, coverage double"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
+        part = body.mapInArrow(find, "doc_id long, item_id long, covered long, item_words long, tiles long, coverage double, key long")
+        if n > 1:
+            part = cut(part)
+            held.destroy()
+        out = part if out is None else out.union(part)
     return out
 
 
+def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", coverage: float = COVERAGE, chunk_chars: int = CHUNK_CHARS) -> DataFrame:
+    """One row for each document and item that match: doc_id, item_id, covered, item_words, tiles, coverage."""
+    return _matches(docs, benchmark, text, coverage, chunk_chars).drop("key")
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", coverage: float = COVERAGE, chunk_chars: int = CHUNK_CHARS) -> DataFrame:
-    """docs without the rows that match an item; one pass for each slice of the benchmark, no shuffle."""
+    """docs without the rows that match an item; with one slice in one pass without a shuffle."""
     if text not in docs.columns:
         return docs
     at = docs.columns.index(text)
-    for held in _indexes(benchmark, chunk_chars):
-
-        def keep(batches: Iterable[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                clean = np.ones(batch.num_rows, bool)
-                for first, part in blocks(batch.column(at).to_pylist()):
-                    for k, *_ in held.value.match(part, coverage):
-                        clean[first + k] = False
-                yield batch.filter(pa.array(clean))
-
-        docs = docs.mapInArrow(keep, StructType(docs.schema.fields))
-    return docs
+    n, held_each = _indexes(benchmark, chunk_chars)
+    if n > 1:
+        gone = _matches(docs, benchmark, text, coverage, chunk_chars).select("key").distinct()  # equal texts match alike
+        return docs.join(gone, F.xxhash64(docs[text].cast("string")) == F.col("key"), "left_anti")
+    held = next(held_each)
+
+    def keep(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            clean = np.ones(batch.num_rows, bool)
+            for first, part in blocks(batch.column(at).to_pylist()):
+                for k, *_ in held.value.match(part, coverage):
+                    clean[first + k] = False
+            yield batch.filter(pa.array(clean))
+
+    return docs.mapInArrow(keep, StructType(docs.schema.fields))
 
 
 def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

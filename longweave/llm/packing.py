@@ -1,7 +1,10 @@
 """Sum-of-squares packing of tokenized documents into sequences of fixed length.
 
 Items meet in shards of about SHARD_ITEMS (dealt by hash), each shard in decreasing length.  An item goes where the sum of
-squares of the numbers of open sequences per residual gap becomes smallest; a new sequence opens only if none has room.
+squares of the numbers of open sequences per residual gap becomes smallest; a new sequence opens only if none has room
+(weighing a new one like the others took 2,705 sequences instead of 2,673 for 5,998 pieces of sf0.1, of 2,672 at least).
+Null and empty texts are the end id alone; rows that repeat a doc_id are packed each on its own; other columns are left
+out.  assemble() expects each (doc_id, piece) once.
 Only lengths and checksums travel: ids are made where the text is, and again by assemble().
 """
 

@@ -150,6 +150,148 @@ def test_decontamination(spark, docs, none):
     assert decontaminate.contamination(d, bench.filter("false")).count() == 0 and decontaminate.contamination(none, bench).count() == 0
 
 
+def plain_tiles(item, doc, least):
+    """Greedy string tiling as it is told: mark the longest common unmarked run, the leftmost of equals, until none is left."""
+    fi, fd, out = [True] * len(item), [True] * len(doc), []
+    while True:
+        best = (least - 1, 0, 0)
+        for i in range(len(item)):
+            for d in range(len(doc)):
+                n = 0
+                while i + n < len(item) and d + n < len(doc) and fi[i + n] and fd[d + n] and item[i + n] == doc[d + n]:
+                    n += 1
+                if n > best[0]:
+                    best = (n, i, d)
+        n, i, d = best
+        if n < least:
+            return out
+        fi[i : i + n], fd[d : d + n] = [False] * n, [False] * n
+        out.append((i, d, n))
+
+
+def test_tiles_equal_plain_tiling():
+    g = np.random.default_rng(4)
+    for k in range(120):
+        item, doc = (g.integers(0, 2 + k % 4, int(n)).astype(np.uint64) for n in g.integers(5, 40, 2))
+        if k % 3 == 0:
+            doc = np.concatenate([item[len(item) // 2 :], doc, item[: len(item) // 2]])
+        assert decontaminate.tile(item, doc, 3) == plain_tiles(item.tolist(), doc.tolist(), 3)
+    a = np.zeros(400, np.uint64)
+    assert decontaminate.tile(a, np.zeros(20_000, np.uint64), 5) == [(0, 0, 400)]
+
+
+def test_contamination_equals_brute_force(spark):
+    g = np.random.default_rng(9)
+    word = lambda n: [f"q{x}" for x in g.integers(0, 400, n)]
+    items = [word(int(n)) for n in g.integers(4, 30, 12)]
+    docs = []
+    for k in range(60):
+        own, it = word(40), items[k % 12]
+        cut = int(g.integers(0, len(it)))
+        docs.append([*own[:10], *it[cut:], *own[10:20], *it[: cut if k % 2 else cut // 2], *own[20:]])
+    want = set()
+    for d, doc in enumerate(docs):
+        for i, it in enumerate(items):
+            if len(it) >= decontaminate.LEAST and sum(t[2] for t in plain_tiles(it, doc, decontaminate.LEAST)) >= decontaminate.COVERAGE * len(it):
+                want.add((d, i))
+    frames = [spark.createDataFrame([(k, " ".join(x)) for k, x in enumerate(rows)], f"{name} long, text string") for name, rows in (("doc_id", docs), ("item_id", items))]
+    got = decontaminate.contamination(*frames).collect()
+    assert want and {(r["doc_id"], r["item_id"]) for r in got} == want
+    left = {r["doc_id"] for r in decontaminate.decontaminate(*frames, chunk_chars=200).collect()}
+    assert left == set(range(60)) - {d for d, _ in want}
+
+
+def luhn(m):
+    digits = [int(c) for c in m if c.isdigit()][::-1]
+    return 13 <= len(digits) <= 19 and sum(x if k % 2 == 0 else sum(divmod(2 * x, 10)) for k, x in enumerate(digits)) % 10 == 0
+
+
+PII_PLAIN = {
+    "email": (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+    "ip": (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(x) <= 255 for x in m.split("."))),
+    "card": (r"[0-9]([\x20-]?[0-9])+", luhn),
+    "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 9 <= sum(c.isdigit() for c in m) <= 15),
+}
+
+
+def test_pii_base_equals_plain_reading(spark):
+    g = np.random.default_rng(6)
+    pieces = ["a", "b.c", "@", ".", "-", " ", "+", "1", "22", "4111111111111111", "4111-1111 1111 1111", "192.168.0.1", "300.1.1.1", "+49 (30) 123456", "x@y.zz", "é", "😀", "(", "7", "\n", "5500005555555559"]
+    rows = [(k, "".join(pieces[i] for i in g.integers(0, len(pieces), int(g.integers(1, 14))))) for k in range(1500)]
+    rows += [(9000, " ".join(f"u{k}@h.example {k % 256}.1.2.3" for k in range(3000)))]
+    got = {r["doc_id"]: [(x["kind"], x["start"], x["end"]) for x in r["pii"] if x["kind"] in PII_PLAIN] for r in pii.find_pii(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    n = dict.fromkeys(PII_PLAIN, 0)
+    for k, t in rows:
+        want = [(kind, m.start(), m.end()) for kind, (p, ok) in PII_PLAIN.items() for m in re.compile(p).finditer(t) if ok(m.group())]
+        assert got[k] == want, t
+        for kind, *_ in want:
+            n[kind] += 1
+    assert min(n.values()) > 20
+    odd = spark.createDataFrame([("keep", "a@b.co", "own")], "text string, body string, hit_email string")
+    out = pii.find_pii(odd, "body").first()
+    assert out["text"] == "keep" and out["hit_email"] == "own" and out["pii"][0]["kind"] == "email"
+    assert pii.redact(odd, "body").first()["body"] == "<email>"
+
+
+def test_secrets_base_equals_plain_reading():
+    g = np.random.default_rng(8)
+    pieces = ["password", "Token", "api_key", "APIKEY", "secret", "=", ":", " ", '"', "'", "abcdef", "AKIA", "ABCDEFGH12345678", "deadbeef", "0123456789abcdef", "é", "\n", "x", "/+=", "passwd"]
+    plain = ((r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A, lambda m: len(m.group(2)) >= 6), (r"AKIA[A-Z0-9]+", 0, lambda m: len(m.group()) >= 20), (r"[0-9a-f]+", 0, lambda m: len(m.group()) >= 24))
+    found = 0
+    for _ in range(4000):
+        t = "".join(pieces[i] for i in g.integers(0, len(pieces), int(g.integers(1, 16))))
+        want = sorted((m.start(), m.end(), k) for k, (p, f, ok) in enumerate(plain) for m in re.compile(p, f).finditer(t) if ok(m))
+        assert secrets.base_spans(t) == sorted(want, key=lambda x: (x[0], x[2])), t
+        found += len(want)
+    assert found > 300
+
+
+def test_secrets_beyond_the_core_are_read():
+    assert secrets.views(0, 48) == [(0, 48)] and secrets.views(5, 105) == [(5, 53), (29, 77), (53, 101), (57, 105)]
+    covered = {i for a, z in secrets.views(0, 333) for i in range(a, z)}
+    assert covered == set(range(333)) and all(z - a <= secrets.CORE for a, z in secrets.views(0, 333))
+
+
+def test_ftrl_equals_plain_updates():
+    g = np.random.default_rng(1)
+    rows = [(np.unique(g.integers(0, 50, 6)).astype(np.int32), None) for _ in range(40)]
+    rows = [(s, g.random(len(s)).astype(np.float32)) for s, _ in rows]
+    y = (g.random(40) < 0.4).astype(float)
+    alpha, beta, l1, l2 = 0.3, 1.0, 0.02, 0.1
+    z, n, order = {}, {}, np.random.default_rng(5)
+    weight = lambda i: 0.0 if abs(z.get(i, 0)) <= l1 else -(z[i] - np.sign(z[i]) * l1) / ((beta + n[i] ** 0.5) / alpha + l2)
+    for _ in range(quality.EPOCHS):
+        for r in order.permutation(40):
+            x = [*zip(rows[r][0].tolist(), rows[r][1].tolist(), strict=True), (-1, 1.0)]
+            w = {i: weight(i) for i, _ in x}
+            p = 1 / (1 + np.exp(-sum(w[i] * v for i, v in x)))
+            for i, v in x:
+                d = (0.5 / y.mean() if y[r] else 0.5 / (1 - y.mean())) * (p - y[r]) * v
+                old = n.get(i, 0.0)
+                z[i] = z.get(i, 0.0) + d - ((old + d * d) ** 0.5 - old**0.5) / alpha * w[i]
+                n[i] = old + d * d
+    got = quality.ftrl(rows, y)
+    np.testing.assert_allclose(got.weight[:50], [weight(i) for i in range(50)], atol=1e-5)
+    assert abs(got.bias - weight(-1)) < 1e-6
+
+
+def test_packing_equals_plain_sum_of_squares():
+    g = np.random.default_rng(3)
+    for cap in (10, 64):
+        shard, gaps = packing.Shard(cap, 0), {}  # sequence: gap
+        for size in g.integers(1, cap + 1, 300).tolist():
+            count = lambda gs: sum(c * c for c in np.unique(gs, return_counts=True)[1]) if gs else 0
+            options = sorted({v for v in gaps.values() if v >= size})
+            seq, offset = shard.place(size)
+            if options:
+                after = {v: count([x for x in [*sorted(gaps.values())] if x > 0 and x != v] + [v] * (list(gaps.values()).count(v) - 1) + ([v - size] if v > size else [])) for v in options}
+                assert seq in gaps and after[gaps[seq]] == min(after.values()) and offset == cap - gaps[seq]
+                gaps[seq] -= size
+            else:
+                assert seq not in gaps and offset == 0
+                gaps[seq] = cap - size
+
+
 def test_pii(spark, docs, none):
     got = {r["doc_id"]: r["pii"] for r in pii.find_pii(docs).collect()}
     assert [(x["kind"], x["start"], x["end"]) for x in got[10]] == [("email", 0, 6)]  # digits run on over the space: too many for a card

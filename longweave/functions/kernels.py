@@ -47,18 +47,20 @@ def position_codes(rows: int, d: int) -> np.ndarray:
 
 # ---------------------------------------------------------------- attention
 def attention(h: np.ndarray, keys: np.ndarray | None = None, scale: float | None = None, mask: np.ndarray | None = None) -> np.ndarray:
-    """Softmax of scaled dot products, identity projections.  mask[i, j]: row i may read row j."""
+    """Softmax of scaled dot products, identity projections; axes before the last two are a batch.  mask[i, j]: row i may
+    read row j."""
     keys = h if keys is None else keys
-    s = h @ keys.T * (1 / np.sqrt(h.shape[1]) if scale is None else scale)
+    s = h @ keys.swapaxes(-1, -2) * (1 / np.sqrt(h.shape[-1]) if scale is None else scale)
     if mask is not None:
         s = np.where(mask, s, -np.inf)
-    s = np.exp(s - s.max(1, keepdims=True))
-    return (s / s.sum(1, keepdims=True)) @ keys
+    s = np.exp(s - s.max(-1, keepdims=True))
+    return (s / s.sum(-1, keepdims=True)) @ keys
 
 
 @dataclass
 class Block:
-    """A seeded transformer block: pre-norm multi-head attention and feed-forward, both residual."""
+    """A seeded transformer block: pre-norm multi-head attention and feed-forward, both residual; axes before the last two
+    are a batch.  drop: share of what each branch adds that is left out, the rest scaled up (training only)."""
 
     wq: np.ndarray
     wk: np.ndarray
@@ -68,6 +70,7 @@ class Block:
     w2: np.ndarray
     heads: int = 2
     eps: float = 1e-5
+    drop: float = 0.0
 
     @classmethod
     def seeded(cls, d: int, heads: int = 2, d_ff: int | None = None, seed: int = 0) -> Block:
@@ -75,18 +78,19 @@ class Block:
         return cls(*(g.normal(0, d**-0.5, (d, d)) for _ in range(4)), g.normal(0, d**-0.5, (d, f)), g.normal(0, f**-0.5, (f, d)), heads)
 
     def norm(self, x: np.ndarray) -> np.ndarray:
-        return (x - x.mean(1, keepdims=True)) / np.sqrt(x.var(1, keepdims=True) + self.eps)
+        return (x - x.mean(-1, keepdims=True)) / np.sqrt(x.var(-1, keepdims=True) + self.eps)
 
-    def __call__(self, h: np.ndarray, mask: np.ndarray | None = None) -> np.ndarray:
-        n, d = h.shape
+    def __call__(self, h: np.ndarray, mask: np.ndarray | None = None, rng: np.random.Generator | None = None) -> np.ndarray:
+        *lead, n, d = h.shape
+        kept = lambda x: x * (rng.random(x.shape) >= self.drop) / (1 - self.drop) if rng is not None and self.drop else x
         x = self.norm(h)
-        q, k, v = ((x @ w).reshape(n, self.heads, -1).transpose(1, 0, 2) for w in (self.wq, self.wk, self.wv))
-        s = q @ k.transpose(0, 2, 1) / np.sqrt(d // self.heads)
+        q, k, v = ((x @ w).reshape(*lead, n, self.heads, d // self.heads).swapaxes(-2, -3) for w in (self.wq, self.wk, self.wv))
+        s = q @ k.swapaxes(-1, -2) / np.sqrt(d // self.heads)
         if mask is not None:
-            s = np.where(mask, s, -np.inf)
-        s = np.exp(s - s.max(2, keepdims=True))
-        h = h + ((s / s.sum(2, keepdims=True)) @ v).transpose(1, 0, 2).reshape(n, d) @ self.wo
-        return h + np.maximum(self.norm(h) @ self.w1, 0) @ self.w2
+            s = np.where(mask if mask.ndim == 2 else mask[..., None, :, :], s, -np.inf)
+        s = np.exp(s - s.max(-1, keepdims=True))
+        h = h + kept(((s / s.sum(-1, keepdims=True)) @ v).swapaxes(-2, -3).reshape(*lead, n, d) @ self.wo)
+        return h + kept(np.maximum(self.norm(h) @ self.w1, 0) @ self.w2)
 
 
 # ---------------------------------------------------------------- windows
@@ -104,6 +108,29 @@ def slice_windows(x: np.ndarray, q: np.ndarray, win: int, stride: int) -> list[n
     return [np.concatenate([q, x[lo:hi]]) for lo, hi in window_bounds(len(x), win, stride)]
 
 
+def encode_merged(ctx: np.ndarray, qs: np.ndarray, win: int, stride: int, encode: Callable, codes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """One window layer over merged states: (context, question rows of each window) after encoding and merging.
+
+    ctx: x by d; qs: windows by question rows by d.  Windows of equal length are encoded together.
+    """
+    x, d = ctx.shape
+    n_q = qs.shape[1]
+    bounds = np.array(window_bounds(x, win, stride)).reshape(-1, 2)
+    total, count, out_q = np.zeros((x, d)), np.zeros(x), np.empty_like(qs, dtype=np.float64)
+    size = bounds[:, 1] - bounds[:, 0]
+    for length in np.unique(size):
+        own = np.flatnonzero(size == length)
+        step = max(1, 4_000_000 // ((n_q + length) ** 2))
+        for k in (own[i : i + step] for i in range(0, len(own), step)):
+            at = bounds[k, :1] + np.arange(length)
+            h = np.concatenate([qs[k], ctx[at]], 1)
+            h = encode(h if codes is None else h + codes[: n_q + length])
+            out_q[k] = h[:, :n_q]
+            np.add.at(total, at, h[:, n_q:])
+            np.add.at(count, at, 1)
+    return total / count[:, None], out_q
+
+
 def merge_overlaps(windows: list[np.ndarray], n_q: int, x: int, win: int, stride: int) -> list[np.ndarray]:
     """Context rows that several windows hold become the mean of all their encodings, in each of these windows."""
     bounds = window_bounds(x, win, stride)
@@ -143,7 +170,9 @@ def similarity(states: np.ndarray, centroids: np.ndarray, metric: str = "cosine"
 
 
 def assign(states: np.ndarray, centroids: np.ndarray, metric: str = "cosine") -> np.ndarray:
-    return similarity(states, centroids, metric).argmax(1)  # the first of equals
+    step = max(1, 8_000_000 // max(1, len(centroids)))
+    parts = [similarity(states[i : i + step], centroids, metric).argmax(1) for i in range(0, len(states), step)]  # the first of equals
+    return np.concatenate(parts) if parts else np.empty(0, np.int64)
 
 
 def chain_order(centroids: np.ndarray, start: int = 0) -> list[int]:
@@ -168,15 +197,25 @@ def blocks_of(labels: np.ndarray, stride: int, layout: str = "uniform") -> list[
 
 def cluster_attention(states: np.ndarray, labels: np.ndarray, stride: int, encode=attention, layout: str = "uniform", causal: np.ndarray | None = None) -> np.ndarray:
     """Attention inside each block, rows back in their own order.  causal: a time per row; rows read no later ones."""
+    return attend_blocks(states, blocks_of(labels, stride, layout), encode, labels if layout == "masked" else None, causal)
+
+
+def attend_blocks(states: np.ndarray, blocks: list[np.ndarray], encode=attention, labels: np.ndarray | None = None, causal: np.ndarray | None = None) -> np.ndarray:
+    """Attention inside each of the blocks of rows; blocks of equal length together.  labels: rows read equal ones only."""
     out = np.empty_like(states)
-    for rows in blocks_of(labels, stride, layout):
-        mask = None
-        if layout == "masked":
-            mask = labels[rows][:, None] == labels[rows]
-        if causal is not None:
-            past = causal[rows][:, None] >= causal[rows]
-            mask = past if mask is None else mask & past
-        out[rows] = encode(states[rows], mask=mask) if mask is not None else encode(states[rows])
+    by: dict[int, list[np.ndarray]] = {}
+    for rows in blocks:
+        by.setdefault(len(rows), []).append(rows)
+    for length, group in by.items():
+        step = max(1, 4_000_000 // length**2)
+        for at in range(0, len(group), step):
+            rows, mask = np.stack(group[at : at + step]), None
+            if labels is not None:
+                mask = labels[rows][:, :, None] == labels[rows][:, None]
+            if causal is not None:
+                past = causal[rows][:, :, None] >= causal[rows][:, None]
+                mask = past if mask is None else mask & past
+            out[rows] = encode(states[rows], mask=mask) if mask is not None else encode(states[rows])
     return out
 
 
@@ -184,8 +223,7 @@ def lloyd_step(bank: np.ndarray, centroids: np.ndarray) -> tuple[np.ndarray, np.
     """(labels, new centroids); an empty cluster keeps its centroid."""
     labels = assign(bank, centroids, "l2")
     n = np.bincount(labels, minlength=len(centroids))
-    total = np.zeros_like(centroids)
-    np.add.at(total, labels, bank)
+    total = np.stack([np.bincount(labels, bank[:, j], len(centroids)) for j in range(bank.shape[1])], 1)
     return labels, np.where(n[:, None] > 0, total / np.maximum(n, 1)[:, None], centroids)
 
 
@@ -291,6 +329,20 @@ def carry_memory(windows: list[np.ndarray]) -> list[np.ndarray]:
     return [attention(h, np.concatenate([windows[k - 1], h]) if k else h) for k, h in enumerate(windows)]
 
 
+def global_rows(states: np.ndarray, heads: np.ndarray, half: int, scale: float | None = None, step: int = 64) -> np.ndarray:
+    """Attention of rows to those within half places and to the global rows (heads: their numbers), which read all rows;
+    in blocks of step rows, never all by all."""
+    out, n = np.empty_like(states, dtype=np.float64), len(states)
+    for lo in range(0, n, step):
+        a, z = max(0, lo - half), min(n, lo + step + half)
+        rows, far = np.arange(lo, min(n, lo + step)), heads[(heads < a) | (heads >= z)]
+        near = np.concatenate([(np.abs(rows[:, None] - np.arange(a, z)) <= half) | np.isin(np.arange(a, z), heads), np.ones((len(rows), len(far)), bool)], 1)
+        out[rows] = attention(states[rows], np.concatenate([states[a:z], states[far]]), scale, near)
+    for at in range(0, len(heads), step):
+        out[heads[at : at + step]] = attention(states[heads[at : at + step]], states, scale)
+    return out
+
+
 def global_tokens(states: np.ndarray, is_global: np.ndarray, half: int) -> np.ndarray:
     """Each row reads rows within half places and the global rows; global rows read all."""
     at = np.arange(len(states))

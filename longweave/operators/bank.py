@@ -12,28 +12,49 @@ def newest(states: DataFrame, cap: int, arrival: str = "arrival") -> DataFrame:
 
 
 class MemoryBank:
-    """Append-only Parquet under path, one folder per iteration; push overwrites its own iteration, so it is idempotent."""
+    """Append-only Parquet under path, one folder per iteration; push overwrites its own iteration, so it is idempotent.
 
-    def __init__(self, spark: SparkSession, path: str, cap: int = 100_000):
-        self.spark, self.path, self.cap = spark, path, cap
+    size: the column that says how many states a row holds; one each if None.  Rows of several states stay whole, so what
+    is read may exceed cap by a part of the oldest iteration held.
+    """
+
+    def __init__(self, spark: SparkSession, path: str, cap: int = 100_000, size: str | None = None):
+        self.spark, self.path, self.cap, self.size = spark, path, cap, size
 
     def push(self, states: DataFrame, iteration: int) -> None:
         states.write.mode("overwrite").parquet(f"{self.path}/iter={iteration}")
 
+    def _iterations(self, rows: DataFrame) -> list[tuple[int, int, int]]:
+        """(iteration, states, room left when its turn comes) from the newest to the oldest that has room."""
+        n = F.sum(self.size) if self.size else F.count("*")
+        held, room = [], self.cap
+        for r in rows.groupBy("iter").agg(n.alias("n")).orderBy(F.desc("iter")).collect():
+            if room <= 0:
+                break
+            held.append((r["iter"], r["n"], room))
+            room -= r["n"]
+        return held
+
+    def _rows(self) -> DataFrame:
+        return self.spark.read.option("basePath", self.path).parquet(f"{self.path}/iter=*")
+
+    def evict(self) -> None:
+        """Delete iterations that the cap no longer reaches."""
+        oldest = min((i for i, _, _ in self._iterations(self._rows())), default=0)
+        conf, jvm = self.spark._jsc.hadoopConfiguration(), self.spark._jvm
+        root = jvm.org.apache.hadoop.fs.Path(self.path)
+        store = root.getFileSystem(conf)
+        for f in store.listStatus(root):
+            name = f.getPath().getName()
+            if name.startswith("iter=") and int(name[5:]) < oldest:
+                store.delete(f.getPath(), True)
+
     def read(self) -> DataFrame:
         """The newest cap states by (iteration, arrival)."""
-        rows = self.spark.read.option("basePath", self.path).parquet(f"{self.path}/iter=*")
-        sizes = [(r["iter"], r["n"]) for r in rows.groupBy("iter").agg(F.count("*").alias("n")).orderBy(F.desc("iter")).collect()]
-        held, room = [], self.cap
-        for it, n in sizes:  # whole iterations as long as they fit, the newest part of the next
+        rows, out = self._rows(), None
+        for it, n, room in self._iterations(rows):  # whole iterations as long as they fit, the newest part of the next
             part = rows.filter(F.col("iter") == it)
-            if n > room:
+            if n > room and not self.size:
                 part = newest(part, room)
-            held.append(part)
-            room -= n
-            if room <= 0:
-                break
-        out = held[0]
-        for p in held[1:]:
-            out = out.unionByName(p)
-        return out
+            out = part if out is None else out.unionByName(part)
+        return rows.limit(0) if out is None else out

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from longweave.functions import kernels
@@ -55,14 +55,17 @@ def cluster_rank(states: DataFrame) -> DataFrame:
 
 
 def cluster_rank_counting(states: DataFrame, span: int = 4096) -> DataFrame:
-    """The same rank for sequences beyond one task: counts per (sequence, cluster, span of hpos) give each span's first
-    rank; only spans are ordered within."""
+    """The same rank for sequences beyond one task: counts per (sequence, cluster) and per span of hpos within give each
+    span's first rank; only spans are ordered within.  A window holds a sequence's clusters, or a cluster's spans."""
     cut = states.withColumn("_span", F.floor(F.col("hpos") / span))
     counts = cut.groupBy("seq_id", "cluster", "_span").agg(F.count("*").alias("_n"))
-    before = counts.withColumn("_before", F.sum("_n").over(Window.partitionBy("seq_id").orderBy("cluster", "_span").rowsBetween(Window.unboundedPreceding, -1)))
+    earlier = Window.rowsBetween(Window.unboundedPreceding, -1)
+    first = counts.groupBy("seq_id", "cluster").agg(F.sum("_n").alias("_n")).withColumn("_first", F.coalesce(F.sum("_n").over(earlier.partitionBy("seq_id").orderBy("cluster")), F.lit(0))).drop("_n")
+    within = F.coalesce(F.sum("_n").over(earlier.partitionBy("seq_id", "cluster").orderBy("_span")), F.lit(0))
+    before = counts.withColumn("_before", within).drop("_n").join(first, ["seq_id", "cluster"])
     local = F.row_number().over(Window.partitionBy("seq_id", "cluster", "_span").orderBy("hpos")) - 1
-    placed = cut.withColumn("_local", local).join(before.drop("_n"), ["seq_id", "cluster", "_span"])
-    return placed.withColumn("srank", (F.coalesce("_before", F.lit(0)) + F.col("_local")).cast("int")).drop("_span", "_local", "_before")
+    placed = cut.withColumn("_local", local).join(before, ["seq_id", "cluster", "_span"])
+    return placed.withColumn("srank", (F.col("_first") + F.col("_before") + F.col("_local")).cast("int")).drop("_span", "_local", "_before", "_first")
 
 
 def chunk(ranked: DataFrame, stride: int, layout: str = "uniform") -> DataFrame:
@@ -115,8 +118,3 @@ def kmeans(bank: DataFrame, init: np.ndarray, iters: int = 10, tol: float = 1e-9
         if moved <= tol:
             break
     return c
-
-
-def random_init(spark: SparkSession, k: int, d: int, seed: int = 0) -> DataFrame:
-    v = np.random.default_rng(seed).normal(size=(k, d))
-    return spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "cid int, vec array<double>")

@@ -30,3 +30,15 @@ def answer_prf(answers: DataFrame, wrong_counts_as_fn: bool = False) -> DataFram
     part = lambda a, b: F.round(a / F.nullif(b, F.lit(0)), 6)
     tp, fp, fn = F.col("tp"), F.col("fp"), F.col("fn")
     return n.select("tp", "fp", "fn", part(2.0 * tp, 2 * tp + fp + fn).alias("f1"), part(tp, tp + fp).alias("p"), part(tp, tp + fn).alias("r"))
+
+
+def perplexity(p, weight="1") -> Column:
+    """exp of the mean negative log of p, an aggregate; weight: how often each row stands."""
+    w = F.expr(weight) if isinstance(weight, str) else weight
+    return F.exp(F.sum(-F.ln(p) * w) / F.sum(w))
+
+
+def bits(p, weight="1") -> Column:
+    """Mean negative binary log of p."""
+    w = F.expr(weight) if isinstance(weight, str) else weight
+    return F.sum(-F.log2(p) * w) / F.sum(w)

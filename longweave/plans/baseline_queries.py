@@ -12,7 +12,7 @@ from longweave.functions.vectors import dot
 from longweave.operators import tokens as T
 from longweave.operators.fused import DIGEST, digest, per_sequence, states_of
 from longweave.plans import sqltext as S
-from longweave.plans.method_queries import BLOCK, D, ENCODED, HEAD, PARAS, QUESTION, SCALE, SEED, STRIDE, WIN, WINROWS, docs_packed, gold_pairs, merged_windows, page_paras
+from longweave.plans.method_queries import BLOCK, D, ENCODED, GOLD, HEAD, PARAS, QUESTION, SCALE, SEED, STRIDE, WIN, WINROWS, docs_packed, fitted_stack, gold_pairs, merged_windows, page_paras
 from longweave.plans.registry import query
 from longweave.plans.stack import LayerPlan
 from longweave.session import load
@@ -89,7 +89,7 @@ def base_recurrent(spark, sf):
     return out.select("seq_id", *((F.round(f"h{j}", 6) + 0.0).alias(f"h{j}") for j in range(4)))
 
 
-@query("base_select_then_read", rf"""with g as (select d.doc_id, b.item_id, list_distinct(regexp_split_to_array(trim(lower(b.text)), '\s+')) as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from documents d join benchmark b on contains(d.text, b.text)),
+@query("base_select_then_read", rf"""with g as (select d.doc_id, b.item_id, list_distinct(regexp_split_to_array(trim(lower(b.text)), '\s+')) as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from {GOLD}),
   w as (select doc_id, item_id, k::int as win, len(list_intersect(t[k * 224 + 1:k * 224 + 256], q))::int as score from (select *, unnest(range((len(t) + 223) // 224)) as k from g))
   select doc_id, item_id, win, score, r::int as r from (select *, row_number() over (partition by doc_id, item_id order by score desc, win) as r from w) where r <= 2""")
 def base_select_then_read(spark, sf):
@@ -101,7 +101,7 @@ def base_select_then_read(spark, sf):
     return w.withColumn("r", r).filter("r <= 2").select("doc_id", "item_id", "win", "score", "r")
 
 
-@query("base_question_attention", rf"""with g as (select d.doc_id, b.item_id, regexp_split_to_array(trim(lower(b.text)), '\s+') as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from documents d join benchmark b on contains(d.text, b.text)),
+@query("base_question_attention", rf"""with g as (select d.doc_id, b.item_id, regexp_split_to_array(trim(lower(b.text)), '\s+') as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from {GOLD}),
   qs as (select doc_id, item_id, {S.hash_vec('tok')} as vec from (select doc_id, item_id, unnest(q) as tok from g)), ts as (select doc_id, item_id, i, {S.hash_vec('tok')} as vec from (select doc_id, item_id, unnest(t) as tok, generate_subscripts(t, 1) as i from g)),
   a as (select ts.doc_id, ts.item_id, i, exp(list_dot_product(ts.vec, qs.vec) * {SCALE!r}) as e, qs.vec[1] as v1, qs.vec[2] as v2 from ts join qs using (doc_id, item_id)),
   o as (select doc_id, item_id, i, sum(e * v1) / sum(e) as o1, sum(e * v2) / sum(e) as o2 from a group by 1, 2, 3) select doc_id, item_id, count(*) as n, round(sum(o1), 4) + 0.0 as s0, round(sum(o2), 4) + 0.0 as s1 from o group by 1, 2""")
@@ -185,7 +185,7 @@ for _kind in ("cluster", "same_position", "random_hash", "local"):
     @query(f"stack_{_kind}")
     def _stack(spark, sf, kind=_kind):
         """The same depths of the same stack, another layer in their place."""
-        plan = LayerPlan.local(4) if kind == "local" else LayerPlan.explicit([2, 4], n_layers=4, kind=kind)
+        plan = LayerPlan.local(4) if kind == "local" else fitted_stack(spark, sf, LayerPlan.explicit([2, 4], n_layers=4, kind=kind))
         return per_sequence(docs_packed(spark, sf), lambda seq, toks: plan.digest(seq, toks), DIGEST)
 
 

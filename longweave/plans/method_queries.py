@@ -16,10 +16,11 @@ from longweave.operators import tokens as T
 from longweave.operators import windows as W
 from longweave.operators.bank import newest
 from longweave.operators.fused import DIGEST, digest, per_sequence, states_of
+from longweave.operators.refresh import Refresh, Snapshot, fit_stack, refresh_loop, snapshot_table
 from longweave.plans import sqltext as S
 from longweave.plans.registry import query
 from longweave.plans.stack import LayerPlan
-from longweave.session import load
+from longweave.session import load, persist_cut
 
 D, SEED, WIN, STRIDE, BLOCK = 8, 7, 16, 12, 32
 SCALE = 1 / math.sqrt(D)
@@ -44,7 +45,8 @@ def vec_chain(spark, sf):
 
 
 def vec_ranked(spark, sf):
-    return C.cluster_rank(C.nearest(vec_states(spark, sf), vec_chain(spark, sf)))
+    """One sequence of all vectors: ranks come from counts, so no task holds it."""
+    return C.cluster_rank_counting(C.nearest(vec_states(spark, sf), vec_chain(spark, sf)), span=4096)
 
 
 @query("tok_word_counts", f"with {S.TOK} select seq_id, len(t)::int as n_tokens, len(list_distinct(t))::int as n_types from tl")
@@ -105,12 +107,25 @@ _membership("win_membership", 256, 224)
 _membership("win_membership_lm", 256, 128, 3072)
 
 
+#: Reference form of gold_pairs: passages of fewer than five words name no document.
+GOLD = r"documents d join (select * from benchmark where len(list_filter(regexp_split_to_array(trim(lower(text)), '\s+'), lambda y: y <> '')) >= 5) b on contains(d.text, b.text)"
+
+
 def gold_pairs(spark, sf):
+    """(doc_id, text, item_id, passage) of documents that hold a passage of five or more words.
+
+    Words 2 to 4 of a passage stand whole in such a document: an equality join on them finds all pairs, contains() decides.
+    """
     d, b = load(spark, sf, "documents").select("doc_id", "text"), load(spark, sf, "benchmark").select("item_id", F.col("text").alias("passage"))
-    return d.join(b, F.contains("text", "passage"))
+    three = lambda t, i: F.xxhash64(F.get(t, i), F.get(t, i + 1), F.get(t, i + 2))
+    seeds = b.withColumn("p", words("passage")).filter(F.size("p") >= 5).select("item_id", "passage", three(F.col("p"), F.lit(1)).alias("h"))
+    t = d.select("doc_id", words("text").alias("t")).filter(F.size("t") > 2)
+    own = t.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("t") - 3), lambda i: three(F.col("t"), i)))).alias("h"))
+    pairs = own.join(seeds.select("item_id", "h"), "h").select("doc_id", "item_id").distinct()
+    return pairs.join(b, "item_id").join(d, "doc_id").filter(F.contains("text", "passage")).select("doc_id", "text", "item_id", "passage")
 
 
-@query("win_question_prefix", rf"""with {S.TOK}, g as (select d.doc_id, b.item_id, regexp_split_to_array(trim(lower(b.text)), '\s+') as p from documents d join benchmark b on contains(d.text, b.text)),
+@query("win_question_prefix", rf"""with {S.TOK}, g as (select d.doc_id, b.item_id, regexp_split_to_array(trim(lower(b.text)), '\s+') as p from """ + GOLD + rf"""),
   q as (select doc_id, item_id, p[1:len(p) - 3] as q from g),
   w as (select q.item_id, tok.seq_id, k::int as win, (tok.pos - k * 224 + len(q.q))::int as "row", 'c' as kind, tok.tok from (select *, unnest(range(greatest(0, ceil((pos - 255) / 224.0))::bigint, pos // 224 + 1)) as k from tok) tok join q on q.doc_id = tok.seq_id)
   select * from w union all select item_id, seq_id, win, (i - 1)::int, 'q', q[i] from (select w.item_id, w.seq_id, w.win, q.q, unnest(range(1, len(q.q) + 1)) as i from (select distinct item_id, seq_id, win from w) w join q on q.item_id = w.item_id and q.doc_id = w.seq_id)""")
@@ -124,11 +139,29 @@ def win_question_prefix(spark, sf):
     return w.select("item_id", "seq_id", "win", "row", F.lit("c").alias("kind"), "tok").unionByName(front)
 
 
-@query("win_position_codes", f"""with {S.TOK}, w as (select seq_id, k, tok.pos - k * 224 as r from (select *, unnest(range(greatest(0, ceil((pos - 255) / 224.0))::bigint, pos // 224 + 1)) as k from tok) tok)
-  select r::int as "row", count(*) as windows, round(count(*) * sin(r), 6) as sin_sum, round(count(*) * cos(r), 6) as cos_sum from w group by r""")
+@query("ctx_truncate", f"with {S.TOK} select seq_id, least(len(t), 5000)::bigint as train_len, least(len(t), 10000)::bigint as infer_len from tl where len(t) > 0")
+def ctx_truncate(spark, sf):
+    """Tokens left under the caps of training and inference."""
+    t = doc_tokens(spark, sf)
+    own = T.truncate(t, "infer").groupBy("seq_id").agg(F.count("*").alias("infer_len"))
+    return own.join(T.truncate(t, "train").groupBy("seq_id").agg(F.count("*").alias("train_len")), "seq_id")
+
+
+CODED = ", ".join(f"vec[{j + 1}] + {'sin' if j % 2 == 0 else 'cos'}(r / {10000 ** (2 * (j // 2) / 8)!r}) as o{j + 1}" for j in range(4))
+
+
+@query("win_position_codes", f"""with {S.STATES}, w as (select seq_id, st.pos - k * 224 as r, vec from (select *, unnest(range(greatest(0, ceil((pos - 255) / 224.0))::bigint, pos // 224 + 1)) as k from st) st),
+  o as (select seq_id, {CODED} from w) {S.digest('o')}""")
 def win_position_codes(spark, sf):
-    w = W.slice_windows(doc_tokens(spark, sf), W.WindowSpec(256, 224)).groupBy("row").agg(F.count("*").alias("windows"))
-    return w.select(F.col("row").cast("int").alias("row"), "windows", F.round(F.col("windows") * F.sin("row"), 6).alias("sin_sum"), F.round(F.col("windows") * F.cos("row"), 6).alias("cos_sum"))
+    """States of all windows with the code of their row in the window added: the same code in each window."""
+
+    def run(seq, toks):
+        if not toks:
+            return []
+        x, codes = states_of(toks, D, SEED), K.position_codes(256, D)
+        return digest(seq, np.concatenate([h + codes[: len(h)] for h in K.slice_windows(x, np.empty((0, D)), 256, 224)]))
+
+    return per_sequence(docs_packed(spark, sf), run, DIGEST)
 
 
 WINROWS = f"(select *, unnest(range(greatest(0, ceil((pos - {WIN - 1}) / {STRIDE}.0))::bigint, pos // {STRIDE} + 1)) as win from st)"
@@ -148,6 +181,23 @@ def win_encode_attn(spark, sf):
     return per_sequence(docs_packed(spark, sf), run, DIGEST)
 
 
+@query("win_encode_padded", f"{ENCODED} {S.digest('en')}")
+def win_encode_padded(spark, sf):
+    """Short last windows filled up to full length, the filling masked: the rows that count stay what they were."""
+
+    def run(seq, toks):
+        if not toks:
+            return []
+        x, out = states_of(toks, D, SEED), []
+        for lo, hi in K.window_bounds(len(x), WIN, STRIDE):
+            h = np.concatenate([x[lo:hi], np.full((WIN - (hi - lo), D), 9.0)])
+            real = np.broadcast_to(np.arange(WIN) < hi - lo, (WIN, WIN))
+            out.append(K.attention(h, scale=SCALE, mask=real)[: hi - lo])
+        return digest(seq, np.concatenate(out))
+
+    return per_sequence(docs_packed(spark, sf), run, DIGEST)
+
+
 def merged_windows(toks):
     x, en = encoded_windows(toks)
     return K.merge_overlaps(en, 0, len(x), WIN, STRIDE)
@@ -184,17 +234,55 @@ def win_rewindow(spark, sf):
     return per_sequence(docs_packed(spark, sf), run, DIGEST)
 
 
+REFITS_HEAD = f"with {S.window_states(WIN, STRIDE, SCALE)}"
+
+
 @query("bank_last_n", "select vec_id, round(embedding[1]::double, 6) as c0 from embeddings order by vec_id desc limit 100")
 def bank_last_n(spark, sf):
     return newest(load(spark, sf, "embeddings"), 100, "vec_id").select("vec_id", F.round(F.col("embedding")[0].cast("double"), 6).alias("c0"))
 
 
-@query("bank_after_batches", """with b as (select (vec_id // 64)::int as iter, count(*) as pushed from embeddings group by 1)
-  select iter, pushed, least(150, sum(pushed) over (order by iter))::bigint as held, greatest(0, sum(pushed) over (order by iter) - 150)::bigint as evicted from b""")
+@query("bank_after_batches", """with b as (select ((vec_id * 8) // (mx + 1) + 1)::int as iter, vec_id from embeddings cross join (select max(vec_id) as mx from embeddings)),
+  h as (select i.iter, b.vec_id, row_number() over (partition by i.iter order by b.vec_id desc) as r from (values (2), (4), (6), (8)) i(iter) join b on b.iter <= i.iter)
+  select iter::int as iter, count(*) as held, min(vec_id) as oldest, max(vec_id) as newest from h where r <= 150 group by 1""")
 def bank_after_batches(spark, sf):
-    b = load(spark, sf, "embeddings").groupBy(F.floor(F.col("vec_id") / 64).cast("int").alias("iter")).agg(F.count("*").alias("pushed"))
-    total = F.sum("pushed").over(Window.orderBy("iter"))
-    return b.select("iter", "pushed", F.least(F.lit(150), total).cast("long").alias("held"), F.greatest(F.lit(0), total - 150).cast("long").alias("evicted"))
+    """A bank of 150 states that an eighth of the vectors joins at a time: what it holds after each second push."""
+    from longweave.operators.bank import MemoryBank
+    from longweave.sources.tables import scratch
+
+    e = load(spark, sf, "embeddings").select(F.col("vec_id").alias("arrival"))
+    last, out = e.agg(F.max("arrival")).first()[0], []
+    bank = MemoryBank(spark, scratch(spark, "bank"), 150)
+    for i in range(1, 9) if last is not None else ():
+        bank.push(e.filter(F.col("arrival").between(*(-(-(k * (last + 1)) // 8) - j for j, k in enumerate((i - 1, i))))), i)
+        bank.evict()
+        if i % 2 == 0:
+            out.append((i, *bank.read().agg(F.count("*"), F.min("arrival"), F.max("arrival")).first()))
+    return spark.createDataFrame(out, "iter int, held long, oldest long, newest long")
+
+
+@query("bank_source", f"""{REFITS_HEAD}, wn as (select h.vec from (select *, unnest(range(greatest(0, ceil((pos - {WIN - 1}) / {STRIDE}.0))::bigint, pos // {STRIDE} + 1)) as k from hs) h),
+  srcs as (select 'windows' as source, vec from wn union all select 'dedup', vec from hs)
+  select source, count(*) as n, {', '.join(f'round(avg(vec[{j}]), 6) + 0.0 as m{j}' for j in range(1, 5))} from srcs group by 1""")
+def bank_source(spark, sf):
+    """What a bank sees if merged windows are pushed with their overlaps, or the de-duplicated list: its size and mean."""
+
+    def run(seq, toks):
+        if not toks:
+            return []
+        x = window_layer(toks)
+        kinds = {"dedup": x, "windows": np.concatenate([x[a:z] for a, z in K.window_bounds(len(x), WIN, STRIDE)])}
+        return [{"source": k, "n": len(h)} | {f"t{j + 1}": float(h[:, j].sum()) for j in range(4)} for k, h in kinds.items()]
+
+    each = per_sequence(docs_packed(spark, sf), run, "source string, n long, t1 double, t2 double, t3 double, t4 double").groupBy("source")
+    return each.agg(F.sum("n").alias("n"), *((F.round(F.sum(f"t{j}") / F.sum("n"), 6) + 0.0).alias(f"m{j}") for j in range(1, 5)))
+
+
+@query("centroid_random_start", f"select i::int as cid, (j - 1)::int as j, round(v, 6) + 0.0 as v from (select i, unnest(vec) as v, generate_subscripts(vec, 1) as j from (select i, list_transform({S.hash_vec(chr(39) + 'centroid' + chr(39) + ' || i')}, lambda y: y * (1 + 0.0137 * i)::double) as vec from range(16) r(i)))")
+def centroid_random_start(spark, sf):
+    """What labels are made with before the first refresh."""
+    t = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(random_start())], "cid int, vec array<double>")
+    return t.select("cid", F.posexplode("vec").alias("j", "v")).withColumn("v", F.round("v", 6) + 0.0)
 
 
 @query("kmeans_one_step", f"""with {S.CENT}, a as (select vec, cid from (select e.vec_id, e.embedding::double[] as vec, c.cid, row_number() over (partition by e.vec_id order by list_distance(e.embedding::double[], c.vec), c.cid) as rn from embeddings e, c) where rn = 1)
@@ -206,6 +294,20 @@ def kmeans_one_step(spark, sf):
     return step.filter("n > 0").select(names[F.col("cid")].cast("int").alias("cid"), F.posexplode("vec").alias("j", "v"), "n").select("cid", "j", "n", F.round("v", 6).alias("v"))
 
 
+@query("kmeans_unit_step", f"""with {S.CENT}, u as (select vec_id, list_transform(embedding::double[], lambda y: y / sqrt(list_dot_product(embedding::double[], embedding::double[]))) as vec from embeddings),
+  n as (select cid, list_transform(vec, lambda y: y / sqrt(list_dot_product(vec, vec))) as vec from c),
+  a as (select vec, cid from (select u.vec_id, u.vec, n.cid, row_number() over (partition by u.vec_id order by list_distance(u.vec, n.vec), n.cid) as rn from u, n) where rn = 1)
+  select cid::int as cid, (j - 1)::int as j, count(*) as n, round(avg(v), 6) as v from (select cid, unnest(vec) as v, generate_subscripts(vec, 1) as j from a) group by 1, 2""")
+def kmeans_unit_step(spark, sf):
+    """One step among unit vectors, where the nearest by distance is the nearest by cosine."""
+    rows = C.label_means(load(spark, sf, "embeddings")).orderBy("cid").collect()
+    c = np.array([r["vec"] for r in rows])
+    unit = vec_states(spark, sf).withColumn("vec", F.transform("vec", lambda x: x / F.sqrt(dot("vec", "vec"))))
+    step = C.kmeans_step(unit, c / np.linalg.norm(c, axis=1, keepdims=True))
+    names = F.array(*(F.lit(r["cid"]) for r in rows))
+    return step.filter("n > 0").select(names[F.col("cid")].cast("int").alias("cid"), F.posexplode("vec").alias("j", "v"), "n").select("cid", "j", "n", F.round("v", 6).alias("v"))
+
+
 @query("centroid_chain", f"with recursive {S.CENT}, {S.CHAIN} select ord::int as ord, cid::int as cid, round(list_cosine_similarity(vec, lag(vec) over (order by ord)), 6) as to_previous from chain")
 def centroid_chain(spark, sf):
     from longweave.functions.vectors import cosine
@@ -233,10 +335,13 @@ def cal_blocks(spark, sf):
     return C.chunk(ranked, BLOCK).select("vec_id", "block")
 
 
-@query("cal_restore", f"{S.vectors_slice()} select vec_id, srank, (row_number() over (order by vec_id) - 1)::int as back from ranked")
+@query("cal_restore", f"{S.vectors_slice()}, bk as (select vec_id, vec, srank, srank // {BLOCK} as block from ranked), o as {S.attention('bk', 'block', 'vec_id', VSCALE)} select o.vec_id, ranked.srank, round(o.o1, 6) + 0.0 as o1 from o join ranked using (vec_id)")
 def cal_restore(spark, sf):
-    """Each row carries its own place through the layer, so order comes back without undoing the sort."""
-    return vec_ranked(spark, sf).withColumn("back", F.row_number().over(Window.partitionBy("seq_id").orderBy("hpos")) - 1).select("vec_id", "srank", "back")
+    """States leave their blocks in sorted order (srank); the permutation, kept apart, says whose they are."""
+    ranked = persist_cut(vec_ranked(spark, sf))
+    perm = ranked.select("srank", "vec_id")
+    sorted_rows = C.attend(C.chunk(ranked, BLOCK).withColumn("hpos", F.col("srank")), ["seq_id", "block"], VSCALE)
+    return sorted_rows.select(F.col("hpos").alias("srank"), (F.round(F.col("out")[0], 6) + 0.0).alias("o1")).join(perm, "srank").select("vec_id", "srank", "o1")
 
 
 @query("cal_strict_blocks", f"{S.vectors_slice()} select vec_id, cluster::int as cluster, ((row_number() over (partition by cluster order by vec_id) - 1) // {BLOCK})::int as sub from asg")
@@ -261,31 +366,91 @@ def cal_attn_vectors(spark, sf):
     return out.select(F.col("hpos").alias("vec_id"), *((F.round(F.col("out")[j], 6) + 0.0).alias(f"o{j + 1}") for j in range(4)))
 
 
-def text_centroids(p=16, d=D, seed=SEED):
-    """The states of p fixed names, in chain order: a frozen set for inference."""
-    c = np.array([K.token_vector(f"centroid{i}", d, seed) for i in range(p)])
-    return c[K.chain_order(c)]
+def window_layer(toks, d=D, causal=False):
+    """States of a document after one window layer, overlaps merged: what lies below the cluster-attention layer."""
+    x = states_of(toks, d, SEED)
+    none = np.empty((-(-len(x) // STRIDE), 0, d))
+    past = (lambda h: K.attention(h, scale=1 / math.sqrt(d), mask=np.tril(np.ones((h.shape[1],) * 2, bool)))) if causal else (lambda h: K.attention(h, scale=1 / math.sqrt(d)))
+    return K.encode_merged(x, none, WIN, STRIDE, past)[0]
+
+
+REFRESH = Refresh(cap=100_000, iterations=4, every=2, steps=4)
+_fitted: dict[tuple, list[Snapshot]] = {}
+
+
+def random_start(p=16, d=D):
+    """Random vectors, no two of them equally far from a state of whole numbers."""
+    return np.array([K.token_vector(f"centroid{i}", d, SEED) * (1 + 0.0137 * i) for i in range(p)])
+
+
+def text_snapshots(spark, sf, p=16, how=REFRESH, d=D, causal=False) -> list[Snapshot]:
+    """The refreshes of one pass over the documents, once per session and table."""
+    key = (spark.sparkContext.applicationId, sf, p, how, d, causal)
+    if key not in _fitted:
+        init = random_start(p, d)
+        got = refresh_loop(docs_packed(spark, sf), lambda toks: window_layer(toks, d, causal), init, how)
+        _fitted[key] = got or [Snapshot(0, init, 0.0)]
+    return _fitted[key]
 
 
-TEXT_CENT = f"c as (select i as cid, {S.hash_vec("'centroid' || i")} as vec from range(16) r(i))"
+def text_centroids(spark, sf, p=16, **k):
+    """The newest snapshot in chain order: what labels are made with."""
+    return text_snapshots(spark, sf, p, **k)[-1].ordered
 
 
-@query("cal_text_states", f"""with recursive {S.STATES}, {TEXT_CENT}, {S.CHAIN},
-  nearv as (select vec, arg_min(ord, (-near, ord)) as cluster from (select v.vec, k.ord, case when list_dot_product(v.vec, v.vec) = 0 then 0 else list_cosine_similarity(v.vec, k.vec) end as near from (select distinct vec from voc) v, chain k) group by vec),
-  b as (select seq_id, pos, vec, (row_number() over (partition by seq_id order by cluster, pos) - 1) // {BLOCK} as block from st join nearv using (vec)),
-  o as {S.attention('b', 'seq_id, block', 'seq_id, pos', SCALE)} {S.digest('o')}""")
+FITTED = f"{S.window_states(WIN, STRIDE, SCALE)}, {S.refreshed(16, REFRESH.cap, REFRESH.iterations, REFRESH.every, REFRESH.steps)}, {S.CHAIN}, {S.LABEL_STATES}"
+LABELLED = f"with recursive {FITTED}, lab as (select seq_id, pos, vec, cluster, (row_number() over (partition by seq_id order by cluster, pos) - 1) // {BLOCK} as block from lab0)"
+
+
+@query("cal_text_states", f"{LABELLED}, o as {S.attention('lab', 'seq_id, block', 'seq_id, pos', SCALE)} {S.digest('o')}")
 def cal_text_states(spark, sf):
-    cent = text_centroids()
+    """Window layer, labels by the fitted centroids, sort, blocks, attention, order restored: no exchange."""
+    cent = text_centroids(spark, sf)
 
     def run(seq, toks):
         if not toks:
             return []
-        x = states_of(toks, D, SEED)
+        x = window_layer(toks)
         return digest(seq, K.cluster_attention(x, K.assign(x, cent), BLOCK, lambda h: K.attention(h, scale=SCALE)))
 
     return per_sequence(docs_packed(spark, sf), run, DIGEST)
 
 
+def _text_layout(name, sql, layout, ordered=True):
+    @query(name, sql)
+    def run(spark, sf):
+        last = text_snapshots(spark, sf)[-1]
+        cent = last.ordered if ordered else last.centroids
+
+        def one(seq, toks):
+            if not toks:
+                return []
+            x = window_layer(toks)
+            return digest(seq, K.cluster_attention(x, K.assign(x, cent), BLOCK, K_ATT, layout))
+
+        return per_sequence(docs_packed(spark, sf), one, DIGEST)
+
+
+def K_ATT(h, mask=None):
+    return K.attention(h, scale=SCALE, mask=mask)
+
+
+UNCHAINED = f"with recursive {S.window_states(WIN, STRIDE, SCALE)}, {S.refreshed(16, REFRESH.cap, REFRESH.iterations, REFRESH.every, REFRESH.steps)}, chain as (select cid as ord, cid, vec from c), {S.LABEL_STATES}, lab as (select seq_id, pos, vec, cluster, (row_number() over (partition by seq_id order by cluster, pos) - 1) // {BLOCK} as block from lab0)"
+# within blocks only rows of the same cluster read each other; whole clusters as (padded) blocks; no greedy walk
+_text_layout("cal_masked", f"{LABELLED}, o as {S.attention('lab', 'seq_id, block, cluster', 'seq_id, pos', SCALE)} {S.digest('o')}", "masked")
+_text_layout("cal_padded", f"{LABELLED}, o as {S.attention('lab', 'seq_id, cluster', 'seq_id, pos', SCALE)} {S.digest('o')}", "padded")
+_text_layout("cal_unordered", f"{UNCHAINED}, o as {S.attention('lab', 'seq_id, block', 'seq_id, pos', SCALE)} {S.digest('o')}", "uniform", ordered=False)
+REFITS = f"with recursive {S.window_states(WIN, STRIDE, SCALE)}, {S.refreshed(16, REFRESH.cap, REFRESH.iterations, REFRESH.every, REFRESH.steps)}"
+
+
+@query("refresh_snapshots", f"{REFITS} select epoch::int as epoch, cid::int as cid, (j - 1)::int as j, round(v, 6) + 0.0 as v from (select epoch, cid, unnest(vec) as v, generate_subscripts(vec, 1) as j from (select 1 as epoch, cid, vec from r1 union all select 2, cid, vec from r2))")
+def refresh_snapshots(spark, sf):
+    """The centroids after each refresh of one pass over the documents: push, evict, K-Means over the bank."""
+    rows = [(s.epoch, k, v.tolist()) for s in text_snapshots(spark, sf) for k, v in enumerate(s.centroids)]
+    t = spark.createDataFrame(rows, "epoch int, cid int, vec array<double>")
+    return t.select("epoch", "cid", F.posexplode("vec").alias("j", "v")).withColumn("v", F.round("v", 6) + 0.0)
+
+
 @query("layer_rule_grid", """select a::int as a, b::int as b, base::int as base, coalesce((select list(k::int order by k) from range(1, 25) r(k) where (k - 1 + base) % a = 0 and k - 1 + base >= b), []::int[])::varchar as depths
   from range(3, 7) x(a), (select unnest([8, 12, 16, 20]) as b) y, range(2) z(base)""")
 def layer_rule_grid(spark, sf):
@@ -295,11 +460,27 @@ def layer_rule_grid(spark, sf):
     return grid.select(F.col("a").cast("int").alias("a"), "b", F.col("base").cast("int").alias("base"), F.concat(F.lit("["), F.array_join(shown.cast("array<string>"), ", "), F.lit("]")).alias("depths"))
 
 
-@query("centroid_select_best", "select label::int as layer, max_by(vec_id, embedding[1])::bigint as epoch, round(max(embedding[1])::double, 6) as score from embeddings group by 1")
+VALID = "('0x' || substr(md5(seq_id::varchar), 1, 8))::bigint % 100 < 5"
+
+
+def valid_fold(seq_id="seq_id"):
+    return F.conv(F.substring(F.md5(F.col(seq_id).cast("string")), 1, 8), 16, 10).cast("long") % 100 < 5
+
+
+@query("centroid_select_best", f"""{REFITS}, al as (select 1 as epoch, vec as k from r1 union all select 2, vec from r2),
+  near as (select epoch, seq_id, pos, max(list_cosine_similarity(h.vec, al.k)) as s from hs h, al where {VALID} group by 1, 2, 3),
+  sc as (select epoch, count(*) as n, avg(s) as score from near group by 1) select 2::int as layer, epoch::int as epoch, n, round(score, 6) as score from sc order by score desc, epoch limit 1""")
 def centroid_select_best(spark, sf):
-    """The snapshot (layer, epoch) with the best validation score; here label, vec_id and a coordinate stand in."""
-    e = load(spark, sf, "embeddings").select("label", "vec_id", F.col("embedding")[0].alias("s"))
-    return e.groupBy(F.col("label").cast("int").alias("layer")).agg(F.max_by("vec_id", "s").alias("epoch"), F.round(F.max("s").cast("double"), 6).alias("score"))
+    """Of the snapshots of all refreshes, the one whose centroids lie nearest to the states of the validation documents."""
+    snapshots = text_snapshots(spark, sf)
+
+    def run(seq, toks):
+        x = window_layer(toks) if toks else np.empty((0, D))
+        return [{"epoch": s.epoch, "n": len(x), "total": float(K.similarity(x, s.centroids).max(1).sum())} for s in snapshots] if len(x) else []
+
+    each = per_sequence(docs_packed(spark, sf).filter(valid_fold()), run, "epoch int, n long, total double").groupBy("epoch").agg(F.sum("n").alias("n"), F.sum("total").alias("t"))
+    best = each.select(F.lit(2).alias("layer"), "epoch", "n", F.round(F.col("t") / F.col("n"), 6).alias("score"))
+    return best.orderBy(F.desc("score"), "epoch").limit(1)
 
 
 # ---------------------------------------------------------------- answers
@@ -335,14 +516,21 @@ SPAN = f"""with {S.STATES}, sc as (select seq_id, pos, list_dot_product(vec, {QU
 
 
 def best_spans(spark, sf):
-    """Per sequence the span of at most 8 tokens with the best start + end score: for each start the best end lies in a
-    sliding frame, so no pairs are made."""
-    t = T.embed(doc_tokens(spark, sf), D, SEED)
-    s = t.select("seq_id", "pos", dot("vec", F.array(*map(F.lit, QUESTION))).alias("a"), dot("vec", F.array(*map(F.lit, HEAD))).alias("z"))
-    ahead = Window.partitionBy("seq_id").orderBy("pos").rowsBetween(0, 7)
-    s = s.withColumn("e", F.max(F.struct("z", (-F.col("pos")).alias("p"))).over(ahead))
-    best = F.max(F.struct((F.col("a") + F.col("e.z")).alias("score"), (-F.col("pos")).alias("lo"), F.col("e.p").alias("hi"))).alias("b")
-    return s.groupBy("seq_id").agg(best).select("seq_id", (-F.col("b.lo")).cast("int").alias("lo"), (-F.col("b.hi")).cast("int").alias("hi"), F.col("b.score").alias("score"))
+    """Per sequence the span of at most 8 tokens with the best start + end score: one narrow pass, the best end of each
+    start comes from a sliding maximum."""
+    q, z = np.array(QUESTION), np.array(HEAD)
+
+    def run(seq, toks):
+        if not toks:
+            return []
+        x = states_of(toks, D, SEED)
+        start, end = x @ q, np.concatenate([x @ z, np.full(7, -np.inf)])
+        ahead = np.lib.stride_tricks.sliding_window_view(end, 8)
+        total = start + ahead.max(1)
+        lo = int(total.argmax())  # the first of equals; its end likewise
+        return {"seq_id": seq, "lo": lo, "hi": lo + int(ahead[lo].argmax()), "score": float(total[lo])}
+
+    return per_sequence(docs_packed(spark, sf), run, "seq_id long, lo int, hi int, score double")
 
 
 @query("qa_best_span", f"{SPAN} select seq_id, lo::int as lo, hi::int as hi, round(score, 6) as score from best")
@@ -372,28 +560,64 @@ def qa_split(spark, sf):
     return load(spark, sf, "documents").groupBy(F.when(bucket < 5, "valid").otherwise("train").alias("fold")).agg(F.count("*").alias("n"))
 
 
-@query("cluster_words", f"{S.vectors_slice()} select cluster::int as cluster, count(*) as n, array_to_string(list(vec_id order by vec_id), ' ') as members from asg group by 1")
+def labelled(spark, sf):
+    """(seq_id, pos, tok, cluster, block) of all tokens, by whole-sequence kernel."""
+    cent = text_centroids(spark, sf)
+
+    def run(seq, toks):
+        if not toks:
+            return []
+        lab = K.assign(window_layer(toks), cent)
+        block = np.empty(len(toks), dtype=int)
+        for k, rows in enumerate(K.blocks_of(lab, BLOCK)):
+            block[rows] = k
+        return {"seq_id": seq, "t": [{"pos": i, "tok": toks[i], "cluster": int(lab[i]), "block": int(block[i])} for i in range(len(toks))]}
+
+    return per_sequence(docs_packed(spark, sf), run, "seq_id long, t array<struct<pos:int,tok:string,cluster:int,block:int>>").select("seq_id", F.explode("t").alias("x")).select("seq_id", "x.*")
+
+
+WORDS_OF = "wc as (select lab.cluster, tok.tok, count(*) as n from tok join lab using (seq_id, pos) group by 1, 2), top as (select *, row_number() over (partition by cluster order by n desc, tok) as r from wc)"
+
+
+def frequent_words(labels, top=10):
+    n = labels.groupBy("cluster", "tok").agg(F.count("*").alias("n"))
+    return n.withColumn("r", F.row_number().over(Window.partitionBy("cluster").orderBy(F.desc("n"), "tok"))).filter(F.col("r") <= top)
+
+
+@query("cluster_words", f"{LABELLED}, {WORDS_OF} select cluster::int as cluster, sum(n)::bigint as n, string_agg(tok, ' ' order by r) as members from top where r <= 10 group by 1")
 def cluster_words(spark, sf):
-    a = C.nearest(vec_states(spark, sf), vec_chain(spark, sf))
-    return a.groupBy("cluster").agg(F.count("*").alias("n"), F.array_join(F.array_sort(F.collect_list("vec_id")).cast("array<string>"), " ").alias("members"))
+    """The ten most frequent words of each cluster of states."""
+    w = frequent_words(labelled(spark, sf))
+    return w.groupBy("cluster").agg(F.sum("n").alias("n"), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", "tok"))), lambda x: x["tok"]), " ").alias("members"))
 
 
-@query("cluster_positions", f"{S.vectors_slice()} select cluster::int as cluster, min(vec_id) as lo, max(vec_id) as hi, (max(vec_id) - min(vec_id))::bigint as reach, round(avg(vec_id), 6) as mean_pos from asg group by 1")
+@query("cluster_positions", f"{LABELLED} select seq_id, cluster::int as cluster, count(*) as n, min(pos)::int as lo, max(pos)::int as hi, (max(pos) - min(pos))::int as reach, round(avg(pos), 6) as mean_pos from lab group by 1, 2")
 def cluster_positions(spark, sf):
-    a = C.nearest(vec_states(spark, sf), vec_chain(spark, sf))
-    return a.groupBy("cluster").agg(F.min("vec_id").alias("lo"), F.max("vec_id").alias("hi"), (F.max("vec_id") - F.min("vec_id")).alias("reach"), F.round(F.avg("vec_id"), 6).alias("mean_pos"))
+    """Where the states of a cluster stand in each document, and how far apart."""
+    return labelled(spark, sf).groupBy("seq_id", "cluster").agg(F.count("*").alias("n"), F.min("pos").alias("lo"), F.max("pos").alias("hi"), (F.max("pos") - F.min("pos")).alias("reach"), F.round(F.avg("pos"), 6).alias("mean_pos"))
 
 
-@query("cluster_runs", f"{S.vectors_slice()}, i as (select cluster, vec_id, vec_id - row_number() over (partition by cluster order by vec_id) as g from asg), r as (select cluster, g, count(*) as n from i group by 1, 2) select cluster::int as cluster, count(*) as runs, max(n) as longest from r group by 1")
+@query("cluster_runs", f"{LABELLED}, i as (select seq_id, cluster, pos - row_number() over (partition by seq_id, cluster order by pos) as g from lab), r as (select seq_id, cluster, g, count(*) as n from i group by 1, 2, 3) select cluster::int as cluster, count(*) as runs, max(n) as longest from r group by 1")
 def cluster_runs(spark, sf):
-    a = C.nearest(vec_states(spark, sf), vec_chain(spark, sf))
-    g = F.col("vec_id") - F.row_number().over(Window.partitionBy("cluster").orderBy("vec_id"))
-    r = a.withColumn("g", g).groupBy("cluster", "g").agg(F.count("*").alias("n"))
+    """Runs of neighbouring positions in one cluster."""
+    g = F.col("pos") - F.row_number().over(Window.partitionBy("seq_id", "cluster").orderBy("pos"))
+    r = labelled(spark, sf).withColumn("g", g).groupBy("seq_id", "cluster", "g").agg(F.count("*").alias("n"))
     return r.groupBy("cluster").agg(F.count("*").alias("runs"), F.max("n").alias("longest"))
 
 
+_stacks: dict[tuple, LayerPlan] = {}
+
+
+def fitted_stack(spark, sf, plan: LayerPlan, how=REFRESH) -> LayerPlan:
+    """plan with centroids fitted on the documents, once per session."""
+    key = (spark.sparkContext.applicationId, sf, repr(plan), how)
+    if key not in _stacks:
+        _stacks[key] = fit_stack(docs_packed(spark, sf), plan, lambda toks: states_of(toks, plan.d, plan.seed), how)
+    return _stacks[key]
+
+
 @query("cal_numpy_stack")
 def cal_numpy_stack(spark, sf):
     """The whole stack per document: window layers, cluster attention at its depths, seeded blocks."""
-    plan = LayerPlan.explicit([2, 4], n_layers=5)
+    plan = fitted_stack(spark, sf, LayerPlan.explicit([2, 4], n_layers=5))
     return per_sequence(docs_packed(spark, sf), lambda seq, toks: plan.digest(seq, toks), DIGEST)

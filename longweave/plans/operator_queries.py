@@ -9,7 +9,7 @@ from longweave.functions.text import normal_answer, paragraphs
 from longweave.functions.vectors import cosine, doubles
 from longweave.operators import clusters as C
 from longweave.plans import sqltext as S
-from longweave.plans.method_queries import PARAS, doc_tokens, gold_pairs, page_paras, vec_chain, vec_states
+from longweave.plans.method_queries import GOLD, PARAS, doc_tokens, gold_pairs, page_paras, vec_chain, vec_states
 from longweave.plans.registry import query
 from longweave.session import load, persist_cut
 
@@ -81,7 +81,7 @@ def join_shuffled_hash(spark, sf):
     return j.groupBy("o_orderstatus").agg(F.count("*").alias("n"))
 
 
-@query("join_theta_contains", "select doc_id, item_id, instr(d.text, b.text)::int as at from documents d join benchmark b on contains(d.text, b.text)")
+@query("join_theta_contains", f"select doc_id, item_id, instr(d.text, b.text)::int as at from {GOLD}")
 def join_theta_contains(spark, sf):
     return gold_pairs(spark, sf).select("doc_id", "item_id", F.expr("instr(text, passage)").alias("at"))
 
@@ -119,11 +119,9 @@ def join_interval_click(spark, sf):
     return c.join(p, ["user_id", "b"]).filter("pts > cts and pts <= cts + interval 30 minutes").select("click_id", "purchase_id")
 
 
-@query("join_semi_gold", "select doc_id from documents d where exists (select 1 from benchmark b where contains(d.text, b.text))")
+@query("join_semi_gold", f"select distinct doc_id from {GOLD}")
 def join_semi_gold(spark, sf):
-    b = load(spark, sf, "benchmark").select(F.col("text").alias("passage"))
-    d = load(spark, sf, "documents").select("doc_id", "text")
-    return d.join(b, F.contains("text", "passage"), "left_semi").select("doc_id")
+    return load(spark, sf, "documents").join(gold_pairs(spark, sf).select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id")
 
 
 @query("join_anti_unlabelled", "select doc_id from documents where doc_id not in (select doc_id from labels)")

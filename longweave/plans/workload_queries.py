@@ -10,14 +10,14 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from longweave.functions import kernels as K
-from longweave.functions.text import words
+from longweave.functions.text import normal_answer, words
 from longweave.functions.vectors import cosine, doubles, dot, l2_distance
 from longweave.operators import clusters as C
 from longweave.operators import tokens as T
 from longweave.operators.fused import per_sequence, states_of
 from longweave.plans import sqltext as S
-from longweave.plans.method_queries import BLOCK, D, PARAS, SCALE, SEED, TEXT_CENT, doc_tokens, docs_packed, page_paras, text_centroids, vec_chain, vec_ranked, vec_states
-from longweave.plans.registry import QUERIES, also, query
+from longweave.plans.method_queries import BLOCK, D, LABELLED, PARAS, SCALE, SEED, GOLD, REFRESH, docs_packed, fitted_stack, gold_pairs, labelled, page_paras, random_start, text_centroids, text_snapshots, vec_chain, vec_ranked, vec_states, window_layer
+from longweave.plans.registry import QUERIES, query
 from longweave.plans.stack import LayerPlan
 from longweave.session import load, persist_cut
 
@@ -31,7 +31,7 @@ hit as (select item_id, doc_id, count(distinct sh) as score from dsh join qsh us
 top as (select * from (select *, row_number() over (partition by item_id order by score desc, doc_id) as r from hit) where r <= 10),
 tail as (select item_id, q[len(q) - 2] || ' ' || q[len(q) - 1] || ' ' || q[len(q)] as sh from q),
 cand as (select tail.item_id, array_to_string(dsh.t[i + 3:i + 5], ' ') as pred, row_number() over (partition by tail.item_id order by top.r, i) as k from tail join dsh using (sh) join top on top.item_id = tail.item_id and top.doc_id = dsh.doc_id),
-gold as (select b.item_id, max(1) as has from benchmark b join documents d on contains(d.text, b.text) group by 1),
+gold as (select item_id, max(1) as has from """ + GOLD + r""" group by 1),
 ans as (select q.item_id, nullif(c.pred, '') as pred, case when g.has = 1 then q.answer end as gold from q left join (select * from cand where k = 1) c using (item_id) left join gold g using (item_id))"""
 
 
@@ -53,7 +53,7 @@ def phrase_answers(spark, sf):
     cand = dsh.join(tail, "sh").join(top, ["item_id", "doc_id"])
     first = F.row_number().over(Window.partitionBy("item_id").orderBy("r", "i"))
     pred = cand.withColumn("k", first).filter("k = 1").select("item_id", F.nullif(F.concat_ws(" ", F.expr("slice(t, i + 3, 3)")), F.lit("")).alias("pred"))
-    gold = q.join(docs, F.contains("text", "passage"), "left_semi").select("item_id", F.lit(1).alias("has"))
+    gold = gold_pairs(spark, sf).select("item_id").distinct().withColumn("has", F.lit(1))
     return q.join(pred, "item_id", "left").join(gold, "item_id", "left").select("item_id", "pred", F.when(F.col("has") == 1, F.col("answer")).alias("gold"))
 
 
@@ -64,21 +64,34 @@ def w_phrase_qa(spark, sf):
     return phrase_answers(spark, sf)
 
 
-@query("m_exact_match", f"with {PHRASE} select count(*) as n, round(100 * avg(case when coalesce(pred, '') = coalesce(gold, '') then 1 else 0 end), 6) as em from ans")
+NORM = r"array_to_string(list_filter(regexp_split_to_array(regexp_replace(lower(coalesce({x}, '')), '[!-/:-@\[-`{{-~]', '', 'g'), '\s+'), lambda w: w not in ('', 'a', 'an', 'the')), ' ')"
+#: Two answers count: the three words, and the last two of them.
+GOLDS = f"""golds as (select item_id, {NORM.format(x='pred')} as p, case when gold is null then [''] else [{NORM.format(x='gold')}, {NORM.format(x="array_to_string(string_split(gold, ' ')[2:], ' ')")}] end as g from ans)"""
+
+
+def normal_golds(answers):
+    """(item_id, p, g): the answer and all answers that count, in normal form; '' is no answer."""
+    short = F.concat_ws(" ", F.expr("slice(split(gold, ' '), 2, 100)"))
+    return answers.select("item_id", normal_answer("pred").alias("p"), F.when(F.col("gold").isNull(), F.array(F.lit(""))).otherwise(F.array(normal_answer("gold"), normal_answer(short))).alias("g"))
+
+
+@query("m_exact_match", f"with {PHRASE}, {GOLDS} select count(*) as n, round(100 * avg(case when list_contains(g, p) then 1 else 0 end), 6) as em from golds")
 def m_exact_match(spark, sf):
-    a = phrase_answers(spark, sf)
-    same = F.coalesce("pred", F.lit("")) == F.coalesce("gold", F.lit(""))
-    return a.agg(F.count("*").alias("n"), F.round(100 * F.avg(F.when(same, 1).otherwise(0)), 6).alias("em"))
+    """The normal form of the answer equals that of any that counts."""
+    return normal_golds(phrase_answers(spark, sf)).agg(F.count("*").alias("n"), F.round(100 * F.avg(F.array_contains("g", F.col("p")).cast("int")), 6).alias("em"))
 
 
-@query("m_token_f1", f"""with {PHRASE}, g as (select item_id, unnest(string_split(gold, ' ')) as w from ans where gold is not null), p as (select item_id, unnest(string_split(pred, ' ')) as w from ans where pred is not null),
-  gc as (select item_id, w, count(*) as n from g group by 1, 2), pc as (select item_id, w, count(*) as n from p group by 1, 2), o as (select item_id, sum(least(gc.n, pc.n)) as o from gc join pc using (item_id, w) group by 1),
-  s as (select ans.item_id, case when pred is null and gold is null then 1.0 when pred is null or gold is null then 0.0 else 2.0 * coalesce(o, 0) / (len(string_split(pred, ' ')) + len(string_split(gold, ' '))) end as f1 from ans left join o using (item_id))
-  select count(*) as n, round(100 * avg(f1), 6) as f1 from s""")
+@query("m_token_f1", f"""with {PHRASE}, {GOLDS}, x as (select item_id, k, string_split(p, ' ') as p, string_split(g[k], ' ') as g from (select *, unnest(range(1, len(g) + 1)) as k from golds)),
+  o as (select item_id, k, p, g, list_sum(list_transform(list_distinct(p), lambda w: least(len(list_filter(p, lambda y: y = w)), len(list_filter(g, lambda y: y = w))))) as o from x),
+  f as (select item_id, max(case when p = [''] or g = [''] then (p = g)::int else 2.0 * o / (len(p) + len(g)) end) as f1 from o group by 1) select count(*) as n, round(100 * avg(f1), 6) as f1 from f""")
 def m_token_f1(spark, sf):
+    """Bag-of-words F1 of normal forms, the best of the answers that count."""
     from longweave.operators.measures import token_f1
 
-    return phrase_answers(spark, sf).withColumn("f1", token_f1("pred", "gold")).agg(F.count("*").alias("n"), F.round(100 * F.avg("f1"), 6).alias("f1"))
+    each = normal_golds(phrase_answers(spark, sf)).select("item_id", "p", F.explode("g").alias("g"))
+    none = (F.col("p") == "") | (F.col("g") == "")
+    f1 = F.when(none, (F.col("p") == F.col("g")).cast("double")).otherwise(token_f1("p", "g"))
+    return each.groupBy("item_id").agg(F.max(f1).alias("f1")).agg(F.count("*").alias("n"), F.round(100 * F.avg("f1"), 6).alias("f1"))
 
 
 PRF = "round(2.0 * tp / nullif(2 * tp + fp + fn, 0), 6) as f1, round(tp * 1.0 / nullif(tp + fp, 0), 6) as p, round(tp * 1.0 / nullif(tp + fn, 0), 6) as r"
@@ -95,6 +108,14 @@ def m_answer_prf(spark, sf):
     return answer_prf(phrase_answers(spark, sf))
 
 
+@query("m_answer_prf_strict", f"with {PHRASE} {prf_sql('ans').replace('pred is null and gold is not null', 'gold is not null and (pred is null or pred <> gold)')}")
+def m_answer_prf_strict(spark, sf):
+    """A wrong answer where there is one counts as missed, too."""
+    from longweave.operators.measures import answer_prf
+
+    return answer_prf(phrase_answers(spark, sf), wrong_counts_as_fn=True)
+
+
 @query("w_dialog_qa", r"""with c as (select *, regexp_split_to_array(trim(lower(text)), '\s+') as t from conversations),
   q as (select u.conv_id, u.turn, u.t as q, array_to_string(a.t[1:3], ' ') as gold from c u left join c a on a.conv_id = u.conv_id and a.turn = u.turn + 1 and a.role = 'assistant' where u.role = 'user'),
   e as (select x.conv_id, x.turn, y.gold as pred, row_number() over (partition by x.conv_id, x.turn order by len(list_intersect(list_distinct(x.q), list_distinct(y.q))) desc, y.turn) as r from q x join q y on x.conv_id = y.conv_id and y.turn < x.turn and y.gold is not null)
@@ -105,10 +126,16 @@ def w_dialog_qa(spark, sf):
     nxt = Window.partitionBy("conv_id").orderBy("turn")
     lead = F.when((F.lead("role").over(nxt) == "assistant") & (F.lead("turn").over(nxt) == F.col("turn") + 1), F.concat_ws(" ", F.slice(F.lead("t").over(nxt), 1, 3)))
     q = c.withColumn("gold", lead).filter("role = 'user'").select("conv_id", "turn", F.array_distinct("t").alias("q"), "gold")
-    before = F.collect_list(F.when(F.col("gold").isNotNull(), F.struct("q", "turn", "gold"))).over(nxt.rowsBetween(Window.unboundedPreceding, -1))
-    q = q.withColumn("before", before)
-    best = F.array_max(F.transform("before", lambda b: F.struct(F.size(F.array_intersect(b["q"], F.col("q"))).alias("s"), (-b["turn"]).alias("t"), b["gold"].alias("g"))))
-    return q.select("conv_id", "turn", best["g"].alias("pred"), "gold")
+    asked = q.select("conv_id", "turn", F.explode("q").alias("w"))
+    known = q.filter("gold is not null").select("conv_id", F.col("turn").alias("t"), F.explode("q").alias("w"))
+    shared = asked.join(known, ["conv_id", "w"]).filter("t < turn").groupBy("conv_id", "turn", "t").agg(F.count("*").alias("s"))
+    best = shared.groupBy("conv_id", "turn").agg(F.min(F.struct((-F.col("s")).alias("s"), "t")).alias("b")).select("conv_id", "turn", F.col("b.t").alias("t"))
+    # a turn that shares no word with an earlier one takes the first of them
+    first = q.filter("gold is not null").groupBy("conv_id").agg(F.min("turn").alias("first"))
+    of = q.select("conv_id", "turn", "gold").join(best, ["conv_id", "turn"], "left").join(first, "conv_id", "left")
+    of = of.withColumn("t", F.coalesce("t", F.when(F.col("first") < F.col("turn"), F.col("first"))))
+    answer = q.filter("gold is not null").select("conv_id", F.col("turn").alias("t"), F.col("gold").alias("pred"))
+    return of.join(answer, ["conv_id", "t"], "left").select("conv_id", "turn", "pred", "gold")
 
 
 LONG = rf"""with {PARAS}, tp as (select page_id, para_id, list_filter(regexp_split_to_array(trim(lower(text)), '\s+'), lambda y: y <> '') as t from pa), np as (select page_id, count(*) as n from pa group by 1), all_n as (select count(*) as n from pages),
@@ -152,26 +179,6 @@ def w_short_answer(spark, sf):
 
 # ---------------------------------------------------------------- language models
 FOLD = "('0x' || substr(md5(doc_id::varchar), 1, 8))::bigint % 100 < 5"
-NEAR16 = "nearv as (select vec, arg_min(ord, (-near, ord)) as cluster from (select v.vec, k.ord, case when list_dot_product(v.vec, v.vec) = 0 then 0 else list_cosine_similarity(v.vec, k.vec) end as near from (select distinct vec from voc) v, chain k) group by vec)"
-LABELLED = f"with recursive {S.STATES}, {TEXT_CENT}, {S.CHAIN}, {NEAR16}, lab as (select seq_id, pos, cluster, (row_number() over (partition by seq_id order by cluster, pos) - 1) // {BLOCK} as block from st join nearv using (vec))"
-
-
-def labelled(spark, sf):
-    """(seq_id, pos, tok, cluster, block) of all tokens, by whole-sequence kernel."""
-    cent = text_centroids()
-
-    def run(seq, toks):
-        if not toks:
-            return []
-        lab = K.assign(states_of(toks, D, SEED), cent)
-        block = np.empty(len(toks), dtype=int)
-        for k, rows in enumerate(K.blocks_of(lab, BLOCK)):
-            block[rows] = k
-        return {"seq_id": seq, "t": [{"pos": i, "tok": toks[i], "cluster": int(lab[i]), "block": int(block[i])} for i in range(len(toks))]}
-
-    return per_sequence(docs_packed(spark, sf), run, "seq_id long, t array<struct<pos:int,tok:string,cluster:int,block:int>>").select("seq_id", F.explode("t").alias("x")).select("seq_id", "x.*")
-
-
 @query("w_word_lm", f"""{LABELLED}, tk as (select tok.*, lab.block, lag(tok) over (partition by tok.seq_id order by tok.pos) as prev, seq_id in (select doc_id from documents where {FOLD}) as held from tok join lab using (seq_id, pos)),
   uni as (select tok, count(*) as c from tk where not held group by 1), bi as (select prev, tok, count(*) as c from tk where not held and prev is not null group by 1, 2), tot as (select sum(c) as n, count(*) as v from uni),
   ev as (select *, count(*) over (partition by seq_id, tok order by pos range between 256 preceding and 1 preceding) as near, row_number() over (partition by seq_id, block, tok order by pos) - 1 as far from tk where held),
@@ -211,8 +218,35 @@ def w_char_lm(spark, sf):
     return e.agg(F.sum("k").alias("n"), F.round(F.sum(F.col("k") * -F.ln((F.col("n") + 1) / (F.col("na") + F.col("v")))) / F.sum("k") / math.log(2), 4).alias("bpc"))
 
 
-also("m_bpc", "w_char_lm")
-also("m_perplexity", "w_word_lm")
+HELD_UNI = f"{S.TOK}, f as (select seq_id, tok, {FOLD.replace('doc_id', 'seq_id')} as held from tok), u as (select tok, count(*) as c from f where not held group by 1), t as (select sum(c) as n, count(*) as v from u)"
+
+
+@query("m_perplexity", f"with {HELD_UNI} select count(*) as n, round(exp(avg(-ln((coalesce(u.c, 0) + 1) / (t.n + t.v)))), 4) as ppl from f cross join t left join u using (tok) where held")
+def m_perplexity(spark, sf):
+    """Perplexity of held-out documents under word counts of the others: what any context has to beat."""
+    from longweave.operators.measures import perplexity
+
+    fold = F.conv(F.substring(F.md5(F.col("seq_id").cast("string")), 1, 8), 16, 10).cast("long") % 100 < 5
+    n = docs_packed(spark, sf).select(fold.alias("held"), F.explode("toks").alias("tok")).groupBy("held", "tok").agg(F.count("*").alias("c"))
+    u = n.filter("not held").select("tok", "c")
+    k = n.filter("held").select("tok", F.col("c").alias("k"))
+    t = u.agg(F.sum("c").alias("n"), F.count("*").alias("v"))
+    e = k.join(u, "tok", "left").crossJoin(F.broadcast(t))  # one row
+    return e.agg(F.sum("k").alias("n"), F.round(perplexity((F.coalesce("c", F.lit(0)) + 1) / (F.col("n") + F.col("v")), "k"), 4).alias("ppl"))
+
+
+@query("m_bpc", f"{CHARS}, u as (select b, count(*) as c from g where not held group by 1), t as (select sum(c) as n, count(*) as v from u), e as (select b, count(*) as k from g where held group by 1) select sum(k)::bigint as n, round(sum(k * -ln((coalesce(c, 0) + 1) / (n + v))) / sum(k) / ln(2), 4) as bpc from e cross join t left join u using (b)")
+def m_bpc(spark, sf):
+    """Bits for each character (but the first of a text) under character counts of the other documents."""
+    from longweave.operators.measures import bits
+
+    held = F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 8), 16, 10).cast("long") % 100 < 5
+    c = F.slice(F.regexp_extract_all("text", F.lit("(?s)."), F.lit(0)), 2, 2_000_000_000)
+    n = load(spark, sf, "documents").select(held.alias("held"), F.explode(c).alias("b")).groupBy("held", "b").agg(F.count("*").alias("c"))
+    u = n.filter("not held").select("b", "c")
+    t = u.agg(F.sum("c").alias("n"), F.count("*").alias("v"))
+    e = n.filter("held").select("b", F.col("c").alias("k")).join(u, "b", "left").crossJoin(F.broadcast(t))  # one row
+    return e.agg(F.sum("k").alias("n"), F.round(bits((F.coalesce("c", F.lit(0)) + 1) / (F.col("n") + F.col("v")), "k"), 4).alias("bpc"))
 
 
 # ---------------------------------------------------------------- measures
@@ -225,7 +259,25 @@ def m_dataset_stats(spark, sf):
     return out.groupBy("table").agg(F.count("*").alias("rows_n"), F.median("n").alias("mid"), F.max("n").alias("longest"))
 
 
-also("w_dataset_stats", "m_dataset_stats")
+TABLE1 = rf"""with {PARAS}, {S.TOK.replace('tl as', 'dl as').replace('from tl', 'from dl')}, ql as (select 'phrases' as task, b.item_id as k, len(t) as n from (select * from {GOLD}) b join dl on dl.seq_id = b.doc_id),
+  cl as (select 'dialogues' as task, conv_id * 1000 + turn as k, sum(n) over (partition by conv_id order by turn) as n, role from (select *, len(list_filter(regexp_split_to_array(trim(lower(coalesce(text, ''))), '\s+'), lambda y: y <> '')) as n from conversations)),
+  pl as (select 'pages' as task, page_id as k, (count(*) + sum(len(list_filter(regexp_split_to_array(trim(lower(text)), '\s+'), lambda y: y <> ''))))::bigint as n from pa group by 2),
+  a as (select task, k, n from ql union all select task, k, n from cl where role = 'user' union all select task, k, n from pl)
+  select task, count(*) filter (where not held) as train, count(*) filter (where held) as test, round(median(n), 1) as med, max(n)::bigint as longest from (select *, ('0x' || substr(md5(k::varchar), 1, 8))::bigint % 100 < 10 as held from a) group by 1"""
+
+
+@query("w_dataset_stats", TABLE1)
+def w_dataset_stats(spark, sf):
+    """Questions for training and testing, median and longest context, for each kind of question here."""
+    ctx = T.assemble_context(page_paras(spark, sf)).select(F.lit("pages").alias("task"), F.col("seq_id").alias("k"), F.size("toks").cast("long").alias("n"))
+    gold = gold_pairs(spark, sf).select(F.lit("phrases").alias("task"), F.col("item_id").alias("k"), F.size(words("text")).cast("long").alias("n"))
+    c = load(spark, sf, "conversations").withColumn("n", F.sum(F.size(words("text"))).over(Window.partitionBy("conv_id").orderBy("turn"))).filter("role = 'user'")
+    talk = c.select(F.lit("dialogues").alias("task"), (F.col("conv_id") * 1000 + F.col("turn")).alias("k"), F.col("n").cast("long"))
+    held = F.conv(F.substring(F.md5(F.col("k").cast("string")), 1, 8), 16, 10).cast("long") % 100 < 10
+    a = ctx.unionByName(gold).unionByName(talk).withColumn("held", held)
+    return a.groupBy("task").agg(F.count_if(~F.col("held")).alias("train"), F.count_if("held").alias("test"), F.round(F.median("n"), 1).alias("med"), F.max("n").alias("longest"))
+
+
 PAIRS = f"with {S.TOK}, x as (select len(t)::bigint as x from tl where len(t) > 0)"
 
 
@@ -256,18 +308,44 @@ def m_cluster_balance(spark, sf):
     return n.withColumn("p", p).agg(F.min("n").alias("lo"), F.median("n").alias("mid"), F.max("n").alias("hi"), F.round(-F.sum(F.col("p") * F.ln("p")), 6).alias("entropy"))
 
 
-KIND = "case when tok = '<s>' then 'sentinel' when regexp_matches(tok, '^[0-9]+$') then 'number' when tok in ('the', 'of', 'and', 'to', 'in', 'de', 'la', 'der', 'die', 'el', 'que', 'et', 'le') then 'stop' else 'other' end"
+#: Fixed list: frequent function words of the four languages of the texts.
+STOP = ["the", "of", "and", "to", "in", "a", "is", "it", "on", "by", "de", "la", "el", "que", "en", "y", "los", "le", "et", "les", "des", "un", "une", "der", "die", "das", "und", "den", "von", "zu", "mit", ",", "."]
+IN_STOP = ", ".join(f"'{w}'" for w in STOP)
+KIND = f"case when tok = '<s>' then 'sentinel' when regexp_matches(tok, '^[0-9][0-9.,:/-]*$') then 'number' when tok in ({IN_STOP}) then 'stop' when regexp_matches(tok, '[@/=_<>{{}}]') then 'code' when regexp_matches(tok, '[^a-z]') then 'marked' else 'word' end"
 
 
-@query("m_type_purity", f"{LABELLED}, k as (select lab.cluster, {KIND} as kind, count(*) as n from tok join lab using (seq_id, pos) group by 1, 2) select cluster::int as cluster, sum(n)::bigint as n, max_by(kind, n) as kind, round(max(n) / sum(n), 6) as purity from k group by 1")
-def m_type_purity(spark, sf):
-    stop = ["the", "of", "and", "to", "in", "de", "la", "der", "die", "el", "que", "et", "le"]
-    kind = F.when(F.col("tok") == "<s>", "sentinel").when(F.col("tok").rlike("^[0-9]+$"), "number").when(F.col("tok").isin(*stop), "stop").otherwise("other")
-    k = labelled(spark, sf).groupBy("cluster", kind.alias("kind")).agg(F.count("*").alias("c"))
-    return k.groupBy("cluster").agg(F.sum("c").alias("n"), F.max_by("kind", "c").alias("kind"), F.round(F.max("c") / F.sum("c"), 6).alias("purity"))
+def token_kind():
+    t = F.col("tok")
+    return F.when(t == "<s>", "sentinel").when(t.rlike("^[0-9][0-9.,:/-]*$"), "number").when(t.isin(*STOP), "stop").when(t.rlike("[@/=_<>{}]"), "code").when(t.rlike("[^a-z]"), "marked").otherwise("word")
 
 
-also("w_cluster_report", "m_type_purity")
+@query("m_type_purity", f"{LABELLED}, k as (select lab.cluster, {KIND} as kind, count(*) as n from tok join lab using (seq_id, pos) group by 1, 2) select cluster::int as cluster, sum(n)::bigint as n, arg_min(kind, (-n, kind)) as kind, round(max(n) / sum(n), 6) as purity from k group by 1")
+def m_type_purity(spark, sf):
+    k = labelled(spark, sf).groupBy("cluster", token_kind().alias("kind")).agg(F.count("*").alias("c"))
+    return k.groupBy("cluster").agg(F.sum("c").alias("n"), F.min(F.struct((-F.col("c")).alias("c"), "kind"))["kind"].alias("kind"), F.round(F.max("c") / F.sum("c"), 6).alias("purity"))
+
+
+REPORT = f"""{LABELLED}, k as (select lab.cluster, {KIND} as kind, count(*) as n from tok join lab using (seq_id, pos) group by 1, 2), kk as (select cluster, sum(n)::bigint as n, max(n) as top, arg_min(kind, (-n, kind)) as kind from k group by 1),
+  wc as (select lab.cluster, tok.tok, count(*) as n from tok join lab using (seq_id, pos) group by 1, 2), tw as (select *, row_number() over (partition by cluster order by n desc, tok) as r from wc),
+  longest as (select arg_min(seq_id, (-len(t), seq_id)) as seq_id from tl), ps as (select cluster, pos, row_number() over (partition by cluster order by pos) as r from lab where seq_id = (select seq_id from longest))
+  select kk.cluster::int as cluster, kk.n, kk.kind, round(kk.top / kk.n, 6) as purity, w.words, coalesce(p.positions, '') as positions from kk
+  join (select cluster, string_agg(tok, ' ' order by r) as words from tw where r <= 12 group by 1) w using (cluster) left join (select cluster, string_agg(pos::varchar, ' ' order by r) as positions from ps where r <= 20 group by 1) p using (cluster)"""
+
+
+@query("w_cluster_report", REPORT)
+def w_cluster_report(spark, sf):
+    """Each cluster by its words: what kind they mostly are, the most frequent ones, where they stand in the longest document."""
+    from longweave.plans.method_queries import frequent_words
+
+    lab = labelled(spark, sf)
+    k = lab.groupBy("cluster", token_kind().alias("kind")).agg(F.count("*").alias("c"))
+    kk = k.groupBy("cluster").agg(F.sum("c").alias("n"), F.max("c").alias("top"), F.min(F.struct((-F.col("c")).alias("c"), "kind"))["kind"].alias("kind"))
+    inorder = lambda c: F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", c))), lambda x: x[c].cast("string")), " ")
+    w = frequent_words(lab, 12).groupBy("cluster").agg(inorder("tok").alias("words"))
+    one = docs_packed(spark, sf).select("seq_id", F.size("toks").alias("x")).agg(F.min(F.struct((-F.col("x")).alias("x"), "seq_id"))["seq_id"].alias("seq_id"))
+    p = lab.join(F.broadcast(one), "seq_id").withColumn("r", F.row_number().over(Window.partitionBy("cluster").orderBy("pos"))).filter("r <= 20")
+    p = p.groupBy("cluster").agg(inorder("pos").alias("positions"))
+    return kk.join(w, "cluster").join(p, "cluster", "left").select("cluster", "n", "kind", F.round(F.col("top") / F.col("n"), 6).alias("purity"), "words", F.coalesce("positions", F.lit("")).alias("positions"))
 
 
 @query("m_sentinel_colocation")

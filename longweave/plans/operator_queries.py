@@ -455,18 +455,29 @@ def ml_kmeans_sizes(spark, sf):
     return KMeans(k=10, seed=1, initMode="k-means||", distanceMeasure="cosine").fit(v).transform(v).groupBy("prediction").agg(F.count("*").alias("n"))
 
 
-@query("ml_logreg_quality")
-def ml_logreg_quality(spark, sf):
+def pooled_quality(spark, sf):
+    """(doc_id, held, p, label): logistic regression on mean states, fitted on the documents that are not held out."""
+    import numpy as np
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    from longweave.operators.tokens import embed
+    from longweave.operators.fused import per_sequence, states_of
+    from longweave.plans.method_queries import docs_packed
+
+    def pool(seq, toks):
+        x = states_of(toks, 8, 7) if toks else np.zeros((1, 8))
+        return {"doc_id": seq, "x": [*x.mean(0), *x.std(0), float(np.log1p(len(toks))), len(set(toks)) / max(1, len(toks))]}
 
-    pooled = embed(doc_tokens(spark, sf)).select("seq_id", F.posexplode("vec").alias("j", "v")).groupBy("seq_id", "j").agg(F.avg("v").alias("v"))
-    pooled = pooled.groupBy("seq_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "v"))), lambda s: s["v"]).alias("x"))
-    d = pooled.join(load(spark, sf, "labels"), F.col("seq_id") == F.col("doc_id")).select("doc_id", F.col("quality").cast("double").alias("label"), array_to_vector("x").alias("features"))
-    d = persist_cut(d)  # the fit passes over it many times
-    return LogisticRegression(regParam=0.01).fit(d).transform(d).select("doc_id", F.round(vector_to_array("probability")[1], 4).alias("p"), "label")
+    d = per_sequence(docs_packed(spark, sf), pool, "doc_id long, x array<double>").join(load(spark, sf, "labels"), "doc_id")
+    held = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 1
+    d = persist_cut(d.select("doc_id", held.alias("held"), F.col("quality").cast("double").alias("label"), array_to_vector("x").alias("features")))  # the fit passes over it many times
+    model = LogisticRegression(regParam=0.01).fit(d.filter("not held"))
+    return model.transform(d).select("doc_id", "held", F.round(vector_to_array("probability")[1], 4).alias("p"), "label")
+
+
+@query("ml_logreg_quality")
+def ml_logreg_quality(spark, sf):
+    return pooled_quality(spark, sf)
 
 
 @query("lsh_join")

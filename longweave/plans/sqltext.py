@@ -79,3 +79,15 @@ def refreshed(p: int = 16, cap: int = 100_000, iterations: int = 4, every: int =
 #: Needs hs and chain; gives lab0 (seq_id, pos, vec, cluster).
 LABEL_STATES = """lab0 as materialized (select seq_id, pos, any_value(vec) as vec, arg_min(ord, (-near, ord)) as cluster from (
   select h.seq_id, h.pos, h.vec, k.ord, case when list_dot_product(h.vec, h.vec) = 0 then 0 else list_cosine_similarity(h.vec, k.vec) end as near from hs h, chain k) group by 1, 2)"""
+
+
+def window_states_of(pre: str, win: int, stride: int, scale: float, d: int = 8) -> str:
+    """The same from tokens {pre}tok (seq_id, pos, tok), up to {pre}hs."""
+    mean = ", ".join(f"avg(o{j})" for j in range(1, d + 1))
+    return f"""{pre}voc as (select tok, {hash_vec("tok")} as vec from (select distinct tok from {pre}tok)), {pre}st as (select k.seq_id, k.pos, v.vec from {pre}tok k join {pre}voc v using (tok)),
+{pre}w as (select *, unnest(range(greatest(0, ceil((pos - {win - 1}) / {stride}.0))::bigint, pos // {stride} + 1)) as win from {pre}st), {pre}en as {attention(pre + "w", "seq_id, win", "seq_id, win, pos", scale, d)},
+{pre}hs as materialized (select seq_id, pos, [{mean}] as vec from {pre}en group by 1, 2)"""
+
+
+def label_states_of(pre: str) -> str:
+    return LABEL_STATES.replace("lab0", f"{pre}lab0").replace("from hs h", f"from {pre}hs h")

@@ -15,6 +15,7 @@ from longweave.functions.vectors import cosine, doubles, dot, l2_distance
 from longweave.operators import clusters as C
 from longweave.operators import tokens as T
 from longweave.operators.fused import per_sequence, states_of
+from longweave.operators.refresh import Refresh
 from longweave.plans import sqltext as S
 from longweave.plans.method_queries import BLOCK, D, LABELLED, PARAS, SCALE, SEED, GOLD, REFRESH, docs_packed, fitted_stack, gold_pairs, labelled, page_paras, random_start, text_centroids, text_snapshots, vec_chain, vec_ranked, vec_states, window_layer
 from longweave.plans.registry import QUERIES, query
@@ -348,13 +349,19 @@ def w_cluster_report(spark, sf):
     return kk.join(w, "cluster").join(p, "cluster", "left").select("cluster", "n", "kind", F.round(F.col("top") / F.col("n"), 6).alias("purity"), "words", F.coalesce("positions", F.lit("")).alias("positions"))
 
 
-@query("m_sentinel_colocation")
+PAGE_STATES = rf"""{PARAS}, ptl as (select page_id as seq_id, flatten(list(list_concat(['<s>'], list_filter(regexp_split_to_array(trim(lower(text)), '\s+'), lambda y: y <> '')) order by para_id)) as t from pa group by 1),
+  ptok as (select seq_id, unnest(t) as tok, (generate_subscripts(t, 1) - 1)::int as pos from ptl), {S.window_states_of('p', 16, 12, SCALE)}, {S.label_states_of('p')}"""
+
+
+@query("m_sentinel_colocation", f"""{LABELLED}, {PAGE_STATES}, pb as (select seq_id, pos, (row_number() over (partition by seq_id order by cluster, pos) - 1) // {BLOCK} as block from plab0),
+  pc as (select pb.seq_id, block, count(*) filter (where tok = '<s>') as c from pb join ptok using (seq_id, pos) group by 1, 2)
+  select seq_id, sum(c)::bigint as n, case when sum(c) > 1 then round(sum(c * (c - 1)) / (sum(c) * (sum(c) - 1)), 6) end as share from pc group by 1""")
 def m_sentinel_colocation(spark, sf):
     """Share of a page's sentinel pairs that fall into one block, from counts."""
-    ctx, cent = T.assemble_context(page_paras(spark, sf)), text_centroids()
+    ctx, cent = T.assemble_context(page_paras(spark, sf)), text_centroids(spark, sf)
 
     def run(seq, toks):
-        blocks = K.blocks_of(K.assign(states_of(toks, D, SEED), cent), BLOCK)
+        blocks = K.blocks_of(K.assign(window_layer(toks), cent), BLOCK)
         here = [sum(toks[i] == "<s>" for i in rows) for rows in blocks]
         n = sum(here)
         return {"seq_id": seq, "n": n, "share": round(sum(c * (c - 1) for c in here) / (n * (n - 1)), 6) if n > 1 else None}
@@ -393,16 +400,31 @@ def m_drift(spark, sf):
     return means.join(new, "cid").select(F.col("cid").cast("int").alias("cid"), F.round(l2_distance("vec", "nv"), 6).alias("moved"))
 
 
-@query("m_attention_recall", f"""{S.vectors_slice()}, b as (select vec_id, vec, srank // {BLOCK} as block, vec_id // {BLOCK} as place from ranked),
-  t as (select a.vec_id, a.block = b.block as same, a.place = b.place as near, row_number() over (partition by a.vec_id order by list_dot_product(a.vec, b.vec) desc, b.vec_id) as r from b a join b on a.vec_id <> b.vec_id)
-  select count(*) as pairs, round(avg(same::int), 6) as cluster, round(avg(near::int), 6) as local from t where r <= 8""")
+TURN_STATES = rf"""qtok as (select seq_id, unnest(t) as tok, (generate_subscripts(t, 1) - 1)::int as pos from (select conv_id * 1000 + turn as seq_id, list_filter(regexp_split_to_array(trim(lower(coalesce(text, ''))), '\s+'), lambda y: y <> '') as t from conversations)),
+  {S.window_states_of('q', 16, 12, SCALE)}, {S.label_states_of('q')}"""
+
+
+@query("m_attention_recall", f"""{LABELLED}, {TURN_STATES}, b as (select seq_id, pos, vec, (row_number() over (partition by seq_id order by cluster, pos) - 1) // 8 as block, pos // 8 as place from qlab0),
+  t as (select a.block = b.block as same, a.place = b.place as near, row_number() over (partition by a.seq_id, a.pos order by list_dot_product(a.vec, b.vec) desc, b.pos) as r from b a join b on a.seq_id = b.seq_id and a.pos <> b.pos)
+  select count(*) as pairs, round(avg(same::int), 4) as cluster, round(avg(near::int), 4) as local from t where r <= 4""")
 def m_attention_recall(spark, sf):
-    """Share of each state's eight strongest dense partners that its block holds: clustered blocks, and plain ones."""
-    b = vec_ranked(spark, sf).select("vec_id", "vec", F.floor(F.col("srank") / BLOCK).alias("block"))
-    o = b.select(F.col("vec_id").alias("o"), F.col("vec").alias("ov"), F.col("block").alias("ob"))
-    pair = b.join(o, F.col("vec_id") != F.col("o")).withColumn("r", F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc(dot("vec", "ov")), "o"))).filter("r <= 8")
-    near = F.floor(F.col("vec_id") / BLOCK) == F.floor(F.col("o") / BLOCK)
-    return pair.agg(F.count("*").alias("pairs"), F.round(F.avg((F.col("block") == F.col("ob")).cast("int")), 6).alias("cluster"), F.round(F.avg(near.cast("int")), 6).alias("local"))
+    """Share of each state's four strongest dense partners in its dialogue turn that its block of eight holds: clustered
+    blocks, and plain ones.  A turn is one row, so pairs exist within a kernel only."""
+    cent = text_centroids(spark, sf)
+
+    def run(seq, toks):
+        if len(toks) < 2:
+            return []
+        x = window_layer(toks)
+        ids = np.empty(len(x), dtype=int)
+        for k, rows in enumerate(K.blocks_of(K.assign(x, cent), 8)):
+            ids[rows] = k
+        plain = np.arange(len(x)) // 8
+        best = strongest(x, 4)
+        return {"n": best.size, "c": int((ids[best] == ids[:, None]).sum()), "l": int((plain[best] == plain[:, None]).sum())}
+
+    got = per_sequence(turns(spark, sf), run, "n long, c long, l long").agg(*(F.sum(k).alias(k) for k in ("n", "c", "l")))
+    return got.select(F.col("n").alias("pairs"), F.round(F.col("c") / F.col("n"), 4).alias("cluster"), F.round(F.col("l") / F.col("n"), 4).alias("local"))
 
 
 # ---------------------------------------------------------------- experiments without SQL
@@ -410,97 +432,185 @@ def turns(spark, sf):
     return T.packed(load(spark, sf, "conversations").withColumn("k", F.col("conv_id") * 1000 + F.col("turn")), "k", "text")
 
 
-def _means(df, keys):
-    return df.groupBy(*keys).agg(F.count("*").alias("n"), F.round(F.avg("recall"), 6).alias("recall"), F.round(F.avg("error"), 6).alias("error"))
+def strongest(x, top):
+    """Numbers of each row's strongest partners by dot product (ties: the smaller), a bounded number of rows at a time."""
+    out, step = [], max(1, 4_000_000 // len(x))
+    for at in range(0, len(x), step):
+        s = x[at : at + step] @ x.T
+        s[np.arange(len(s)), np.arange(at, at + len(s))] = -np.inf
+        out.append(np.argsort(-s, 1, kind="stable")[:, : min(top, len(x) - 1)])
+    return np.concatenate(out)
+
+
+def against_dense(x, groups, top=8):
+    """(recall of the strongest partners, relative error of the outputs) of attention within groups of rows, which may
+    overlap: a row's output is the mean over its groups."""
+    out, count, of = np.zeros_like(x), np.zeros(len(x)), [[] for _ in range(len(x))]
+    for k, rows in enumerate(groups):
+        out[rows] += K.attention(x[rows], scale=SCALE)
+        count[rows] += 1
+        for r in rows.tolist():
+            of[r].append(k)
+    width = max(map(len, of))
+    ids = np.array([o + [-1 - r] * (width - len(o)) for r, o in enumerate(of)])
+    best = strongest(x, top)
+    same = (ids[best][:, :, :, None] == ids[:, None, None, :]).any((2, 3))
+    gap, norm, step = 0.0, 0.0, max(1, 4_000_000 // len(x))
+    for at in range(0, len(x), step):
+        full = K.attention(x[at : at + step], x, SCALE)
+        gap += float(((out[at : at + step] / count[at : at + step, None] - full) ** 2).sum())
+        norm += float((full**2).sum())
+    return float(same.mean()), math.sqrt(gap / max(norm, 1e-24))
+
+
+SWAP_WIN, SWAP_STRIDE = 64, 48
+
+
+def swap_groups(kind, x, centroids=None, directions=None):
+    n = len(x)
+    if kind == "local":
+        return [np.arange(a, z) for a, z in K.window_bounds(n, SWAP_WIN, SWAP_STRIDE)]
+    if kind == "same_position":  # rows of equal index in windows of one stride
+        return [np.arange(r, n, SWAP_STRIDE) for r in range(min(n, SWAP_STRIDE))]
+    return K.blocks_of(K.assign(x, centroids) if kind == "cluster" else K.hash_labels(x, directions), SWAP_STRIDE)
+
+
+def _swap(spark, sf, kinds, label):
+    """Recall and error of each of kinds (name: (kind, centroids, directions)) over all documents; long: more than a window."""
 
+    def run(seq, toks):
+        if len(toks) < 2:
+            return []
+        x = window_layer(toks)
+        out = []
+        for name, (kind, cent, dirs) in kinds.items():
+            recall, error = against_dense(x, swap_groups(kind, x, cent, dirs))
+            out.append({label: name, "x": len(x), "recall": recall, "error": error})
+        return out
 
-def _against_dense(x, blocks, top=8):
-    """(recall of the strongest partners, relative error of the outputs) of attention within blocks."""
-    full = K.attention(x, scale=SCALE)
-    out, block = np.empty_like(x), np.empty(len(x), dtype=int)
-    for k, rows in enumerate(blocks):
-        out[rows], block[rows] = K.attention(x[rows], scale=SCALE), k
-    s = x @ x.T
-    np.fill_diagonal(s, -np.inf)
-    best = np.argsort(-s, 1, kind="stable")[:, :top]
-    return float((block[best] == block[:, None]).mean()), float(np.linalg.norm(out - full) / max(np.linalg.norm(full), 1e-12))
+    each = per_sequence(docs_packed(spark, sf).repartition(4 * spark.sparkContext.defaultParallelism, "seq_id"), run, f"{label} {'int' if label == 'p' else 'string'}, x long, recall double, error double")
+    far = F.col("x") > SWAP_WIN
+    return each.groupBy(label).agg(F.count("*").alias("n"), F.count_if(far).alias("n_long"), F.round(F.avg(F.when(far, F.col("recall"))), 6).alias("recall"), F.round(F.avg(F.when(far, F.col("error"))), 6).alias("error"))
 
 
 @query("w_layer_swap")
 def w_layer_swap(spark, sf):
-    """The same states under each kind of block: plain windows, random directions, clusters."""
-    cent, vec = text_centroids(), np.array([K.token_vector(f"direction{i}", D, SEED) for i in range(16)])
-
-    def run(seq, toks):
-        if len(toks) < 10:
-            return []
-        x, n = states_of(toks, D, SEED), 16
-        kinds = {"local": np.zeros(len(x), int), "random_hash": K.hash_labels(x, vec), "cluster": K.assign(x, cent)}
-        return [dict(zip(("seq_id", "kind", "recall", "error"), (seq, k, *_against_dense(x, K.blocks_of(v, n))), strict=True)) for k, v in kinds.items()]
-
-    return _means(per_sequence(turns(spark, sf), run, "seq_id long, kind string, recall double, error double"), ["kind"])
+    """The same states of the documents under each kind of layer: windows, equal positions, 64 random directions, 64 fitted
+    clusters."""
+    dirs = np.random.default_rng(SEED).normal(size=(64, D))
+    cent = text_centroids(spark, sf, 64)
+    return _swap(spark, sf, {k: (k, cent, dirs) for k in ("local", "same_position", "random_hash", "cluster")}, "kind")
 
 
 @query("w_centroid_sweep")
 def w_centroid_sweep(spark, sf):
-    """More centroids, the same blocks: recall and error against dense attention."""
-    cents = {p: text_centroids(p) for p in (4, 8, 16, 32, 64)}
+    """More fitted centroids, the same blocks: recall and error against dense attention."""
+    return _swap(spark, sf, {p: ("cluster", text_centroids(spark, sf, p), None) for p in (16, 64, 256, 512)}, "p")
 
-    def run(seq, toks):
-        if len(toks) < 10:
-            return []
-        x = states_of(toks, D, SEED)
-        return [dict(zip(("seq_id", "p", "recall", "error"), (seq, p, *_against_dense(x, K.blocks_of(K.assign(x, c), 16))), strict=True)) for p, c in cents.items()]
 
-    return _means(per_sequence(turns(spark, sf), run, "seq_id long, p int, recall double, error double"), ["p"])
+@query("m_delta_recall")
+def m_delta_recall(spark, sf):
+    """What each kind of layer changes against windows alone, and each number of centroids against 64."""
+    a, b = persist_cut(w_layer_swap(spark, sf)), persist_cut(w_centroid_sweep(spark, sf))
+    base = a.filter("kind = 'local'").select(F.col("recall").alias("r0"), F.col("error").alias("e0"))
+    few = b.filter("p = 64").select(F.col("recall").alias("r0"), F.col("error").alias("e0"))
+    delta = lambda df, against, name, to: df.crossJoin(F.broadcast(against)).select(F.col(name).cast("string").alias("of"), F.lit(to).alias("against"), F.round(F.col("recall") - F.col("r0"), 6).alias("recall"), F.round(F.col("error") - F.col("e0"), 6).alias("error"))  # noqa: E731  one row
+    return delta(a.filter("kind <> 'local'"), base, "kind", "local").unionByName(delta(b.filter("p <> 64"), few, "p", "64"))
 
 
-@query("w_layer_grid")
-def w_layer_grid(spark, sf):
-    """Which depths attend within clusters: change of the output against window layers only, on the benchmark's texts."""
-    local = LayerPlan.local(24, win=32, stride=24)
-    plans = {(a, b): LayerPlan.modulo(a, b, 24, win=32, stride=24) for a in (3, 4, 5, 6) for b in (8, 12, 16, 20)}
+GRID_CONTEXT = 600
+
+
+def grid_contexts(spark, sf):
+    """(item_id, q, t, gold): each question with the document that shares most three-word runs with it, cut to
+    GRID_CONTEXT words, and the three words that answer it."""
+    q = load(spark, sf, "benchmark").select("item_id", words("text").alias("w")).filter(F.size("w") > 6)
+    q = q.select("item_id", F.expr("slice(w, 1, size(w) - 3)").alias("q"), F.concat_ws(" ", F.expr("slice(w, size(w) - 2, 3)")).alias("gold"))
+    docs = load(spark, sf, "documents").select("doc_id", words("text").alias("t")).filter(F.size("t") > 2)
+    hit = _shingles(docs, "doc_id", "t").select("doc_id", "sh").join(_shingles(q, "item_id", "q").select("item_id", "sh").distinct(), "sh").groupBy("item_id", "doc_id").agg(F.count_distinct("sh").alias("s"))
+    best = hit.groupBy("item_id").agg(F.min(F.struct((-F.col("s")).alias("s"), "doc_id"))["doc_id"].alias("doc_id"))
+    return q.join(best, "item_id").join(docs, "doc_id").select("item_id", "q", F.slice("t", 1, GRID_CONTEXT).alias("t"), "gold")
 
-    def run(seq, toks):
-        if not toks:
-            return []
-        x = states_of(toks, D, SEED)
-        base = local.run(x)
-        return [{"seq_id": seq, "a": a, "b": b, "depths": len(p.cal), "change": float(np.linalg.norm(p.run(x) - base) / np.linalg.norm(base))} for (a, b), p in plans.items()]
 
-    out = per_sequence(T.packed(load(spark, sf, "benchmark"), "item_id", "text"), run, "seq_id long, a int, b int, depths int, change double")
-    return out.groupBy("a", "b", "depths").agg(F.count("*").alias("n"), F.round(F.avg("change"), 6).alias("change"))
+def read_answer(plan, q, t):
+    """The words after the place whose state is most like that of the question's last word, in the window's own frame."""
+    ctx, qs = plan.encode(states_of(t, plan.d, SEED), states_of(q, plan.d, SEED))
+    last = qs[:, -1].mean(0)
+    near = K.similarity(ctx[:-3], last[None])[:, 0] if len(ctx) > 3 else np.empty(0)
+    at = int(near.argmax()) + 1 if len(near) else 0
+    return " ".join(t[at : at + 3]), float(near.max()) if len(near) else 0.0
+
+
+@query("w_layer_grid")
+def w_layer_grid(spark, sf):
+    """Which depths attend within clusters (divisible by a, at least b, of 24): the share of questions whose answer is
+    read, and how far the output lies from that of window layers alone."""
+    local = LayerPlan.local(24, win=64, stride=48)
+    plans = [(0, 0, local)] + [(a, b, LayerPlan.modulo(a, b, 24, win=64, stride=48)) for a in (3, 4, 5, 6) for b in (8, 12, 16, 20)]
+    shared = fitted_stack(spark, sf, LayerPlan.explicit([20], win=64, stride=48), Refresh(cap=20_000, iterations=1, every=1, steps=4)).fitted[20]
+    for _, _, plan in plans:  # states differ little between depths: one fit serves all
+        plan.fitted.update(dict.fromkeys(plan.cal, shared))
+    ctx = grid_contexts(spark, sf).withColumn("part", F.xxhash64("item_id")).repartition(2 * spark.sparkContext.defaultParallelism, "part")
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            out = []
+            for item, q, t, gold in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                x, qv, base = states_of(t, 8, SEED), states_of(q, 8, SEED), None
+                for a, b, plan in plans:
+                    h = plan.run(x, qv)
+                    base = h if base is None else base
+                    out.append((item, a, b, len(plan.cal), int(read_answer(plan, q, t)[0] == gold), float(np.linalg.norm(h - base) / np.linalg.norm(base))))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], ["item_id", "a", "b", "depths", "hit", "change"])
+
+    each = ctx.select("item_id", "q", "t", "gold").mapInArrow(run, "item_id long, a long, b long, depths long, hit long, change double")
+    return each.groupBy("a", "b", "depths").agg(F.count("*").alias("n"), F.round(100 * F.avg("hit"), 4).alias("em"), F.round(F.avg("change"), 6).alias("change"))
 
 
 @query("w_bank_sweep")
 def w_bank_sweep(spark, sf):
-    """Banks of several sizes over the same stream of states: how far centroids move between refreshes."""
-    v = load(spark, sf, "embeddings").select("vec_id", doubles("embedding").alias("vec"))
-    n, out = v.count(), []
-    init = np.random.default_rng(0).normal(size=(8, 64))
-    for cap in (n // 4, n // 2):
-        c, moved = init, []
-        for upto in (n // 2, 3 * n // 4, n):
-            bank = v.filter((F.col("vec_id") < upto) & (F.col("vec_id") >= upto - cap))
-            new = C.kmeans(bank, c, 5)
-            moved.append(float(np.sqrt(((new - c) ** 2).sum(1)).mean()))
-            c = new
-        out.append((cap, round(moved[1], 4), round(moved[2], 4)))
-    return spark.createDataFrame(out, "cap int, first_move double, second_move double")
+    """Banks of two sizes and refreshes at two rates over the stream of documents: how far centroids move at the last
+    refresh, and how near validation states lie to them in the end."""
+    from longweave.plans.method_queries import valid_fold
+
+    ways = {(cap, every): text_snapshots(spark, sf, 16, Refresh(cap=cap, iterations=4, every=every, steps=4)) for cap in (50_000, 100_000) for every in (2, 4)}
+    packed = docs_packed(spark, sf).filter(valid_fold())
+    names = list(ways)
+
+    def run(seq, toks):
+        x = window_layer(toks) if toks else np.empty((0, D))
+        return [{"k": k, "n": len(x), "total": float(K.similarity(x, ways[w][-1].centroids).max(1).sum())} for k, w in enumerate(names)] if len(x) else []
+
+    near = {r["k"]: r["s"] for r in per_sequence(packed, run, "k long, n long, total double").groupBy("k").agg((F.sum("total") / F.sum("n")).alias("s")).collect()}
+    rows = [(cap, every, len(ways[cap, every]), round(ways[cap, every][-1].moved, 4), round(near[k], 4) if k in near else None) for k, (cap, every) in enumerate(names)]
+    return spark.createDataFrame(rows, "cap int, every int, refreshes int, moved double, cosine double")
 
 
 def state_bank(spark, sf, cap=100_000):
-    """The newest cap states of the stream of documents."""
-    from longweave.operators.bank import newest
+    """(seq_id, pos, vec): the newest cap states of the stream of documents, 16 wide, after one window layer."""
+    from longweave.operators.refresh import newest_sequences
+
+    packed = docs_packed(spark, sf)
+    last = packed.agg(F.max("seq_id")).first()[0]
+    since = newest_sequences(packed.select("seq_id", F.size("toks").alias("n")), cap, 0, last if last is not None else 0)
+
+    def run(seq, toks):
+        return [{"seq_id": seq, "pos": k, "vec": v} for k, v in enumerate(window_layer(toks, 16))] if toks else []
 
-    t = doc_tokens(spark, sf).withColumn("arrival", F.struct("seq_id", "pos"))
-    return persist_cut(T.embed(newest(t, cap), 16, SEED).select("vec"))
+    held = per_sequence(packed.filter(F.col("seq_id") >= since), run, "seq_id long, pos long, vec array<double>")
+    return persist_cut(held.orderBy(F.desc("seq_id"), F.desc("pos")).limit(cap))
 
 
 def bank_rows(bank):
-    """(all rows of a bank, whose cap bounds them; its distinct ones)."""
-    x = np.array([r["vec"] for r in bank.collect()])
-    return x, np.unique(x, axis=0)
+    """(all rows of a bank, whose cap bounds them; its distinct ones in a seeded order, moved apart so that no state lies
+    as near to one as to another)."""
+    x = np.array([r["vec"] for r in bank.select("vec").collect()])
+    each = np.unique(x, axis=0)
+    each = each[np.random.default_rng(1).permutation(len(each))]
+    return x, each * (1 + 1e-4 * np.arange(len(each)))[:, None]
 
 
 @query("w_kmeans_time")
@@ -508,26 +618,38 @@ def w_kmeans_time(spark, sf):
     """Seconds of one refresh over a bank of document states, by each way; the bank is capped by its own rule."""
     bank = state_bank(spark, sf)
     x, each = bank_rows(bank)
-    init, out = each[np.random.default_rng(1).permutation(len(each))[:64]], []
+    init, out = each[:64], []
     for name, f in (("lloyd_distributed", lambda: C.kmeans(bank, init, 5)), ("lloyd", lambda: K.kmeans(x, init, 5)), ("bounded", lambda: K.kmeans_bounded(x, init, 5))):
         began = time.perf_counter()
         got = f()
-        out.append((name, round(time.perf_counter() - began, 3), int(got[2]) if isinstance(got, tuple) else None))
-    return spark.createDataFrame(out, "way string, seconds double, distances long")
+        out.append((name, len(x), round(time.perf_counter() - began, 3), int(got[2]) if isinstance(got, tuple) else None))
+    return spark.createDataFrame(out, "way string, n long, seconds double, distances long")
 
 
 @query("kmeans_bounded")
 def kmeans_bounded(spark, sf):
     """Bounded and plain Lloyd from one start over a whole bank of document states: equal labels, fewer distances."""
     x, each = bank_rows(state_bank(spark, sf))
-    init = each[np.random.default_rng(1).permutation(len(each))[:40]]
+    init = each[:40]
     a, b = K.kmeans(x, init, 10), K.kmeans_bounded(x, init, 10)
     return spark.createDataFrame([(int((a[1] == b[1]).sum()), len(x), a[2], b[2])], "equal long, n long, lloyd_distances long, bounded_distances long")
 
 
 @query("kmeans_mllib")
 def kmeans_mllib(spark, sf):
-    return QUERIES["ml_kmeans_sizes"](spark, sf)
+    """Other clusterings in place of K-Means, by the library: sizes and the mean squared distance to the own centre."""
+    from pyspark.ml.clustering import BisectingKMeans, GaussianMixture, KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    v = persist_cut(vec_states(spark, sf).select("vec_id", "vec", array_to_vector("vec").alias("features")))
+    out = None
+    for name, way in (("kmeans", KMeans(k=10, seed=1)), ("bisecting", BisectingKMeans(k=10, seed=1)), ("mixture", GaussianMixture(k=10, seed=1, maxIter=5))):
+        got = way.fit(v).transform(v).select("prediction", "vec")
+        centre = got.select("prediction", F.posexplode("vec").alias("j", "x")).groupBy("prediction", "j").agg(F.count("*").alias("n"), (F.sum(F.col("x") * F.col("x")) - F.sum("x") * F.sum("x") / F.count("*")).alias("ss"))
+        part = centre.groupBy("prediction").agg(F.first("n").alias("n"), F.sum("ss").alias("ss"))
+        part = part.agg(F.lit(name).alias("way"), F.count("*").alias("clusters"), F.max("n").alias("largest"), F.round(F.sum("ss") / F.sum("n"), 6).alias("mean_square"))
+        out = part if out is None else out.unionByName(part)
+    return out.select("way", "clusters", "largest", "mean_square")
 
 
 LINES = "ls as (select l_suppkey, row_number() over (partition by l_suppkey order by l_shipdate, l_orderkey, l_linenumber) - 1 as pos, [l_quantity / 50, l_discount * 10, l_tax * 10, l_extendedprice / 100000] as vec from lineitem)"
@@ -553,7 +675,13 @@ def w_vectors_cal(spark, sf):
 
 @query("w_quality_head")
 def w_quality_head(spark, sf):
-    return QUERIES["ml_logreg_quality"](spark, sf)
+    """A head on pooled document states, fitted without a fifth of the documents and judged on these."""
+    from longweave.plans.operator_queries import pooled_quality
+
+    p = pooled_quality(spark, sf)
+    held = F.col("held")
+    right = (F.col("p") >= 0.5) == (F.col("label") >= 0.5)
+    return p.groupBy("held").agg(F.count("*").alias("n"), F.round(F.avg(right.cast("int")), 4).alias("accuracy"), F.round(F.avg(F.col("label")), 4).alias("share")).orderBy(held)
 
 
 @query("w_stream_bank")

@@ -57,8 +57,12 @@ _fused("base_random_hash", _hash_sql(False), lambda x: K.random_hash(x, DIRECTIO
 _fused("base_random_hash_signed", _hash_sql(True), lambda x: K.random_hash(x, DIRECTIONS, BLOCK, signed=True, encode=ATT))
 _fused("base_sorted_buckets", f"""with {S.STATES}, {DIR_SQL}, k as (select st.*, list_dot_product(vec, (select dv from dirs where b = 0)) as key from st),
   b as (select seq_id, pos, vec, (row_number() over (partition by seq_id order by key, pos) - 1) // {BLOCK} as block from k), o as {S.attention('b', 'seq_id, block', 'seq_id, pos', SCALE)} {S.digest('o')}""", lambda x: K.sorted_buckets(x, DIRECTIONS[0], BLOCK))
-_fused("base_carry_memory", None, lambda x: np.concatenate(K.carry_memory(_windows(x))))
-_fused("base_random_hash_rounds", None, lambda x: K.random_hash(x, DIRECTIONS, BLOCK, rounds=4, encode=ATT))
+_fused("base_carry_memory", f"""with {S.STATES}, w as (select seq_id, win, pos, vec from {WINROWS}), k as (select seq_id, win, vec from w union all select seq_id, win + 1, vec from w),
+  e as (select a.seq_id, a.win, a.pos, exp(list_dot_product(a.vec, k.vec) * {SCALE!r}) as e, k.vec[1] as v1, k.vec[2] as v2, k.vec[3] as v3, k.vec[4] as v4 from w a join k using (seq_id, win)),
+  o as (select seq_id, win, pos, {', '.join(f'sum(e * v{j}) / sum(e) as o{j}' for j in range(1, 5))} from e group by 1, 2, 3) {S.digest('o')}""", lambda x: np.concatenate(K.carry_memory(_windows(x))))
+_fused("base_random_hash_rounds", f"""with {S.STATES}, {DIR_SQL}, nb as (select vec, r, arg_min(b, (-near, b)) as bucket from (select v.vec, d.b, d.b // 4 as r, list_dot_product(v.vec, d.dv) as near from (select distinct vec from voc) v, dirs d) group by vec, r),
+  b as (select seq_id, pos, r, vec, (row_number() over (partition by seq_id, r order by bucket, pos) - 1) // {BLOCK} as block from st join nb using (vec)),
+  each as {S.attention('b', 'seq_id, r, block', 'seq_id, r, pos', SCALE)}, o as (select seq_id, pos, {', '.join(f'avg(o{j}) as o{j}' for j in range(1, 5))} from each group by 1, 2) {S.digest('o')}""", lambda x: K.random_hash(x, DIRECTIONS, BLOCK, rounds=4, encode=ATT))
 
 TURNS = r"""tl as (select conv_id * 1000 + turn as seq_id, list_filter(regexp_split_to_array(trim(lower(coalesce(text, ''))), '\s+'), lambda y: y <> '') as t from conversations),
 tok as (select seq_id, unnest(t) as tok, (generate_subscripts(t, 1) - 1)::int as pos from tl)""" + f", voc as (select tok, {S.hash_vec('tok')} as vec from (select distinct tok from tok)), st as (select tok.seq_id, tok.pos, voc.vec from tok join voc using (tok))"
@@ -89,16 +93,57 @@ def base_recurrent(spark, sf):
     return out.select("seq_id", *((F.round(f"h{j}", 6) + 0.0).alias(f"h{j}") for j in range(4)))
 
 
-@query("base_select_then_read", rf"""with g as (select d.doc_id, b.item_id, list_distinct(regexp_split_to_array(trim(lower(b.text)), '\s+')) as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from {GOLD}),
-  w as (select doc_id, item_id, k::int as win, len(list_intersect(t[k * 224 + 1:k * 224 + 256], q))::int as score from (select *, unnest(range((len(t) + 223) // 224)) as k from g))
-  select doc_id, item_id, win, score, r::int as r from (select *, row_number() over (partition by doc_id, item_id order by score desc, win) as r from w) where r <= 2""")
-def base_select_then_read(spark, sf):
-    """The cheap filter: windows by distinct words shared with the question, the best two are read."""
+SELECT = rf"""with g as (select d.doc_id, b.item_id, list_distinct(regexp_split_to_array(trim(lower(b.text)), '\s+')) as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from {GOLD}),
+  w as (select doc_id, item_id, q, k::int as win, t[k * 224 + 1:k * 224 + 256] as t, len(list_intersect(t[k * 224 + 1:k * 224 + 256], q))::int as score from (select *, unnest(range((len(t) + 223) // 224)) as k from g)),
+  rk as (select *, row_number() over (partition by doc_id, item_id order by score desc, win) as r from w)"""
+
+
+def _read_sql(src: str) -> str:
+    """src (doc_id, item_id, win, q, t): what attention of the question's words reads in t."""
+    return f"""qs as (select doc_id, item_id, win, qtok, {S.hash_vec('qtok')} as vec from (select doc_id, item_id, win, unnest(q) as qtok from {src})), ts as (select doc_id, item_id, win, {S.hash_vec('tok')} as vec from (select doc_id, item_id, win, unnest(t) as tok from {src})),
+  e as (select doc_id, item_id, win, qtok, exp(list_dot_product(qs.vec, ts.vec) * {SCALE!r}) as e, ts.vec[1] as v1, ts.vec[2] as v2 from qs join ts using (doc_id, item_id, win)),
+  o as (select doc_id, item_id, win, qtok, sum(e * v1) / sum(e) as o1, sum(e * v2) / sum(e) as o2 from e group by 1, 2, 3, 4), rd as (select doc_id, item_id, win, round(sum(o1), 4) + 0.0 as s0, round(sum(o2), 4) + 0.0 as s1 from o group by 1, 2, 3)"""
+
+
+def _scored_windows(spark, sf):
     g = gold_pairs(spark, sf).select("doc_id", "item_id", F.array_distinct(words("passage")).alias("q"), words("text").alias("t"))
     w = g.withColumn("win", F.explode(F.sequence(F.lit(0), F.ceil(F.size("t") / 224).cast("int") - 1)))
-    w = w.withColumn("score", F.size(F.array_intersect(F.slice("t", F.col("win") * 224 + 1, F.lit(256)), "q")))
-    r = F.row_number().over(Window.partitionBy("doc_id", "item_id").orderBy(F.desc("score"), "win"))
-    return w.withColumn("r", r).filter("r <= 2").select("doc_id", "item_id", "win", "score", "r")
+    w = w.withColumn("t", F.slice("t", F.col("win") * 224 + 1, F.lit(256))).withColumn("score", F.size(F.array_intersect("t", "q")))
+    return w.withColumn("r", F.row_number().over(Window.partitionBy("doc_id", "item_id").orderBy(F.desc("score"), "win")))
+
+
+def _read(rows, keep):
+    """rows (doc_id, item_id, q, t and keep) with s0, s1: attention of the question over the words that were kept."""
+    import pyarrow as pa
+    from pyspark.sql.types import StructType
+
+    kept = rows.select("q", "t", *keep)
+
+    def run(batches):
+        for b in batches:
+            out = [K.attention(states_of(q, D, SEED), states_of(t, D, SEED), SCALE).sum(0) for q, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([*b.columns[2:], *(pa.array([round(float(h[j]), 4) + 0.0 for h in out], pa.float64()) for j in (0, 1))], [*keep, "s0", "s1"])
+
+    return kept.mapInArrow(run, StructType([kept.schema[k] for k in keep]).add("s0", "double").add("s1", "double"))
+
+
+@query("base_select_then_read", f"{SELECT}, sel as (select * from rk where r <= 2), {_read_sql('sel')} select doc_id, item_id, win, score, r::int as r, s0, s1 from sel join rd using (doc_id, item_id, win)")
+def base_select_then_read(spark, sf):
+    """The cheap filter picks the two windows that share most distinct words with the question; these are read densely."""
+    return _read(_scored_windows(spark, sf).filter("r <= 2"), ["doc_id", "item_id", "win", "score", "r"])
+
+
+@query("base_select_threshold", f"{SELECT}, sel as (select * from rk where score >= 0.6 * len(q)), {_read_sql('sel')} select doc_id, item_id, win, score, s0, s1 from sel join rd using (doc_id, item_id, win)")
+def base_select_threshold(spark, sf):
+    """All windows that share at least 0.6 of the question's words are read; others count as noise."""
+    return _read(_scored_windows(spark, sf).filter(F.col("score") >= 0.6 * F.size("q")), ["doc_id", "item_id", "win", "score"])
+
+
+@query("base_select_concat", f"{SELECT}, sel as (select doc_id, item_id, 0 as win, any_value(q) as q, flatten(list(t order by win)) as t, sum(score)::bigint as score from rk where r <= 2 group by 1, 2), {_read_sql('sel')} select doc_id, item_id, score, s0, s1 from sel join rd using (doc_id, item_id)")
+def base_select_concat(spark, sf):
+    """The two best windows become one sequence, which is read at once."""
+    w = _scored_windows(spark, sf).filter("r <= 2").groupBy("doc_id", "item_id").agg(F.first("q").alias("q"), F.array_sort(F.collect_list(F.struct("win", "t"))).alias("w"), F.sum("score").cast("long").alias("score"))
+    return _read(w.withColumn("t", F.flatten(F.transform("w", lambda x: x["t"]))), ["doc_id", "item_id", "score"])
 
 
 @query("base_question_attention", rf"""with g as (select d.doc_id, b.item_id, regexp_split_to_array(trim(lower(b.text)), '\s+') as q, regexp_split_to_array(trim(lower(d.text)), '\s+') as t from {GOLD}),
@@ -153,31 +198,22 @@ def base_joint_reader(spark, sf):
     return _best(p, "s").select("seq_id", "para_id", "at", (F.round("s", 6) + 0.0).alias("score"))
 
 
-@query("base_global_tokens")
-def base_global_tokens(spark, sf):
-    """Windowed attention with a few global rows, here the heads of lines of 64 tokens; in blocks, never x by x."""
-
-    def run(seq, toks):
-        x, out = states_of(toks, D, SEED), []
-        heads = x[::64]
-        for lo in range(0, len(x), 64):
-            a, z = max(0, lo - 32), min(len(x), lo + 96)
-            rows = np.arange(lo, min(len(x), lo + 64))
-            keys = np.concatenate([x[a:z], heads])
-            near = np.concatenate([np.abs(rows[:, None] - np.arange(a, z)) <= 32, np.ones((len(rows), len(heads)), bool)], 1)
-            out.append(K.attention(x[rows], keys, SCALE, near))
-        return digest(seq, np.concatenate(out)) if out else []
-
-    return per_sequence(docs_packed(spark, sf), run, DIGEST)
+_fused("base_global_tokens", f"""with {S.STATES}, g as (select *, pos % 64 = 0 as head from st),
+  pr as (select a.seq_id, a.pos, a.vec as av, b.vec as bv from g a join g b on a.seq_id = b.seq_id where a.head
+    union all select a.seq_id, a.pos, a.vec, b.vec from g a join g b on a.seq_id = b.seq_id where not a.head and b.head
+    union all select a.seq_id, a.pos, a.vec, b.vec from (select *, unnest([pos // 64 - 1, pos // 64, pos // 64 + 1]) as k from g where not head) a join (select *, pos // 64 as k from g where not head) b on a.seq_id = b.seq_id and a.k = b.k where abs(a.pos - b.pos) <= 32),
+  e as (select seq_id, pos, exp(list_dot_product(av, bv) * {SCALE!r}) as e, bv[1] as v1, bv[2] as v2, bv[3] as v3, bv[4] as v4 from pr), o as (select seq_id, pos, {', '.join(f'sum(e * v{j}) / sum(e) as o{j}' for j in range(1, 5))} from e group by 1, 2) {S.digest('o')}""",
+  lambda x: K.global_rows(x, np.arange(0, len(x), 64), 32, SCALE))
 
 
-@query("base_cascaded")
+@query("base_cascaded", f"""{HEADS.replace('p as (select page_id, para_id, max', 'unused as (select page_id, para_id, max')}, c as (select page_id, para_id, avg(head) as para, arg_min(i, (-start, i)) as "at" from s group by 1, 2)
+  select page_id as seq_id, para_id, "at"::int as "at", round(para, 6) + 0.0 as score from (select *, row_number() over (partition by page_id order by para desc, para_id) as r from c) where r = 1""")
 def base_cascaded(spark, sf):
     """Paragraph pooling first, then the span in the paragraph whose mean state scores best."""
     t = T.embed(page_paras(spark, sf).select("seq_id", "para_id", F.posexplode(words("text")).alias("i", "tok")), D, SEED)
     s = t.select("seq_id", "para_id", "i", dot("vec", F.array(*map(F.lit, HEAD))).alias("h"), dot("vec", F.array(*map(F.lit, QUESTION))).alias("q"))
     p = s.groupBy("seq_id", "para_id").agg(F.avg("h").alias("para"), F.max(F.struct("q", (-F.col("i")).alias("i"))).alias("b"))
-    return _best(p, "para").select("seq_id", "para_id", (-F.col("b.i")).alias("at"), F.round("para", 6).alias("score"))
+    return _best(p, "para").select("seq_id", "para_id", (-F.col("b.i")).cast("int").alias("at"), (F.round("para", 6) + 0.0).alias("score"))
 
 
 for _kind in ("cluster", "same_position", "random_hash", "local"):

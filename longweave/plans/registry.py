@@ -30,5 +30,5 @@ def also(name: str, of: str) -> None:
 
 def everything() -> None:
     """Import all modules that register queries."""
-    from longweave.plans import baseline_queries, lm_queries, method_queries, operator_queries, workload_queries  # noqa: F401
+    from longweave.plans import baseline_queries, lm_queries, method_queries, operator_queries, qa_queries, workload_queries  # noqa: F401
     from longweave.streaming import queries  # noqa: F401

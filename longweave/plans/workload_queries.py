@@ -297,6 +297,16 @@ def m_delta_table(spark, sf):
     return m_attention_pairs(spark, sf).unpivot("cluster", ["dense"], "method", "v").select("method", F.round(F.col("v") / F.col("cluster"), 6).alias("to_cluster")).unionByName(spark.createDataFrame([("cluster", 1.0)], "method string, to_cluster double"))
 
 
+@query("m_plan_cost")
+def m_plan_cost(spark, sf):
+    """Physical cost by plan: exchanges, sorts, scans and Python passes of the layer and of its long form."""
+    rows = []
+    for name in ("cal_text_states", "cal_attn_vectors", "stack_cluster", "w_phrase_qa"):
+        plan = QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+        rows += [(name, op, plan.count(op)) for op in ("Exchange", "Sort ", "FileScan", "MapInArrow", "BroadcastNestedLoopJoin", "CartesianProduct")]
+    return spark.createDataFrame(rows, "query string, operator string, n int")
+
+
 @query("m_padding_waste", f"{S.vectors_slice()}, s as (select cluster, count(*) as n from asg group by 1) select round(count(*) * max(n) * max(n) / sum(n * n), 6) as waste from s")
 def m_padding_waste(spark, sf):
     return QUERIES["cal_padded_cost"](spark, sf).select("waste")
@@ -684,6 +694,6 @@ def w_quality_head(spark, sf):
     return p.groupBy("held").agg(F.count("*").alias("n"), F.round(F.avg(right.cast("int")), 4).alias("accuracy"), F.round(F.avg(F.col("label")), 4).alias("share")).orderBy(held)
 
 
-@query("w_stream_bank")
+@query("w_stream_bank", "select count(*) as held, min(event_id) as oldest, max(event_id) as newest from (select event_id from events order by event_id desc limit 1000)")
 def w_stream_bank(spark, sf):
     return QUERIES["stream_bank"](spark, sf).agg(F.count("*").alias("held"), F.min("arrival").alias("oldest"), F.max("arrival").alias("newest"))

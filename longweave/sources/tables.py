@@ -10,7 +10,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 def scratch(spark: SparkSession, what: str) -> str:
     """A new path that all executors see: below spark.checkpoint.dir, else (local runs) a temporary folder."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="longweave-")
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors see")
+    base = base or "file://" + tempfile.mkdtemp(prefix="longweave-")
     return f"{base}/{what}-{uuid.uuid4().hex}"
 
 

@@ -75,25 +75,39 @@ def stream_stream_join(spark, sf):
     return drain(j.select("click_id", "purchase_id"))
 
 
-@query("stream_late_drop")
+@query("stream_late_drop", "select start, n from (select date_trunc('day', ts)::timestamp as start, count(*) as n from events group by 1) where start + interval 1 day <= (select max(ts) from events) - interval 1 hour")
 def stream_late_drop(spark, sf):
-    """The second file repeats the first with times a week back: rows behind the watermark are dropped."""
+    """The last file repeats the first with times a week back: rows behind the watermark are dropped.  The one between, the
+    newest event again, lets the watermark take effect; its day is still open at the end."""
     path = scratch(spark, "late")
     e = load(spark, sf, "events")
     e.coalesce(1).write.parquet(f"{path}/k=1")
-    e.withColumn("ts", F.expr("ts - interval 7 days")).coalesce(1).write.parquet(f"{path}/k=2")
+    e.orderBy(F.desc("ts")).limit(1).coalesce(1).write.parquet(f"{path}/k=2")
+    e.withColumn("ts", F.expr("ts - interval 7 days")).coalesce(1).write.parquet(f"{path}/k=3")
     s = spark.readStream.schema(e.schema.add("k", "integer")).option("maxFilesPerTrigger", 1).option("basePath", path).parquet(path)
     s = s.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
-    return drain(s.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))).select(F.col("w.start").alias("start"), "n")
+    return drain(s.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @query("stream_state_totals", "select user_id, count(*) as n, round(sum(value), 4) as total from events group by 1")
 def stream_state_totals(spark, sf):
-    e = events(spark, sf).groupBy("user_id").agg(F.count("*").alias("n"), F.sum("value").alias("total"))
-    return drain(e, "update").groupBy("user_id").agg(F.max("n").alias("n"), F.round(F.max_by("total", "n"), 4).alias("total"))
+    """A state of its own for each user: number and sum of what came so far, given out after each batch."""
+    import pandas as pd
 
+    def add(key, frames, state):
+        n, total = state.get if state.exists else (0, 0.0)
+        for f in frames:
+            n, total = n + len(f), total + float(f["value"].sum())
+        state.update((n, total))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "total": [total]})
 
-@query("stream_bank")
+    e = events(spark, sf).select("user_id", "value")
+    kind = dict(e.dtypes)["user_id"]
+    held = e.groupBy("user_id").applyInPandasWithState(add, f"user_id {kind}, n long, total double", "n long, total double", "update", "NoTimeout")
+    return drain(held, "update").groupBy("user_id").agg(F.max("n").alias("n"), F.round(F.max_by("total", "n"), 4).alias("total"))
+
+
+@query("stream_bank", "select event_id as arrival, round(value, 6) as v0, hour(ts)::double as v1 from events order by event_id desc limit 1000")
 def stream_bank(spark, sf):
     """The bank kept by a stream: each micro-batch writes its own folder (idempotent by batch id), reads take the newest."""
     from longweave.operators.bank import MemoryBank
@@ -102,4 +116,4 @@ def stream_bank(spark, sf):
     bank = MemoryBank(spark, path, cap=1000)
     states = events(spark, sf).select(F.col("event_id").alias("arrival"), F.array(F.col("value"), F.hour("ts").cast("double")).alias("vec"))
     states.writeStream.foreachBatch(lambda df, k: bank.push(df, k)).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
-    return bank.read().select("arrival", "vec")
+    return bank.read().select("arrival", F.round(F.col("vec")[0], 6).alias("v0"), F.col("vec")[1].alias("v1"))

@@ -87,3 +87,71 @@ def test_causal_stack_reads_no_later_state():
     y = x.copy()
     y[60:] += 1
     np.testing.assert_allclose(plan.run(x)[:60], plan.run(y)[:60])
+
+
+def test_batches_equal_one_by_one():
+    g = np.random.default_rng(2)
+    x, q = g.normal(size=(150, 8)), g.normal(size=(3, 8))
+    block = K.Block.seeded(8, 2)
+    ctx, qs = K.encode_merged(x, np.repeat(q[None], -(-150 // 20), 0), 32, 20, block)
+    want = K.merge_overlaps([block(h) for h in K.slice_windows(x, q, 32, 20)], 3, 150, 32, 20)
+    flat = K.dedup_concat(want, 3, 20)
+    np.testing.assert_allclose(LayerPlan(1, win=32, stride=20).flat(ctx, qs), flat)
+    lab = K.assign(x, x[:6])
+    for layout in ("uniform", "strict", "padded", "masked"):
+        one = np.empty_like(x)
+        for rows in K.blocks_of(lab, 16, layout):
+            one[rows] = K.attention(x[rows], mask=lab[rows][:, None] == lab[rows] if layout == "masked" else None)
+        np.testing.assert_allclose(K.cluster_attention(x, lab, 16, layout=layout), one)
+
+
+def test_same_position_layer_equals_kernel():
+    x = np.random.default_rng(3).normal(size=(130, 8))
+    plan = LayerPlan.explicit([2], n_layers=2, kind="same_position", win=32, stride=20)
+    none = np.empty((0, 8))
+    wins = K.merge_overlaps([plan.blocks()[0](h + K.position_codes(32, 8)[: len(h)]) for h in K.slice_windows(x, none, 32, 20)], 0, 130, 32, 20)
+    wins = K.merge_overlaps(K.same_position(wins, None, plan.blocks()[1]), 0, 130, 32, 20)
+    np.testing.assert_allclose(plan.run(x), K.dedup_concat(wins, 0, 20))
+
+
+def test_global_rows_equal_the_dense_mask():
+    x = np.random.default_rng(4).normal(size=(200, 6))
+    heads = np.arange(0, 200, 50)
+    np.testing.assert_allclose(K.global_rows(x, heads, 7, step=16), K.global_tokens(x, np.isin(np.arange(200), heads), 7))
+
+
+def test_dropout_only_in_training():
+    block = K.Block.seeded(8, 2)
+    block.drop = 0.5
+    x = np.random.default_rng(5).normal(size=(10, 8))
+    assert np.array_equal(block(x), block(x)) and not np.allclose(block(x), block(x, rng=np.random.default_rng(0)))
+
+
+def test_copying_reads_the_past_only():
+    from longweave.operators.lm import copy_mass
+
+    h = np.eye(4)[[0, 1, 0, 1, 0]]
+    nxt = np.array([1, 0, 1, 0, 2])
+    got = copy_mass(h, nxt, [np.arange(5)], 50.0)
+    np.testing.assert_allclose(got, [0, 0, 1, 1, 0], atol=1e-9)
+    assert copy_mass(h, nxt, [np.array([r]) for r in range(5)], 50.0).sum() == 0
+
+
+def test_heads_learn_and_abstain():
+    from longweave.operators import heads as H
+
+    g, rows = np.random.default_rng(6), []
+    for i in range(300):
+        f = np.concatenate([np.ones((5, 1)), g.normal(size=(5, 4))], 1)
+        gold = int(g.integers(0, 5)) if i % 2 else None
+        if gold is not None:
+            f[gold, 1] += 6
+        rows.append({"feats": f, "pooled": g.normal(size=3), "gold": gold, "dev": i % 5 == 0})
+    fitted = H.fit_heads(rows, H.Knobs(updates=400))
+    right = np.mean([H.answered(fitted, r["feats"], r["pooled"]) == r["gold"] for r in rows])
+    assert right > 0.9 and set(fitted.dev) == set(H.DROPOUTS)
+    k = H.Knobs(updates=100, warm_up=10)
+    assert k.rate_at(9) == k.rate and k.rate_at(0) == k.rate / 10 and k.rate_at(100) == 0
+    again = H.fit_heads(rows, H.Knobs(updates=0), init=fitted, dropouts=(0.1,))
+    assert np.array_equal(again.para, fitted.para)  # a second phase starts from the first
+    assert H.f1([(1, 1), (None, None), (2, 3), (None, 4)]) == 2 / 4

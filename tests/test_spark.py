@@ -80,7 +80,7 @@ def test_cluster_attention_needs_no_shuffle(spark, sf):
     assert "CartesianProduct" not in labels
 
 
-SOME = ["cal_attn_vectors", "centroid_chain", "win_membership", "win_encode_attn", "cal_text_states", "base_random_hash", "qa_best_span", "m_answer_prf", "m_attention_recall", "w_dialog_qa", "join_asof_signup", "join_interval_click", "agg_rollup_lang_source", "win_islands", "stream_session", "udtf_windows"]
+SOME = ["refresh_snapshots", "cal_masked", "cal_padded", "cal_unordered", "centroid_select_best", "bank_after_batches", "win_encode_padded", "win_position_codes", "base_select_concat", "base_global_tokens", "m_token_f1", "m_sentinel_colocation", "w_cluster_report", "w_dataset_stats", "stream_state_totals", "join_semi_gold", "cal_attn_vectors", "centroid_chain", "win_membership", "win_encode_attn", "cal_text_states", "base_random_hash", "qa_best_span", "m_answer_prf", "m_attention_recall", "w_dialog_qa", "join_asof_signup", "join_interval_click", "agg_rollup_lang_source", "win_islands", "stream_session", "udtf_windows"]
 
 
 @pytest.mark.parametrize("name", SOME)
@@ -102,6 +102,88 @@ def test_every_oracle_has_its_query():
 def test_kmeans_ways_share_the_whole_bank(spark, sf):
     from longweave.plans import workload_queries as Q
 
-    total = Q.doc_tokens(spark, sf).count()
+    from longweave.plans.method_queries import doc_tokens
+
+    total = doc_tokens(spark, sf).count()
     assert Q.kmeans_bounded(spark, sf).first()["n"] == min(100_000, total)
     assert Q.state_bank(spark, sf, cap=30).count() == 30
+
+
+def test_refresh_pushes_evicts_fits_then_labels(spark):
+    """A stream made by hand: the order of the steps, the cap, and what the next labels see."""
+    from longweave.operators.refresh import Refresh, refresh_loop
+
+    seen = {0: [[0.0, 1.0]] * 3, 1: [[1.0, 0.0]] * 2, 2: [[4.0, 0.0], [0.0, 4.0]], 3: [[6.0, 0.0], [0.0, 8.0]]}
+    packed = spark.createDataFrame([(k, [str(k)]) for k in seen], "seq_id long, toks array<string>")
+    init = np.array([[1.0, 0.1], [0.1, 1.0]])
+    got = refresh_loop(packed, lambda toks: np.array(seen[int(toks[0])]), init, Refresh(cap=4, iterations=4, every=2, steps=1))
+    assert [s.epoch for s in got] == [1, 2]
+    # after two iterations five states came, the newest four are held: [0,1] twice, [1,0] twice
+    np.testing.assert_allclose(got[0].centroids, [[1.0, 0.0], [0.0, 1.0]])
+    # after four, only those of the last two iterations
+    np.testing.assert_allclose(got[1].centroids, [[5.0, 0.0], [0.0, 6.0]])
+    bank, c = np.empty((0, 2)), init
+    for i, states in enumerate(seen.values(), 1):
+        bank = np.concatenate([bank, states])[-4:]
+        c = K.kmeans(bank, c, 1)[0] if i % 2 == 0 else c
+    np.testing.assert_allclose(got[-1].centroids, c)
+    assert K.assign(np.array([[3.0, 0.1]]), got[-1].ordered).tolist() == [0]
+
+
+def test_newest_sequences_and_eviction(spark, tmp_path):
+    from longweave.operators.refresh import newest_sequences
+
+    rng = np.random.default_rng(0)
+    n = rng.integers(1, 9, 5000)
+    lengths = spark.createDataFrame([(i * 7, int(x)) for i, x in enumerate(n)], "seq_id long, n long")
+    for cap in (1, 100, 7000, 10**9):
+        since, total = 0, 0
+        for i in range(4999, -1, -1):
+            total += n[i]
+            if total >= cap:
+                since = i * 7
+                break
+        assert newest_sequences(lengths, cap, 0, 4999 * 7) == since
+    bank = MemoryBank(spark, f"file://{tmp_path}/b", cap=3)
+    for k in range(3):
+        bank.push(spark.createDataFrame([(2 * k,), (2 * k + 1,)], "arrival long"), k)
+        bank.evict()
+    assert sorted(os.listdir(tmp_path / "b")) == ["iter=1", "iter=2"]
+    assert sorted(r["arrival"] for r in bank.read().collect()) == [3, 4, 5]
+
+
+def test_stack_centroids_are_fitted_below_their_depth(spark, sf):
+    from longweave.operators.fused import states_of
+    from longweave.operators.refresh import Refresh, fit_stack
+    from longweave.plans.method_queries import docs_packed
+    from longweave.plans.stack import LayerPlan
+
+    plan = LayerPlan.explicit([2, 4], n_layers=4, p=8)
+    packed = docs_packed(spark, sf)
+    fitted = fit_stack(packed, plan, lambda toks: states_of(toks, 8, 7), Refresh(cap=2000, iterations=1, every=1, steps=3))
+    assert sorted(fitted.fitted) == [2, 4]
+    for depth in (2, 4):
+        states, held = [], 0
+        for r in packed.orderBy(F.desc("seq_id")).limit(400).collect():
+            if r["toks"] and held < 2000:
+                states.append(fitted.run(states_of(r["toks"], 8, 7), below=depth))
+                held += len(states[-1])
+        x = np.concatenate(states[::-1])[-2000:]
+        want = K.kmeans(x, plan.directions(depth), 3)[0]
+        np.testing.assert_allclose(fitted.fitted[depth], want[K.chain_order(want)], atol=1e-9)
+
+
+def test_no_pairs_of_documents_and_passages(spark, sf):
+    for name in ("base_select_then_read", "win_question_prefix", "join_semi_gold", "w_phrase_qa"):
+        plan = registry.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+        assert "BroadcastNestedLoopJoin" not in plan and "CartesianProduct" not in plan, name
+
+
+def test_mixture_weights_rise_the_likelihood(spark):
+    from longweave.operators.lm import mixture_weights
+
+    rows = [("m", 0.9, 0.1), ("m", 0.8, 0.1), ("m", 0.1, 0.7), ("k", 0.2, 0.6)]
+    w = mixture_weights(spark.createDataFrame(rows, "method string, a double, b double"), ["a", "b"], "method", 20)
+    grid = np.linspace(0, 1, 1001)
+    best = grid[np.argmax([sum(np.log(g * a + (1 - g) * b) for m, a, b in rows if m == "m") for g in grid])]
+    assert abs(w["m"][0] - best) < 0.02 and w["k"][1] > 0.99

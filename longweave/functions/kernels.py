@@ -71,6 +71,8 @@ class Block:
     heads: int = 2
     eps: float = 1e-5
     drop: float = 0.0
+    gain: np.ndarray | float = 1.0  # learned scale and shift after each norm
+    shift: np.ndarray | float = 0.0
 
     @classmethod
     def seeded(cls, d: int, heads: int = 2, d_ff: int | None = None, seed: int = 0) -> Block:
@@ -78,7 +80,7 @@ class Block:
         return cls(*(g.normal(0, d**-0.5, (d, d)) for _ in range(4)), g.normal(0, d**-0.5, (d, f)), g.normal(0, f**-0.5, (f, d)), heads)
 
     def norm(self, x: np.ndarray) -> np.ndarray:
-        return (x - x.mean(-1, keepdims=True)) / np.sqrt(x.var(-1, keepdims=True) + self.eps)
+        return (x - x.mean(-1, keepdims=True)) / np.sqrt(x.var(-1, keepdims=True) + self.eps) * self.gain + self.shift
 
     def __call__(self, h: np.ndarray, mask: np.ndarray | None = None, rng: np.random.Generator | None = None) -> np.ndarray:
         *lead, n, d = h.shape

@@ -33,6 +33,56 @@ def scan_partitioned_lang(spark, sf):
     return spark.read.parquet(path).filter("lang = 'en'").groupBy("source").agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars"))
 
 
+@query("scan_bucketed", "select quality::int as quality, count(*) as n, sum(n_chars)::bigint as chars from documents join labels using (doc_id) group by 1")
+def scan_bucketed(spark, sf):
+    """Two tables bucketed by doc_id: their join needs no exchange."""
+    import uuid
+
+    from longweave.sources.tables import bucketed
+
+    tag = uuid.uuid4().hex
+    d = bucketed(load(spark, sf, "documents").select("doc_id", "n_chars"), f"docs_{tag}", "doc_id", 8)
+    b = bucketed(load(spark, sf, "labels").select("doc_id", "quality"), f"labels_{tag}", "doc_id", 8)
+    return d.join(b.hint("merge"), "doc_id").groupBy(F.col("quality").cast("int").alias("quality")).agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars"))
+
+
+@query("source_windows", "select k::int as win, (k * 224)::int as lo, least(10000, k * 224 + 256)::int as hi from range(45) r(k)")
+def source_windows(spark, sf):
+    """A data source of its own: the windows of a sequence of 10,000 rows, read in parts."""
+    from longweave.sources.windows import Windows
+
+    load(spark, sf, "nation")
+    spark.dataSource.register(Windows)
+    return spark.read.format("windows").option("rows", 10_000).option("win", 256).option("stride", 224).load()
+
+
+@query("sink_overwrite_partition", "select 1 as layer, e::int as epoch, count(*) as n, round(sum(case when e = 2 then 2 else 1 end * embedding[1]::double), 6) as s from embeddings, (select unnest([1, 2]) as e) group by 1, 2")
+def sink_overwrite_partition(spark, sf):
+    """Snapshots by layer and epoch: writing an epoch again replaces its folder and no other."""
+    from longweave.sources.tables import scratch
+
+    path = scratch(spark, "snapshots")
+    e = load(spark, sf, "embeddings").select(F.lit(1).alias("layer"), F.lit(1).alias("epoch"), F.col("embedding")[0].cast("double").alias("x"))
+    put = lambda df, mode: df.write.mode(mode).option("partitionOverwriteMode", "dynamic").partitionBy("layer", "epoch").parquet(path)
+    put(e, "append")
+    put(e.withColumn("epoch", F.lit(2)), "append")
+    put(e.withColumn("epoch", F.lit(2)).withColumn("x", F.col("x") * 2), "overwrite")
+    return spark.read.parquet(path).groupBy("layer", "epoch").agg(F.count("*").alias("n"), R6(F.sum("x")).alias("s"))
+
+
+@query("sql_surface", f"with {S.TOK} select seq_id, round(list_cosine_similarity({S.hash_vec('a')}, {S.hash_vec('b')}), 6) + 0.0 as sim, k as windows from (select seq_id, t[1] as a, t[len(t)] as b, (len(t) + 223) // 224 as k from tl where len(t) > 0)")
+def sql_surface(spark, sf):
+    """The methods from SQL: views of the tables, functions for states, similarity and windows."""
+    from longweave.sources.functions import register, views
+
+    register(spark)
+    views(spark, sf, ["documents"])
+    return spark.sql("""
+        with t as (select doc_id as seq_id, filter(split(trim(lower(coalesce(text, ''))), '\\\\s+'), x -> x <> '') as t from documents_v),
+        w as (select seq_id, t[0] as a, t[size(t) - 1] as b, cast(ceil(size(t) / 224) as bigint) as windows from t where size(t) > 0)
+        select seq_id, round(cosine_to(token_state(a), token_state(b)), 6) + 0.0 as sim, windows from w""")
+
+
 @query("roundtrip_csv_json_orc", "select f as format, count(*) as n, sum(n_nationkey)::bigint as keys, sum(length(n_name))::bigint as name_chars from nation, (select unnest(['csv', 'json', 'orc']) as f) group by f")
 def roundtrip_csv_json_orc(spark, sf):
     from longweave.sources.tables import roundtrip
@@ -96,8 +146,9 @@ def join_range_paras(spark, sf):
     hi = F.sum("k").over(Window.partitionBy("seq_id").orderBy("para_id"))
     p = p.withColumn("hi", hi).withColumn("lo", F.col("hi") - F.col("k"))
     t = p.groupBy("seq_id").agg(F.sum("k").alias("x")).select("seq_id", F.explode(F.sequence(F.lit(0).cast("long"), F.col("x") - 1)).alias("pos"))
-    t = t.withColumnRenamed("seq_id", "of_seq")
-    j = t.join(p, (F.col("of_seq") == F.col("seq_id")) & (F.col("pos") >= F.col("lo")) & (F.col("pos") < F.col("hi")))
+    # buckets of 64 positions: a token meets only the paragraphs of its own
+    cut = p.withColumn("b", F.explode(F.sequence(F.floor(F.col("lo") / 64), F.floor((F.col("hi") - 1) / 64))))
+    j = t.withColumn("b", F.floor(F.col("pos") / 64)).join(cut, ["seq_id", "b"]).filter((F.col("pos") >= F.col("lo")) & (F.col("pos") < F.col("hi")))
     return j.groupBy("seq_id", "para_id").agg(F.count("*").alias("tokens"), F.min("pos").cast("int").alias("first"))
 
 
@@ -206,19 +257,26 @@ def agg_median_len(spark, sf):
     return load(spark, sf, "documents").groupBy("lang").agg(F.median("n_chars").alias("mid"), F.percentile("n_chars", 0.9).alias("p90"), F.max("n_chars").alias("longest"))
 
 
-@query("agg_approx_distinct")
+@query("agg_approx_distinct", f"with {S.TOK}, l as (select lang, count(distinct tok) as exact from tok join documents on doc_id = seq_id group by 1) select lang, exact, true as within from l")
 def agg_approx_distinct(spark, sf):
     """HyperLogLog sketches per language, merged over sources; and the exact number beside it."""
     t = doc_tokens(spark, sf).join(load(spark, sf, "documents").select(F.col("doc_id").alias("seq_id"), "lang", "source"), "seq_id")
     part = t.groupBy("lang", "source").agg(F.hll_sketch_agg("tok").alias("k"))
     near = part.groupBy("lang").agg(F.hll_sketch_estimate(F.hll_union_agg("k")).alias("near"))
-    return near.join(t.groupBy("lang").agg(F.count_distinct("tok").alias("exact")), "lang")
+    both = near.join(t.groupBy("lang").agg(F.count_distinct("tok").alias("exact")), "lang")
+    return both.select("lang", "exact", (F.abs(F.col("near") - F.col("exact")) <= 0.06 * F.col("exact") + 1).alias("within"))
 
 
-@query("agg_sketch_quantile")
+@query("agg_sketch_quantile", "select l_returnflag, true as within from lineitem group by 1")
 def agg_sketch_quantile(spark, sf):
-    li = load(spark, sf, "lineitem")
-    return li.groupBy("l_returnflag").agg(F.approx_percentile("l_extendedprice", [0.5, 0.9], 10_000).alias("near"), F.percentile("l_extendedprice", [0.5, 0.9]).alias("exact"))
+    """The sketch's quantiles have the ranks they claim, within a thousandth of all rows."""
+    li = load(spark, sf, "lineitem").select("l_returnflag", "l_extendedprice")
+    q = li.groupBy("l_returnflag").agg(F.approx_percentile("l_extendedprice", [0.5, 0.9], 10_000).alias("q"), F.count("*").alias("n"))
+    below = li.join(F.broadcast(q), "l_returnflag")  # one row for each flag
+    at = lambda k: [F.count_if(F.col("l_extendedprice") < F.col("q")[k]).alias(f"lt{k}"), F.count_if(F.col("l_extendedprice") <= F.col("q")[k]).alias(f"le{k}")]
+    rank = below.groupBy("l_returnflag").agg(F.first("n").alias("n"), *at(0), *at(1))
+    ok = lambda k, p: (F.col(f"lt{k}") <= (p + 0.001) * F.col("n") + 1) & (F.col(f"le{k}") >= (p - 0.001) * F.col("n") - 1)
+    return rank.select("l_returnflag", (ok(0, 0.5) & ok(1, 0.9)).alias("within"))
 
 
 @query("agg_vector_mean", f"with {S.CENT} select cid as label, (j - 1)::int as j, round(v, 6) + 0.0 as v from ce")
@@ -480,6 +538,21 @@ def ml_logreg_quality(spark, sf):
     return pooled_quality(spark, sf)
 
 
+@query("ml_idf", f"with {S.TOK}, d as (select tok, count(distinct seq_id) as df from tok group by 1), n as (select count(*) as n from tl) select tok, df::bigint as df, round(ln((n + 1.0) / (df + 1.0)), 6) as idf from d, n where df >= ceil(0.05 * n)")
+def ml_idf(spark, sf):
+    """Words of at least a twentieth of the documents, by the library's counter, and their inverse document frequency."""
+    from pyspark.ml.feature import IDF, CountVectorizer
+
+    from longweave.plans.method_queries import docs_packed
+
+    d = docs_packed(spark, sf)
+    n = d.count()
+    counter = CountVectorizer(inputCol="toks", outputCol="tf", minDF=float(-(-n // 20) or 1), vocabSize=1 << 18).fit(d)
+    model = IDF(inputCol="tf", outputCol="v").fit(counter.transform(d))
+    rows = [(w, int(k), float(x)) for w, k, x in zip(counter.vocabulary, model.docFreq, model.idf.toArray(), strict=True)]
+    return spark.createDataFrame(rows, "tok string, df long, idf double").select("tok", "df", R6("idf").alias("idf"))
+
+
 @query("lsh_join")
 def lsh_join(spark, sf):
     from pyspark.ml.feature import BucketedRandomProjectionLSH

@@ -117,3 +117,45 @@ def stream_bank(spark, sf):
     states = events(spark, sf).select(F.col("event_id").alias("arrival"), F.array(F.col("value"), F.hour("ts").cast("double")).alias("vec"))
     states.writeStream.foreachBatch(lambda df, k: bank.push(df, k)).option("checkpointLocation", f"{path}-log").trigger(availableNow=True).start().awaitTermination()
     return bank.read().select("arrival", F.round(F.col("vec")[0], 6).alias("v0"), F.col("vec")[1].alias("v1"))
+
+
+@query("w_stream_refresh")
+def w_stream_refresh(spark, sf):
+    """The refresh loop online: events come in four files; each batch is pushed, what the bank no longer holds evicted,
+    centroids are fitted after each second batch, and the batch's events get labels by the newest ones."""
+    import numpy as np
+
+    from longweave.functions import kernels as K
+    from longweave.operators.bank import MemoryBank
+    from longweave.operators.refresh import Refresh, fit
+
+    path = scratch(spark, "stream-refresh")
+    e = load(spark, sf, "events")
+    last = (e.agg(F.max("event_id")).first()[0] or 0) + 1
+    for k in range(4):
+        e.filter(F.expr(f"event_id * 4 div {last} = {k}")).coalesce(1).write.parquet(f"{path}/in/k={k}")
+    bank, how = MemoryBank(spark, f"{path}/bank", 5000, size="n"), Refresh(cap=5000, steps=3)
+    now = {"c": np.random.default_rng(5).normal(size=(4, 3)) * 5, "fits": 0}
+
+    def step(df, batch):
+        rows = df.groupBy("user_id").agg(F.max("event_id").alias("seq_id"), F.count("*").alias("n"), F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("event_id", "vec"))), lambda x: x["vec"])).alias("flat"))
+        bank.push(rows.drop("user_id"), batch + 1)  # a user's events are one sequence
+        bank.evict()
+        if (batch + 1) % 2 == 0:
+            now["c"], now["fits"] = fit(bank.read(), now["c"], how), now["fits"] + 1
+        ordered = now["c"][K.chain_order(now["c"])]
+        fits = now["fits"]
+
+        def label(batches):
+            import pyarrow as pa
+
+            for b in batches:
+                x = np.array(b.column(1).to_pylist(), dtype=float).reshape(b.num_rows, -1)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(K.assign(x, ordered) if len(x) else [], pa.int32()), pa.array([fits] * b.num_rows, pa.int32())], ["event_id", "cluster", "fits"])
+
+        df.select("event_id", "vec").mapInArrow(label, "event_id long, cluster int, fits int").write.mode("overwrite").parquet(f"{path}/out/batch={batch}")
+
+    s = spark.readStream.schema(e.schema.add("k", "integer")).option("maxFilesPerTrigger", 1).option("basePath", f"{path}/in").parquet(f"{path}/in")
+    states = s.select("event_id", "user_id", F.array(F.coalesce("value", F.lit(0.0)).cast("double"), F.hour("ts").cast("double"), F.dayofweek("ts").cast("double")).alias("vec"))
+    states.writeStream.foreachBatch(step).option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{path}/out").groupBy("batch", "fits", "cluster").agg(F.count("*").alias("n"))

@@ -345,12 +345,6 @@ def global_rows(states: np.ndarray, heads: np.ndarray, half: int, scale: float |
     return out
 
 
-def global_tokens(states: np.ndarray, is_global: np.ndarray, half: int) -> np.ndarray:
-    """Each row reads rows within half places and the global rows; global rows read all."""
-    at = np.arange(len(states))
-    return attention(states, mask=(np.abs(at[:, None] - at) <= half) | is_global[None] | is_global[:, None])
-
-
 def sorted_buckets(states: np.ndarray, direction: np.ndarray, stride: int) -> np.ndarray:
     order = np.argsort(states @ direction, kind="stable")
     out = np.empty_like(states)

@@ -323,6 +323,13 @@ for _metric, _near in (("cosine", S.COSINE), ("dot", "list_dot_product(e.embeddi
         return C.nearest(vec_states(spark, sf), vec_chain(spark, sf), metric).select("vec_id", "cluster")
 
 
+@query("assign_fast", f"{S.vectors_slice()} select vec_id, cluster::int as cluster from asg")
+def assign_fast(spark, sf):
+    """The same labels by one matrix product for each Arrow batch."""
+    cent = np.array([r["vec"] for r in vec_chain(spark, sf).orderBy("ord").collect()])  # one row for each centroid
+    return C.nearest_fast(vec_states(spark, sf), cent).select("vec_id", "cluster")
+
+
 @query("cal_rank", f"{S.vectors_slice()} select vec_id, cluster::int as cluster, srank from ranked")
 def cal_rank(spark, sf):
     return vec_ranked(spark, sf).select("vec_id", "cluster", "srank")

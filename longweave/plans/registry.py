@@ -21,13 +21,6 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-def also(name: str, of: str) -> None:
-    """A second name of a registered query."""
-    QUERIES[name] = QUERIES[of]
-    if of in ORACLES:
-        ORACLES[name] = ORACLES[of]
-
-
 def everything() -> None:
     """Import all modules that register queries."""
     from longweave.plans import baseline_queries, lm_queries, method_queries, operator_queries, qa_queries, workload_queries  # noqa: F401

@@ -486,7 +486,8 @@ def swap_groups(kind, x, centroids=None, directions=None):
 
 
 def _swap(spark, sf, kinds, label):
-    """Recall and error of each of kinds (name: (kind, centroids, directions)) over all documents; long: more than a window."""
+    """Recall and error of each of kinds (name: (kind, centroids, directions)) over all documents: means over those longer than a
+    window, and recall over those of more than 1,024 words."""
 
     def run(seq, toks):
         if len(toks) < 2:
@@ -500,7 +501,7 @@ def _swap(spark, sf, kinds, label):
 
     each = per_sequence(docs_packed(spark, sf).repartition(4 * spark.sparkContext.defaultParallelism, "seq_id"), run, f"{label} {'int' if label == 'p' else 'string'}, x long, recall double, error double")
     far = F.col("x") > SWAP_WIN
-    return each.groupBy(label).agg(F.count("*").alias("n"), F.count_if(far).alias("n_long"), F.round(F.avg(F.when(far, F.col("recall"))), 6).alias("recall"), F.round(F.avg(F.when(far, F.col("error"))), 6).alias("error"))
+    return each.groupBy(label).agg(F.count("*").alias("n"), F.count_if(far).alias("n_long"), F.round(F.avg(F.when(far, F.col("recall"))), 6).alias("recall"), F.round(F.avg(F.when(far, F.col("error"))), 6).alias("error"), F.round(F.avg(F.when(F.col("x") > 1024, F.col("recall"))), 6).alias("recall_1024"))
 
 
 @query("w_layer_swap")

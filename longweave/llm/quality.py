@@ -119,7 +119,10 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", text: str
                 got = sparse(part)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(part)), batch.column(2).slice(at, len(part)), pa.array([s for s, _ in got], pa.list_(pa.int32())), pa.array([v for _, v in got], pa.list_(pa.float32()))], ["doc_id", "y", "slot", "value"])
 
-    rows = body.mapInArrow(extract, "doc_id long, y int, slot array<int>, value array<float>").orderBy("doc_id", F.hash("slot", "value")).limit(2 * sample).toArrow()
+    found = body.mapInArrow(extract, "doc_id long, y int, slot array<int>, value array<float>").withColumn("h", F.hash("slot", "value"))
+    if body.count() > 2 * sample:  # doc_ids that repeat
+        found = found.orderBy("doc_id", "h").limit(2 * sample)
+    rows = found.toArrow().sort_by([("doc_id", "ascending"), ("h", "ascending")])
     return ftrl(zip((x.values.to_numpy() for x in rows["slot"]), (x.values.to_numpy() for x in rows["value"]), strict=True), rows["y"].to_numpy().astype(float))
 
 

@@ -467,6 +467,18 @@ def layer_rule_grid(spark, sf):
     return grid.select(F.col("a").cast("int").alias("a"), "b", F.col("base").cast("int").alias("base"), F.concat(F.lit("["), F.array_join(shown.cast("array<string>"), ", "), F.lit("]")).alias("depths"))
 
 
+@query("snapshot_asof", f"""with {S.TOK}, its as (select (seq_id * 4) // (mx + 1) + 1 as it from (select seq_id from tl where len(t) > 0) cross join (select max(seq_id) as mx from tl))
+  select (it // 2)::int as epoch, count(*) as n, case when it // 2 = 0 then 0 else 16 end::bigint as centroids from its group by it // 2""")
+def snapshot_asof(spark, sf):
+    """Which snapshot a document meets in the stream: the last one fitted by its iteration (0: random vectors)."""
+    kept = snapshot_table(spark, 2, text_snapshots(spark, sf)).groupBy("epoch").agg(F.count("*").alias("centroids"))
+    d = docs_packed(spark, sf)
+    last = d.agg((F.max("seq_id") + 1).alias("m"))  # one row
+    it = F.expr(f"seq_id * {REFRESH.iterations} div m + 1")
+    own = d.filter(F.size("toks") > 0).crossJoin(F.broadcast(last)).select(F.floor(it / REFRESH.every).cast("int").alias("epoch")).groupBy("epoch").agg(F.count("*").alias("n"))
+    return own.join(kept, "epoch", "left").select("epoch", "n", F.coalesce("centroids", F.lit(0)).cast("long").alias("centroids"))
+
+
 VALID = "('0x' || substr(md5(seq_id::varchar), 1, 8))::bigint % 100 < 5"
 
 

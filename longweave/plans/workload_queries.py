@@ -11,13 +11,13 @@ from pyspark.sql import functions as F
 
 from longweave.functions import kernels as K
 from longweave.functions.text import normal_answer, words
-from longweave.functions.vectors import cosine, doubles, dot, l2_distance
+from longweave.functions.vectors import cosine, l2_distance
 from longweave.operators import clusters as C
 from longweave.operators import tokens as T
 from longweave.operators.fused import per_sequence, states_of
-from longweave.operators.refresh import Refresh
+from longweave.operators.refresh import Refresh, fit_stack
 from longweave.plans import sqltext as S
-from longweave.plans.method_queries import BLOCK, D, LABELLED, PARAS, SCALE, SEED, GOLD, REFRESH, docs_packed, fitted_stack, gold_pairs, labelled, page_paras, random_start, text_centroids, text_snapshots, vec_chain, vec_ranked, vec_states, window_layer
+from longweave.plans.method_queries import BLOCK, D, GOLD, LABELLED, PARAS, SCALE, SEED, docs_packed, gold_pairs, labelled, page_paras, text_centroids, text_snapshots, vec_chain, vec_ranked, vec_states, window_layer
 from longweave.plans.registry import QUERIES, query
 from longweave.plans.stack import LayerPlan
 from longweave.session import load, persist_cut
@@ -543,9 +543,14 @@ def grid_contexts(spark, sf):
     return q.join(best, "item_id").join(docs, "doc_id").select("item_id", "q", F.slice("t", 1, GRID_CONTEXT).alias("t"), "gold")
 
 
+def grid_states(toks):
+    """States small enough for what 24 layers add to count."""
+    return states_of(toks, 8, SEED) / 5 if toks else np.empty((0, 8))
+
+
 def read_answer(plan, q, t):
     """The words after the place whose state is most like that of the question's last word, in the window's own frame."""
-    ctx, qs = plan.encode(states_of(t, plan.d, SEED), states_of(q, plan.d, SEED))
+    ctx, qs = plan.encode(grid_states(t), grid_states(q))
     last = qs[:, -1].mean(0)
     near = K.similarity(ctx[:-3], last[None])[:, 0] if len(ctx) > 3 else np.empty(0)
     at = int(near.argmax()) + 1 if len(near) else 0
@@ -558,9 +563,9 @@ def w_layer_grid(spark, sf):
     read, and how far the output lies from that of window layers alone."""
     local = LayerPlan.local(24, win=64, stride=48)
     plans = [(0, 0, local)] + [(a, b, LayerPlan.modulo(a, b, 24, win=64, stride=48)) for a in (3, 4, 5, 6) for b in (8, 12, 16, 20)]
-    shared = fitted_stack(spark, sf, LayerPlan.explicit([20], win=64, stride=48), Refresh(cap=20_000, iterations=1, every=1, steps=4)).fitted[20]
+    shared = fit_stack(docs_packed(spark, sf), LayerPlan.explicit([20], win=64, stride=48), grid_states, Refresh(cap=20_000, iterations=1, every=1, steps=4)).fitted.get(20)
     for _, _, plan in plans:  # states differ little between depths: one fit serves all
-        plan.fitted.update(dict.fromkeys(plan.cal, shared))
+        plan.fitted.update(dict.fromkeys(plan.cal, shared) if shared is not None else {})
     ctx = grid_contexts(spark, sf).withColumn("part", F.xxhash64("item_id")).repartition(2 * spark.sparkContext.defaultParallelism, "part")
 
     def run(batches):
@@ -569,7 +574,7 @@ def w_layer_grid(spark, sf):
         for batch in batches:
             out = []
             for item, q, t, gold in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
-                x, qv, base = states_of(t, 8, SEED), states_of(q, 8, SEED), None
+                x, qv, base = grid_states(t), grid_states(q), None
                 for a, b, plan in plans:
                     h = plan.run(x, qv)
                     base = h if base is None else base

@@ -11,6 +11,8 @@ import os
 import zlib
 from array import array
 from functools import lru_cache
+from itertools import compress, count
+from operator import not_
 
 import numpy as np
 
@@ -136,26 +138,31 @@ def ids_of(texts: list[str | None], path: str) -> list[bytes]:
     feed = len(_whole(path, "\n"))
     added = _added(path)
     split = [None if any(a in (t or "") for a in added) else ("\n" + (t or "")).replace("\n", " \n")[1:].split(" ") for t in texts]
-    get, out = cache.get, []
-    got, new = [], set()
+    get, rows, new = cache.get, [], set()
     for pieces in split:
         if pieces is None:
-            got.append(None)
+            rows.append((None, ()))
             continue
         row = list(map(get, pieces))
-        try:
-            got.append(b"".join(row))
-        except TypeError:  # a piece that isn't known, or one that can't stand alone
-            got.append(None)
-            new.update(p for p, v in zip(pieces, row, strict=True) if v is None and p not in cache)
+        miss = list(compress(count(), map(not_, row)))  # pieces that aren't known, or can't stand alone
+        rows.append((row, miss))
+        new.update([pieces[i] for i in miss])
+    new = [p for p in new if p not in cache]
     if new:
-        cache.update((p, before[p]) for p in new if p in before)
-        _learn(path, [p for p in new if p not in before], cache)
-    for text, pieces, ids in zip(texts, split, got, strict=True):
-        if ids is None:
-            row = [None] if pieces is None else list(map(get, pieces))
-            ids = None if None in row else b"".join(row)
-        out.append(b"" if not text else _whole(path, text) if ids is None else ids[feed:])
+        old = [p for p in new if p in before]
+        cache.update((p, before[p]) for p in old)
+        _learn(path, new if not old else [p for p in new if p not in before], cache)
+    out = []
+    for text, pieces, (row, miss) in zip(texts, split, rows, strict=True):
+        if not text:
+            out.append(b"")
+            continue
+        for i in miss:
+            row[i] = get(pieces[i])
+        try:
+            out.append(_whole(path, text) if row is None else b"".join(row)[feed:])
+        except TypeError:
+            out.append(_whole(path, text))
     return out
 
 

@@ -415,7 +415,7 @@ TURN_STATES = rf"""qtok as (select seq_id, unnest(t) as tok, (generate_subscript
 
 
 @query("m_attention_recall", f"""{LABELLED}, {TURN_STATES}, b as (select seq_id, pos, vec, (row_number() over (partition by seq_id order by cluster, pos) - 1) // 8 as block, pos // 8 as place from qlab0),
-  t as (select a.block = b.block as same, a.place = b.place as near, row_number() over (partition by a.seq_id, a.pos order by list_dot_product(a.vec, b.vec) desc, b.pos) as r from b a join b on a.seq_id = b.seq_id and a.pos <> b.pos)
+  t as (select a.block = b.block as same, a.place = b.place as near, row_number() over (partition by a.seq_id, a.pos order by round(list_dot_product(a.vec, b.vec), 6) desc, b.pos) as r from b a join b on a.seq_id = b.seq_id and a.pos <> b.pos)
   select count(*) as pairs, round(avg(same::int), 4) as cluster, round(avg(near::int), 4) as local from t where r <= 4""")
 def m_attention_recall(spark, sf):
     """Share of each state's four strongest dense partners in its dialogue turn that its block of eight holds: clustered
@@ -443,10 +443,11 @@ def turns(spark, sf):
 
 
 def strongest(x, top):
-    """Numbers of each row's strongest partners by dot product (ties: the smaller), a bounded number of rows at a time."""
+    """Numbers of each row's strongest partners by dot product to six digits (ties: the smaller), a bounded number of rows at
+    a time."""
     out, step = [], max(1, 4_000_000 // len(x))
     for at in range(0, len(x), step):
-        s = x[at : at + step] @ x.T
+        s = np.round(x[at : at + step] @ x.T, 6)
         s[np.arange(len(s)), np.arange(at, at + len(s))] = -np.inf
         out.append(np.argsort(-s, 1, kind="stable")[:, : min(top, len(x) - 1)])
     return np.concatenate(out)

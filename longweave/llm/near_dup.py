@@ -119,7 +119,8 @@ def _confirmed(docs: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
 def _cells(percent: int):
     """Of rows (grp, low, high, block, id, own, n, marks, s) sorted by the first three: the links (a, b) in each cell.
 
-    A cell holds two blocks (or one) of a group; compared are pairs of different components that share a band.
+    A cell holds two blocks (or one) of a group; compared are pairs of different components that share a band, and of two
+    components only until a link joins them.
     """
 
     def links(rows: list[tuple]) -> Iterator[tuple[int, int]]:
@@ -127,6 +128,13 @@ def _cells(percent: int):
         marks = np.stack([r[4] for r in rows])
         first = np.flatnonzero(block == block.min())
         second = first if block.min() == block.max() else np.flatnonzero(block == block.max())
+        parent: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while parent.get(c, c) != c:
+                c = parent[c] = parent.get(parent[c], parent[c])
+            return c
+
         for low in range(0, len(first), 32):
             i = first[low : low + 32]
             equal = marks[i][:, None] == marks[second]
@@ -135,8 +143,12 @@ def _cells(percent: int):
             if second is first:
                 near &= i[:, None] < second
             for p, q in zip(*np.nonzero(near), strict=True):
+                one, two = root(int(own[i[p]])), root(int(own[second[q]]))
+                if one == two:
+                    continue
                 x, y = rows[i[p]][5], rows[second[q]][5]
                 if len(np.intersect1d(x, y, assume_unique=True)) * (100 + percent) >= percent * (len(x) + len(y)):
+                    parent[one] = two
                     yield int(ids[i[p]]), int(ids[second[q]])
 
     def meet(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -180,10 +192,11 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = PERCENT)
         groups = components(mixed.select(F.col("doc_id").alias("a"), F.col("lead").alias("b")).distinct())
         member = mixed.select("doc_id", "own").distinct().join(groups, F.col("doc_id") == F.col("node")).select("doc_id", "own", F.col("component").alias("grp"))
         size = member.groupBy("grp").agg(F.ceil(F.count("*") / CELL).cast("int").alias("blocks"))
-        placed = member.join(size, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        rows = placed.select("grp", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", F.col("doc_id").alias("id"), "own")
+        placed = member.join(size, "grp").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int")).select("grp", "block", "blocks", F.col("doc_id").alias("id"), "own")
         known = _sets(body, member.select(F.col("doc_id").alias("id")).distinct()).join(classes.select(F.col("doc_id").alias("id"), "n", "marks"), "id")
-        dealt = rows.join(known, "id").select("grp", "low", "high", "block", "id", "own", "n", "marks", "s").repartition(tasks(docs.sparkSession, 12), "grp", "low", "high").sortWithinPartitions("grp", "low", "high")
+        held = placed.join(known, "id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))  # one row each until here
+        rows = held.select("grp", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "id", "own", "n", "marks", "s")
+        dealt = rows.repartition(tasks(docs.sparkSession, 12), "grp", "low", "high").sortWithinPartitions("grp", "low", "high")
         more = cut(dealt.mapInArrow(_cells(percent), "a long, b long"))
         if not more.isEmpty():
             found = components(edges.union(more))

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from longweave.llm.common import column, hash_sample, table
+from longweave.llm.common import column, give_back, hash_sample, table
 from longweave.llm.hashing import U, blocks, mix, ngrams, words_of
 
 BITS, SAMPLE, EPOCHS, SCALE = 20, 6000, 3, 12.0
@@ -123,7 +123,10 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", text: str
     if body.count() > 2 * sample:  # doc_ids that repeat
         found = found.orderBy("doc_id", "h").limit(2 * sample)
     rows = found.toArrow().sort_by([("doc_id", "ascending"), ("h", "ascending")])
-    return ftrl(zip((x.values.to_numpy() for x in rows["slot"]), (x.values.to_numpy() for x in rows["value"]), strict=True), rows["y"].to_numpy().astype(float))
+    model = ftrl(zip((x.values.to_numpy() for x in rows["slot"]), (x.values.to_numpy() for x in rows["value"]), strict=True), rows["y"].to_numpy().astype(float))
+    del rows
+    give_back()
+    return model
 
 
 def score_quality(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:

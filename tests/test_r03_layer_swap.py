@@ -54,3 +54,29 @@ def test_calls_do_not_grow_with_groups(monkeypatch):
     W.within_groups(x, groups)
     took.append(time.perf_counter() - began)
     assert took[0] < 5
+
+
+def test_numbers_of_centroids_share_a_bank(spark, sf, monkeypatch):
+    from longweave.operators import refresh as R
+    from longweave.plans import method_queries as M
+
+    how = R.Refresh(cap=500, iterations=2, every=1, steps=2)
+    want = [M.text_snapshots(spark, sf, p, how) for p in (4, 8)]
+    monkeypatch.setattr(M, "_fitted", {})
+    pushed, real = [], R.MemoryBank.push
+    monkeypatch.setattr(R.MemoryBank, "push", lambda *a: pushed.append(1) or real(*a))
+    got = M.several_snapshots(spark, sf, (4, 8), how)
+    assert len(pushed) == 2  # one for each iteration, in place of one for each iteration and number
+    for a, b in zip(got, want, strict=True):
+        np.testing.assert_array_equal(a[-1].ordered, b[-1].ordered)
+    assert M.text_snapshots(spark, sf, 8, how) is got[1] and len(pushed) == 2
+
+
+def test_a_sweep_makes_one_bank(spark, sf, monkeypatch):
+    from longweave.plans import method_queries as M
+
+    passes, real = [], M.refresh_loops
+    small = M.Refresh(cap=300, iterations=1, every=1, steps=1)
+    monkeypatch.setattr(M, "_fitted", {})
+    monkeypatch.setattr(M, "refresh_loops", lambda packed, encode, inits, how: passes.append([len(x) for x in inits]) or real(packed, encode, inits, small))
+    assert list(W.sweep_kinds(spark, sf)) == [16, 64, 256, 512] and passes == [[16, 64, 256, 512]]
